@@ -5,13 +5,12 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import sharding, tokenbin
-from .common import small_batches, table
+from . import packing, sharding, tokenbin
+from .common import table
 from .tokenizing import default_path
 
-from pyspark.sql import functions as F
-
 
 def op4_feistel_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = sharding.shard_rows(table(spark, sf_dir, "documents"), 24, seed=20_240_601)
@@ -24,7 +23,11 @@ def op9_token_planes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokenbin.tokens_round_trip(table(spark, sf_dir, "documents"), default_path("byte_bpe_50k.json")).drop("ids")
 
 
+def op8_nnls_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(table(spark, sf_dir, "documents"), default_path("byte_bpe_50k.json"), window=1024)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op4_feistel_shards, op9_token_planes)
+    f.__name__: f for f in (op4_feistel_shards, op8_nnls_packing, op9_token_planes)
 }
 ORACLES: dict[str, str] = {}
