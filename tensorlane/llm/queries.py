@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import packing, sharding, tokenbin
+from . import packing, sharding, token_counts, tokenbin
 from .common import table
 from .tokenizing import default_path
 
@@ -23,11 +23,15 @@ def op9_token_planes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokenbin.tokens_round_trip(table(spark, sf_dir, "documents"), default_path("byte_bpe_50k.json")).drop("ids")
 
 
+def op6_pretoken_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_counts.count_tokens(table(spark, sf_dir, "documents"), default_path("piece_bpe_32k.model"), limit=4096)
+
+
 def op8_nnls_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), default_path("byte_bpe_50k.json"), window=1024)
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op4_feistel_shards, op8_nnls_packing, op9_token_planes)
+    f.__name__: f for f in (op4_feistel_shards, op6_pretoken_counts, op8_nnls_packing, op9_token_planes)
 }
 ORACLES: dict[str, str] = {}
