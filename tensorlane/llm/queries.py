@@ -7,11 +7,16 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import packing, sharding, token_counts, tokenbin
+from . import decontaminate, oracles, packing, sharding, token_counts, tokenbin
 from .common import table
 from .tokenizing import default_path
 
 
+def op2_suffix_array_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = decontaminate.find_contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), window=10)
+    return decontaminate.digest(found)
+
+
 def op4_feistel_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = sharding.shard_rows(table(spark, sf_dir, "documents"), 24, seed=20_240_601)
     return rows.select(
@@ -32,6 +37,6 @@ def op8_nnls_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op4_feistel_shards, op6_pretoken_counts, op8_nnls_packing, op9_token_planes)
+    f.__name__: f for f in (op2_suffix_array_decontamination, op4_feistel_shards, op6_pretoken_counts, op8_nnls_packing, op9_token_planes)
 }
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op2_suffix_array_decontamination": oracles.OP2}
