@@ -7,11 +7,21 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, oracles, packing, sharding, token_counts, tokenbin
-from .common import table
+from . import decontaminate, oracles, packing, sharding, token_counts, tokenbin, warc
+from .common import scratch_path, table, written
 from .tokenizing import default_path
 
 
+def op1_warc_transactions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    folder = scratch_path(spark, "warc")
+    manifest = warc.write_captures(table(spark, sf_dir, "pages"), folder, least_bytes=0)
+    captures = warc.assemble(written(warc.read_records(manifest, folder).drop("payload"), "warc-records"))
+    return captures.select(
+        F.col("capture_id").alias("page_id"), "payload_bytes", "payload_digest", F.col("kind").alias("record_type"), "refers_to",
+        "n_request", "n_metadata",
+    )
+
+
 def op2_suffix_array_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = decontaminate.find_contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), window=10)
     return decontaminate.digest(found)
@@ -37,6 +47,6 @@ def op8_nnls_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op2_suffix_array_decontamination, op4_feistel_shards, op6_pretoken_counts, op8_nnls_packing, op9_token_planes)
+    f.__name__: f for f in (op1_warc_transactions, op2_suffix_array_decontamination, op4_feistel_shards, op6_pretoken_counts, op8_nnls_packing, op9_token_planes)
 }
-ORACLES: dict[str, str] = {"op2_suffix_array_decontamination": oracles.OP2}
+ORACLES: dict[str, str] = {"op1_warc_transactions": oracles.OP1, "op2_suffix_array_decontamination": oracles.OP2}
