@@ -32,3 +32,20 @@ SELECT page_id, n::BIGINT AS payload_bytes,
        1::BIGINT AS n_request, 1::BIGINT AS n_metadata
 FROM g
 """
+
+_SP = r"[\x20\x09-\x0D]"
+
+OP10_BASE = r"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, coalesce(text, '') AS t, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+x AS (
+  SELECT r, p, array_to_string(w[p:p + 7], ' ') AS k FROM (SELECT r, w, unnest(range(1, len(w) - 6)) AS p FROM d WHERE len(w) >= 8)
+),
+h AS (SELECT r, count(DISTINCT q) AS n FROM (
+  SELECT r, unnest(range(p, p + 8)) AS q FROM (SELECT r, p, count(*) OVER (PARTITION BY r, k) AS c FROM x) WHERE c > 1) GROUP BY r),
+l AS (SELECT r, count(*) - count(DISTINCT line) AS n FROM (SELECT r, unnest(string_split(t, chr(10))) AS line FROM d)
+  WHERE regexp_matches(line, '[^\x20\x09-\x0D]') GROUP BY r)
+SELECT doc_id, len(w)::BIGINT AS n_words, list_sum(list_transform(w, lambda s: length(s)))::BIGINT AS word_chars,
+  len(regexp_extract_all(t, '[#*$%&|<>]'))::BIGINT AS n_symbols, coalesce(l.n, 0)::BIGINT AS n_dup_lines, coalesce(h.n, 0)::BIGINT AS n_repeat_words,
+  len(w) < 20 OR 100 * coalesce(h.n, 0) > 30 * len(w) AS base_failed
+FROM d LEFT JOIN h USING (r) LEFT JOIN l USING (r)
+"""

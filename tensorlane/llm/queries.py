@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, oracles, packing, sharding, token_counts, tokenbin, warc
+from . import decontaminate, oracles, packing, quality, sharding, token_counts, tokenbin, warc
 from .common import scratch_path, table, written
 from .tokenizing import default_path
 
@@ -46,7 +46,11 @@ def op8_nnls_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), default_path("byte_bpe_50k.json"), window=1024)
 
 
+def op10_robust_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.judge(table(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_warc_transactions, op2_suffix_array_decontamination, op4_feistel_shards, op6_pretoken_counts, op8_nnls_packing, op9_token_planes)
+    f.__name__: f for f in (op1_warc_transactions, op2_suffix_array_decontamination, op4_feistel_shards, op6_pretoken_counts, op8_nnls_packing, op9_token_planes, op10_robust_quality)
 }
 ORACLES: dict[str, str] = {"op1_warc_transactions": oracles.OP1, "op2_suffix_array_decontamination": oracles.OP2}
