@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, oracles, packing, quality, sharding, token_counts, tokenbin, warc
+from . import decontaminate, oracles, packing, personal_data, quality, sharding, token_counts, tokenbin, warc
 from .common import scratch_path, table, written
 from .tokenizing import default_path
 
@@ -38,6 +38,10 @@ def op9_token_planes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokenbin.tokens_round_trip(table(spark, sf_dir, "documents"), default_path("byte_bpe_50k.json")).drop("ids")
 
 
+def op5_crf_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return personal_data.find(table(spark, sf_dir, "documents"))
+
+
 def op6_pretoken_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(table(spark, sf_dir, "documents"), default_path("piece_bpe_32k.model"), limit=4096)
 
@@ -51,6 +55,6 @@ def op10_robust_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_warc_transactions, op2_suffix_array_decontamination, op4_feistel_shards, op6_pretoken_counts, op8_nnls_packing, op9_token_planes, op10_robust_quality)
+    f.__name__: f for f in (op1_warc_transactions, op2_suffix_array_decontamination, op4_feistel_shards, op5_crf_personal_data, op6_pretoken_counts, op8_nnls_packing, op9_token_planes, op10_robust_quality)
 }
 ORACLES: dict[str, str] = {"op1_warc_transactions": oracles.OP1, "op2_suffix_array_decontamination": oracles.OP2}
