@@ -11,15 +11,17 @@ from __future__ import annotations
 
 import os
 import re
+from itertools import filterfalse
 
 import numpy as np
 
-#: Chunks kept per Python worker (about 100 MB); they are dropped by halves.
-CACHE_CHUNKS = 300_000
+#: Chunks kept per Python worker (about 250 MB); they are dropped by halves.
+CACHE_CHUNKS = 1_200_000
 #: Longer chunks are rare and not worth keeping.
 CACHE_CHARS = 40
+#: Chunks that the library gets as one text.
+JOINT = 2000
 
-_UNSAFE = re.compile(r"\s |^ | \s")
 _CUT = re.compile(r"(?<=\S)(?= \S)")
 
 
@@ -39,6 +41,11 @@ class ChunkEncoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
+        # a byte-level token stands for as many bytes as its name has letters; a special token for its own text
+        special = {i: len(t.content.encode()) for i, t in self.tokenizer.get_added_tokens_decoder().items()}
+        self.widths = np.zeros(self.tokenizer.get_vocab_size(), np.int64)
+        for name, i in self.tokenizer.get_vocab().items():
+            self.widths[i] = special.get(i, len(name))
         self.new: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
 
@@ -49,31 +56,54 @@ class ChunkEncoder:
         return cls._by_path[path]
 
     @staticmethod
-    def chunks(text: str) -> list[str]:
-        if _UNSAFE.search(text):
-            return _CUT.split(text)
-        first, *rest = text.split(" ")
-        return [first, *[" " + w for w in rest]] if first or rest else []
-
-    def _fill(self, missing: list[str]) -> None:
-        known = self.new
-        for chunk, e in zip(missing, self.tokenizer.encode_batch_fast(missing, add_special_tokens=False), strict=True):
-            known[chunk] = np.array(e.ids, "<u4").tobytes()
+    def _clean(word: str) -> bool:
+        """Whether single spaces on either side of a word stand between non-space characters."""
+        return bool(word) and not word[0].isspace() and not word[-1].isspace()
+
+    def _encode_apart(self, chunks: list[str]) -> list[bytes]:
+        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(chunks, add_special_tokens=False)]
+
+    def _encode_words(self, words: list[str]) -> None:
+        """Encode clean words with a space before each, many as one text, whose ids are cut where the words' bytes end."""
+        texts = [" " + " ".join(words[k : k + JOINT]) for k in range(0, len(words), JOINT)]
+        ids = np.concatenate([np.array(e.ids, "<u4") for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)])
+        ends = np.cumsum(self.widths[ids])
+        stops = 4 * (np.searchsorted(ends, np.cumsum([len(w.encode()) + 1 for w in words])) + 1)
+        raw, at = ids.tobytes(), 0
+        for word, stop in zip(words, stops.tolist(), strict=True):
+            self.new[word] = raw[at:stop]
+            at = stop
+
+    def _irregular(self, text: str) -> bytes:
+        """A text with other white space beside a space: cut with care, nothing kept."""
+        return b"".join(self._encode_apart(_CUT.split(text)))
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        cut = [self.chunks(t) for t in texts]
+        """``new`` and ``old`` hold the ids of words with a space before them, clean words only."""
+        cut = [t.split(" ") for t in texts]
         if len(self.new) > CACHE_CHUNKS // 2:
             self.old, self.new = self.new, {}
         new, old, missing = self.new, self.old, set()
-        for chunks in cut:
-            missing.update(c for c in set(chunks) if c not in new)
-        for c in [c for c in missing if c in old]:
-            new[c] = old[c]
-            missing.discard(c)
-        if missing:
-            self._fill(list(missing))
-        out = [b"".join(map(new.__getitem__, chunks)) for chunks in cut]
-        for c in missing:
-            if len(c) > CACHE_CHARS:
-                del new[c]
+        for words in cut:
+            missing.update(filterfalse(new.__contains__, words))
+        for w in [w for w in missing if w in old]:
+            new[w] = old[w]
+            missing.discard(w)
+        odd = {w for w in missing if not self._clean(w)}
+        fresh = list(missing - odd)
+        if fresh:
+            self._encode_words(fresh)
+        firsts = self._encode_apart([words[0] for words in cut])
+        out = []
+        for text, words, first in zip(texts, cut, firsts, strict=True):
+            if odd and not odd.isdisjoint(words):
+                out.append(self._irregular(text))
+            else:
+                words[0] = None
+                new[None] = first
+                out.append(b"".join(map(new.__getitem__, words)))
+        new.pop(None, None)
+        for w in fresh:
+            if len(w) > CACHE_CHARS:
+                del new[w]
         return out
