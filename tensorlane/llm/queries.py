@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, oracles, packing, personal_data, quality, sharding, token_counts, tokenbin, warc
+from . import decontaminate, oracles, packing, personal_data, quality, repeats, sharding, token_counts, tokenbin, warc
 from .common import scratch_path, table, written
 from .tokenizing import default_path
 
@@ -46,6 +46,10 @@ def op6_pretoken_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(table(spark, sf_dir, "documents"), default_path("piece_bpe_32k.model"), limit=4096)
 
 
+def op7_radix_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeats.remove_repeats(table(spark, sf_dir, "documents"), least=400)
+
+
 def op8_nnls_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), default_path("byte_bpe_50k.json"), window=1024)
 
@@ -55,6 +59,6 @@ def op10_robust_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_warc_transactions, op2_suffix_array_decontamination, op4_feistel_shards, op5_crf_personal_data, op6_pretoken_counts, op8_nnls_packing, op9_token_planes, op10_robust_quality)
+    f.__name__: f for f in (op1_warc_transactions, op2_suffix_array_decontamination, op4_feistel_shards, op5_crf_personal_data, op6_pretoken_counts, op7_radix_repeats, op8_nnls_packing, op9_token_planes, op10_robust_quality)
 }
-ORACLES: dict[str, str] = {"op1_warc_transactions": oracles.OP1, "op2_suffix_array_decontamination": oracles.OP2}
+ORACLES: dict[str, str] = {"op1_warc_transactions": oracles.OP1, "op2_suffix_array_decontamination": oracles.OP2, "op7_radix_repeats": oracles.OP7}
