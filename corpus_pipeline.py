@@ -1,20 +1,76 @@
-"""A training-corpus pipeline from the operators of the text subpackage."""
+"""A training-corpus pipeline: quality rules, near-duplicates, decontamination, personal data, packing.
+
+Every stage takes (spark, docs, sf_dir) and gives a table; all but the last give the
+columns of ``documents``.  ``run`` writes each stage's table and reads it again.
+"""
 
 from __future__ import annotations
 
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from tensorlane.llm import decontaminate, near_duplicates, packing, personal_data, quality
+from tensorlane.llm.common import scratch_path, table, written
+from tensorlane.llm.tokenizing import default_path
 
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
-STAGES: list[tuple[str, Stage]] = []
+
+
+def _chosen(docs: DataFrame, kept: DataFrame) -> DataFrame:
+    """The documents whose id is in ``kept`` (one column, doc_id), as often as they stand."""
+    ids = kept.select(F.col("doc_id").alias("_kept_id")).distinct()
+    return docs.join(ids, F.col("doc_id").eqNullSafe(F.col("_kept_id")), "left_semi")
+
+
+def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the base rules or the robust distance reject go; of rows with one id, all stay if one is kept."""
+    return _chosen(docs, quality.judge(docs).filter("kept"))
+
+
+def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near-duplicates stays, that with the smallest id; rows that repeat an id become one."""
+    found = near_duplicates.near_duplicates(docs, similarity=0.75, size=5)
+    kept = written(found.filter("kept").select("doc_id"), "near-kept")
+    stay = _chosen(docs, kept)
+    repeated = not kept.groupBy("doc_id").count().filter("count > 1").isEmpty()
+    return stay.dropDuplicates(["doc_id"]) if repeated else stay
+
+
+def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold a window of a benchmark item go."""
+    return decontaminate.remove_contaminated(docs, table(spark, sf_dir, "benchmark"), window=10)
+
+
+def personal_data_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Personal data in texts becomes marks; ``n_chars``, where the table has it, follows the new text."""
+    out = personal_data.redact(docs)
+    if "n_chars" in out.columns:
+        length = F.char_length("text").cast(docs.schema["n_chars"].dataType)
+        out = out.withColumn("n_chars", F.when(F.col("text").isNotNull(), length).otherwise(F.col("n_chars")))
+    return out
+
+
+def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All documents packed into sequences of 1024 tokens: a row for each piece."""
+    return packing.pack(docs, default_path("byte_bpe_50k.json"), window=1024)
+
+
+STAGES: list[tuple[str, Stage]] = [
+    ("quality", quality_stage),
+    ("near_duplicates", near_duplicate_stage),
+    ("decontamination", decontamination_stage),
+    ("personal_data", personal_data_stage),
+    ("packing", packing_stage),
+]
+
+#: The robust estimate, the random field and the tokenizer are not SQL; tests hold the pipeline against a plain version.
 ORACLE_SQL: str | None = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from tensorlane.llm.common import scratch_path
-
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES:
         path = scratch_path(spark, f"pipeline-{name}")
         stage(spark, docs, sf_dir).write.parquet(path)

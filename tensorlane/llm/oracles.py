@@ -64,3 +64,17 @@ SELECT doc_id, (length(x) // 2)::BIGINT AS n_bytes, coalesce(n_removed, 0)::BIGI
        sha256(unhex(coalesce(head || substr(x, (2 * e + 1)::BIGINT), x))) AS kept_sha256
 FROM d LEFT JOIN k USING (r)
 """
+
+OP3 = rf"""
+WITH RECURSIVE d AS (SELECT row_number() OVER () AS r, doc_id, regexp_extract_all({_LOWER}, '[^\x20\x09-\x0D]+') AS w FROM documents),
+s AS (SELECT DISTINCT r, array_to_string(w[p:p + 4], ' ') AS k
+      FROM (SELECT r, w, unnest(range(1, greatest(1, len(w) - 4) + 1)) AS p FROM d WHERE len(w) > 0)),
+n AS (SELECT r, count(*) AS n FROM s GROUP BY r),
+c AS (SELECT a.r AS a, b.r AS b, count(*) AS c FROM s a JOIN s b ON a.k = b.k AND a.r < b.r GROUP BY ALL),
+l AS (SELECT a, b FROM c JOIN n x ON x.r = a JOIN n y ON y.r = b WHERE 100 * c >= 75 * (x.n + y.n - c)),
+e AS (SELECT a, b FROM l UNION ALL SELECT b, a FROM l),
+g(r, m) AS (SELECT r, r FROM d UNION SELECT g.r, e.b FROM g JOIN e ON e.a = g.m),
+z AS (SELECT g.r, min(x.doc_id) AS component_id FROM g JOIN d x ON x.r = g.m GROUP BY g.r)
+SELECT doc_id, coalesce(n, 0)::BIGINT AS n_shingles, component_id, doc_id = component_id AS kept
+FROM d JOIN z USING (r) LEFT JOIN n USING (r)
+"""

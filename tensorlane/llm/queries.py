@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, oracles, packing, personal_data, quality, repeats, sharding, token_counts, tokenbin, warc
+from . import decontaminate, near_duplicates, oracles, packing, personal_data, quality, repeats, sharding, token_counts, tokenbin, warc
 from .common import scratch_path, table, written
 from .tokenizing import default_path
 
@@ -27,6 +27,10 @@ def op2_suffix_array_decontamination(spark: SparkSession, sf_dir: str) -> DataFr
     return decontaminate.digest(found)
 
 
+def op3_chosen_path_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicates.near_duplicates(table(spark, sf_dir, "documents"), similarity=0.75, size=5)
+
+
 def op4_feistel_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = sharding.shard_rows(table(spark, sf_dir, "documents"), 24, seed=20_240_601)
     return rows.select(
@@ -59,6 +63,6 @@ def op10_robust_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_warc_transactions, op2_suffix_array_decontamination, op4_feistel_shards, op5_crf_personal_data, op6_pretoken_counts, op7_radix_repeats, op8_nnls_packing, op9_token_planes, op10_robust_quality)
+    f.__name__: f for f in (op1_warc_transactions, op2_suffix_array_decontamination, op3_chosen_path_duplicates, op4_feistel_shards, op5_crf_personal_data, op6_pretoken_counts, op7_radix_repeats, op8_nnls_packing, op9_token_planes, op10_robust_quality)
 }
-ORACLES: dict[str, str] = {"op1_warc_transactions": oracles.OP1, "op2_suffix_array_decontamination": oracles.OP2, "op7_radix_repeats": oracles.OP7}
+ORACLES: dict[str, str] = {"op1_warc_transactions": oracles.OP1, "op2_suffix_array_decontamination": oracles.OP2, "op3_chosen_path_duplicates": oracles.OP3, "op7_radix_repeats": oracles.OP7}
