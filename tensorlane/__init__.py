@@ -1,0 +1 @@
+"""Tensor-compiled scoring of classical predictive pipelines on Spark."""
