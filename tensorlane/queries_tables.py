@@ -303,9 +303,6 @@ def _(s, d):
     return streaming.replay(compile_pipeline(chain(scoring.FRAUD.names, ("trees.forest", {"spec": _TREE})), lane="vector").score(rows, ["event_id"], ["prediction"]))
 
 
-_EPOCH = "CAST(epoch({}) AS BIGINT)"
-
-
 def _windows(kind: str, size: str, slide: str | None = None):
     def run(s, d):
         rows = streaming.with_lateness(stream_table(s, d, "events"), "40 days")
@@ -320,6 +317,17 @@ QUERIES["stream_tumbling"] = _windows("tumbling", "1 hour")
 QUERIES["stream_sliding"] = _windows("sliding", "2 hours", "1 hour")
 QUERIES["stream_session"] = _windows("session", "30 minutes")
 
+# event times count as UTC
+_SUMS = "count(*) AS n, CAST(sum(floor(value * 100)) AS BIGINT) AS cents"
+_HOUR = "CAST(epoch(date_trunc('hour', ts)) AS BIGINT)"
+ORACLES["stream_tumbling"] = f'SELECT {_HOUR} AS start, {_HOUR} + 3600 AS "end", {_SUMS} FROM events GROUP BY ALL'
+ORACLES["stream_sliding"] = f'SELECT h - 3600 * k AS start, h - 3600 * k + 7200 AS "end", {_SUMS} FROM (SELECT {_HOUR} AS h, value FROM events), (VALUES (0), (1)) t(k) GROUP BY ALL'
+ORACLES["stream_session"] = f"""
+WITH g AS (SELECT user_id, ts, value, CASE WHEN ts >= lag(ts) OVER w + INTERVAL 30 MINUTE THEN 1 ELSE 0 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
+s AS (SELECT user_id, ts, value, sum(new) OVER (PARTITION BY user_id ORDER BY ts) AS k FROM g)
+SELECT CAST(floor(epoch(min(ts))) AS BIGINT) AS start, CAST(floor(epoch(max(ts) + INTERVAL 30 MINUTE)) AS BIGINT) AS "end", user_id, {_SUMS} FROM s GROUP BY user_id, k
+"""
+
 
 @query("stream_dedup", "SELECT count(*) AS n FROM events")
 def _(s, d):
