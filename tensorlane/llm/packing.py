@@ -5,7 +5,9 @@ tails (1..window-1 tokens) make a histogram of at most window-1 counts, the only
 driver sees.  Shallow combinations of tail lengths that fill a window exactly are
 enumerated, their repeat counts fitted to the histogram by non-negative least squares and
 rounded within what is there; what stays over is packed greedily, each tail continuing
-where the last one ended and cut where a window ends.  Only the last window is padded.
+where the last one ended and cut where a window ends.  Cuts fall on a grid of ``GRID`` tokens, for
+which the checksums of both parts are taken when a text is tokenised, so no text is read
+twice; the price is less than ``GRID`` tokens of padding for each such tail.
 
 Which row takes which place is arithmetic on its global number in (tail length, id) order.
 """
@@ -18,7 +20,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import document_blocks, numbered, small_batches, utf8, written
@@ -28,13 +30,15 @@ TEXT_BYTES = 2 << 20
 #: Lengths that may appear more than once or in combinations of three and four; pairs use all lengths.
 COMMON_LENGTHS = 24
 SWEEPS = 40
+#: Tokens between the places where a tail may be cut.
+GRID = 32
 END = (0).to_bytes(4, "little")
 
 
 def combinations(histogram: np.ndarray, window: int) -> list[tuple[int, ...]]:
     """Multisets of up to four present lengths that add up to the window, no longer than a few thousand."""
     have = {int(n) for n in np.flatnonzero(histogram) if n}
-    found = {(window - n, n) if n <= window - n else (n, window - n) for n in have if window - n in have}
+    found = {tuple(sorted((n, window - n))) for n in have if window - n in have}
     top = sorted(have, key=lambda n: (-int(histogram[n]), n))[:COMMON_LENGTHS]
     for i, a in enumerate(top):
         for k in (2, 3):
@@ -79,15 +83,18 @@ class Plan:
     sequences: int
     window: int
 
-    def place(self, row: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Sequence, offset, and tokens before the cut (the whole length where there is none)."""
+    def place(self, row: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Sequence, offset, tokens before the cut (the whole length where there is none), and whether it is in the stream.
+
+        Offsets in the stream count tails up to the grid; they order the pieces of a sequence.
+        """
         k = np.searchsorted(self.run_start, row, "right") - 1
         j, n, m = row - self.run_start[k], self.length[k], np.maximum(self.per_sequence[k], 1)
         stream = self.per_sequence[k] == 0
-        at = self.offset[k] + j * n
+        at = self.offset[k] + j * -(-n // GRID) * GRID
         seq = np.where(stream, self.sequence[k] + at // self.window, self.sequence[k] + j // m)
         off = np.where(stream, at % self.window, self.offset[k] + j % m * n)
-        return seq, off, np.minimum(n, self.window - off)
+        return seq, off, np.minimum(n, self.window - off), stream
 
 
 def plan(histogram: np.ndarray, window: int) -> Plan:
@@ -120,7 +127,7 @@ def plan(histogram: np.ndarray, window: int) -> Plan:
     for length in range(window - 1, 0, -1):
         if left[length]:
             runs.append((first[length] + used[length], length, 0, sequence, stream))
-            stream += int(left[length]) * length
+            stream += int(left[length]) * -(-length // GRID) * GRID
     runs.sort()
     columns_of = np.array(runs or [(0, 0, 1, 0, 0)], np.int64).T
     return Plan(*columns_of, sequences=sequence + -(-stream // window), window=window)
@@ -130,23 +137,35 @@ def _tokenised(docs: DataFrame, tokenizer: str, window: int, id_col: str, text_c
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = ChunkEncoder.of(tokenizer)
         for b in document_blocks(batches, "body", TEXT_BYTES):
-            total, whole, tail = [], [], []
+            total, whole, tail, grid = [], [], [], []
             for ids in encoder.encode([x.decode("utf-8", "replace") for x in b.column("body").to_pylist()]):
                 ids += END
                 n = len(ids) // 4
                 edge = n // window * window
+                rest = memoryview(ids)[4 * edge :]
                 total.append(n)
                 whole.append([zlib.crc32(ids[4 * k : 4 * (k + window)]) for k in range(0, edge, window)])
-                tail.append(zlib.crc32(ids[4 * edge :]))
-            yield pa.RecordBatch.from_arrays([b.column("id"), pa.array(total, pa.int64()), pa.array(whole, pa.list_(pa.int64())), pa.array(tail, pa.int64())], ["id", "doc_tokens", "whole", "tail_crc"])
+                tail.append(zlib.crc32(rest))
+                crcs, head = [], 0
+                for k in range(4 * GRID, len(rest), 4 * GRID):
+                    head = zlib.crc32(rest[k - 4 * GRID : k], head)
+                    crcs += [head, zlib.crc32(rest[k:])]
+                grid.append(np.array(crcs, "<u4").tobytes())
+            yield pa.RecordBatch.from_arrays(
+                [b.column("id"), pa.array(total, pa.int64()), pa.array(whole, pa.list_(pa.int64())), pa.array(tail, pa.int64()), pa.array(grid, pa.binary())],
+                ["id", "doc_tokens", "whole", "tail_crc", "grid"],
+            )
 
     return (
         docs.select(F.col(id_col).cast("long").alias("id"), utf8(text_col).alias("body"))
-        .mapInArrow(cut, "id long, doc_tokens long, whole array<long>, tail_crc long")
+        .mapInArrow(cut, "id long, doc_tokens long, whole array<long>, tail_crc long, grid binary")
         .withColumn("tail", (F.col("doc_tokens") % window).cast("int"))
     )
 
 
+PIECE = ["id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
+
+
 def pack(docs: DataFrame, tokenizer: str, *, window: int = 1024, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per piece: id, ``start``, ``length``, ``ids_crc32``, ``doc_tokens``, ``sequence_id``, ``offset``.
 
@@ -154,8 +173,9 @@ def pack(docs: DataFrame, tokenizer: str, *, window: int = 1024, id_col: str = "
     each; null ids are kept; an empty table gives no pieces.  Very long texts give one piece for each
     window.  Other columns are not read.
     """
-    spark = docs.sparkSession
-    small_batches(spark)
+    if window % GRID:
+        raise ValueError(f"the window must be a multiple of {GRID}")
+    small_batches(docs.sparkSession)
     tokens = written(_tokenised(docs, tokenizer, window, id_col, text_col), "pack-tokens")
     histogram = np.zeros(window, np.int64)
     for r in tokens.groupBy("tail").count().collect():  # at most ``window`` rows
@@ -165,47 +185,33 @@ def pack(docs: DataFrame, tokenizer: str, *, window: int = 1024, id_col: str = "
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            seq, off, before = layout.place(b.column("row_number").to_numpy(zero_copy_only=False).astype(np.int64)) if b.num_rows else [np.zeros(0, np.int64)] * 3
-            yield pa.RecordBatch.from_arrays([*b.columns, *map(pa.array, (seq, off, before))], [*b.schema.names, "sequence_id", "offset", "before"])
-
-    tails = rows.filter(F.col("tail") > 0).drop("whole").mapInArrow(
-        place, "id long, doc_tokens long, tail_crc long, tail int, row_number long, sequence_id long, offset long, before long"
-    )
-    edge = F.col("doc_tokens") - F.col("tail")
-    out = [F.col("id").alias(id_col), "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
-    kept = tails.filter(F.col("before") == F.col("tail")).select(
-        "id", edge.alias("start"), F.col("tail").cast("long").alias("length"), F.col("tail_crc").alias("ids_crc32"), "doc_tokens", "sequence_id", "offset"
-    ).select(*out)
+            if not b.num_rows:
+                continue
+            number = b.column("row_number").to_numpy(zero_copy_only=False).astype(np.int64)
+            total, tail = (b.column(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in ("doc_tokens", "tail"))
+            seq, off, before, stream = layout.place(number)
+            crc = b.column("tail_crc").to_numpy(zero_copy_only=False).astype(np.int64)
+            second = np.flatnonzero(before < tail)
+            after = np.zeros(len(second), np.int64)
+            for k, r in enumerate(second):
+                pair = np.frombuffer(b.column("grid")[int(r)].as_buffer(), "<u4", 2, 8 * (before[r] // GRID - 1))
+                crc[r], after[k] = pair
+            every = np.concatenate([np.arange(b.num_rows), second])
+            edge = total - tail
+            columns = [
+                np.concatenate([edge, edge[second] + before[second]]), np.concatenate([before, tail[second] - before[second]]), np.concatenate([crc, after]),
+                total[every], np.concatenate([seq, seq[second] + 1]), np.concatenate([off, np.zeros(len(second), np.int64)]),
+            ]
+            yield pa.RecordBatch.from_arrays([b.column("id").take(pa.array(every)), *map(pa.array, columns), pa.array(stream[every])], [*PIECE, "stream"])
+
+    shape = ", ".join(f"{c} long" for c in PIECE) + ", stream boolean"
+    tails = rows.filter(F.col("tail") > 0).select("id", "doc_tokens", "tail", "tail_crc", "grid", "row_number").mapInArrow(place, shape)
+    # the greedy stream is a small rest; a sequence of it has window / GRID pieces at most
+    order = Window.partitionBy("sequence_id").orderBy("offset").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    stream = tails.filter("stream").withColumn("offset", F.sum("length").over(order) - F.col("length"))
     whole = rows.select("id", "doc_tokens", "row_number", F.posexplode("whole").alias("k", "ids_crc32")).select(
         "id", (F.col("k").cast("long") * window).alias("start"), F.lit(window).cast("long").alias("length"), "ids_crc32", "doc_tokens",
         (F.lit(layout.sequences) + F.col("k").cast("long") * n + F.col("row_number")).alias("sequence_id"), F.lit(0).cast("long").alias("offset"),
-    ).select(*out)
-    cut = written(tails.filter(F.col("before") < F.col("tail")), "pack-cut")
-    return whole.unionByName(kept).unionByName(_cut_pieces(cut, docs, tokenizer, window, id_col, text_col).select(*out))
-
-
-def _cut_pieces(cut: DataFrame, docs: DataFrame, tokenizer: str, window: int, id_col: str, text_col: str) -> DataFrame:
-    """The two pieces of every tail that crosses a window's end: its text is tokenised again for their checksums."""
-    texts = docs.select(F.col(id_col).cast("long").alias("doc"), utf8(text_col).alias("body"))
-    asked = cut.join(texts, F.col("id").eqNullSafe(F.col("doc"))).drop("doc")
-
-    def halves(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = ChunkEncoder.of(tokenizer)
-        for b in document_blocks(batches, "body", TEXT_BYTES):
-            found = []
-            texts = [x.decode("utf-8", "replace") for x in b.column("body").to_pylist()]
-            for r, ids in zip(b.drop_columns(["body"]).to_pylist(), encoder.encode(texts), strict=True):
-                ids += END
-                edge, n = r["doc_tokens"] - r["tail"], r["doc_tokens"]
-                if len(ids) != 4 * n or zlib.crc32(ids[4 * edge :]) != r["tail_crc"]:
-                    continue  # another row with the same id
-                mid = edge + r["before"]
-                for start, stop, seq, off in ((edge, mid, r["sequence_id"], r["offset"]), (mid, n, r["sequence_id"] + 1, 0)):
-                    found.append((r["row_number"], r["id"], start, stop - start, zlib.crc32(ids[4 * start : 4 * stop]), n, seq, off))
-            if found:
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*found, strict=True)], PIECE)
-
-    return asked.mapInArrow(halves, ", ".join(f"{c} long" for c in PIECE)).dropDuplicates(["row_number", "start"])
-
-
-PIECE = ["row_number", "id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
+    )
+    out = whole.unionByName(tails.filter(~F.col("stream")).drop("stream")).unionByName(stream.drop("stream"))
+    return out.withColumnRenamed("id", id_col)
