@@ -168,6 +168,21 @@ def components(edges: DataFrame) -> DataFrame:
     return labels
 
 
+def _joined(labels: DataFrame | None, links: DataFrame, depth: int) -> DataFrame:
+    """(member, root) of all linked so far: only the roots that new links join are contracted again."""
+    if labels is None:
+        return components(links).withColumnRenamed("node", "member")
+    ends = links
+    for end in ("a", "b"):
+        roots = labels.select(F.col("member").alias(end), F.col("root").alias(f"root_{end}"))
+        ends = ends.join(roots, end, "left").withColumn(f"root_{end}", F.coalesce(f"root_{end}", end))
+    moved = components(ends.select(F.col("root_a").alias("a"), F.col("root_b").alias("b")))
+    known = labels.withColumnRenamed("root", "was")
+    known = known.join(moved, F.col("was") == F.col("node"), "left").select("member", F.coalesce("root", "was").alias("root"))
+    fresh = moved.withColumnRenamed("node", "member").join(labels.select("member"), "member", "left_anti")
+    return written(known.unionByName(fresh), f"near-labels-{depth}")
+
+
 def near_duplicates(docs: DataFrame, *, similarity: float = 0.75, size: int = WORDS, id_col: str = "doc_id", text_col: str = "text", trees: int = TREES, small: int = SMALL) -> DataFrame:
     """Per document: id, ``n_shingles``, ``component_id`` (smallest id reachable by links) and ``kept`` (whether that is its own).
 
@@ -183,7 +198,7 @@ def near_duplicates(docs: DataFrame, *, similarity: float = 0.75, size: int = WO
     tree = F.explode(F.sequence(F.lit(0), F.lit(trees - 1)))
     at = sets.select("key", "tokens", tree.alias("tree"))
     level = at.select("key", F.xxhash64("tree", _token(F.col("tree"))).alias("node"), "tree")
-    labels = edges = bodies = None
+    labels = bodies = None
     tried: list[DataFrame] = []
     for depth in range(LEVELS):
         level = written(level, f"near-level-{depth}")
@@ -226,8 +241,7 @@ def near_duplicates(docs: DataFrame, *, similarity: float = 0.75, size: int = WO
             bodies = written(texts.join(chosen, F.col("id").eqNullSafe(F.col("of"))).select("k", "body"), "near-texts")
         if not candidates.isEmpty():
             links = written(_linked(candidates, bodies, similarity, size), f"near-links-{depth}")
-            edges = links if edges is None else edges.union(links)
-            labels = components(edges).withColumnRenamed("node", "member")
+            labels = _joined(labels, links, depth)
         if labels is not None:
             root = big.join(labels, F.col("key") == F.col("member"), "left").select("node", F.coalesce("root", "key").alias("root"))
             apart = root.groupBy("node").agg((F.min("root") < F.max("root")).alias("apart")).filter("apart").select("node")
