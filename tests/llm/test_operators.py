@@ -434,3 +434,31 @@ def test_quality(spark):
     assert not kept[500] and all(kept[100 + k] for k in range(60))
     assert all(r["base_failed"] == (r["n_words"] < 20 or 100 * r["n_repeat_words"] > 30 * r["n_words"]) for r in out)
     assert quality.judge(written(d.limit(0), "test")).count() == 0
+
+
+def test_quality_rejects_every_kind_of_junk(spark):
+    rng = np.random.default_rng(11)
+
+    def lines(n, words=12):
+        return [sentence(rng, words) for _ in range(n)]
+
+    good = [(k, "\n".join(lines(int(rng.integers(8, 30))))) for k in range(300)]
+    # a head line that stands again at the foot, and some signs in a long text, are no junk
+    good += [(1000 + k, "\n".join([head, *lines(12), head])) for k, head in enumerate(lines(10))]
+    good += [(1100 + k, "\n".join([*lines(20), "r&d 50% #1"])) for k in range(5)]
+    junk = {
+        "signs": [" ".join(w + "%%%" for w in sentence(rng, 150).split()) for _ in range(5)],
+        "table": [" | ".join(sentence(rng, 150).split()) for _ in range(5)],
+        "table with head": ["\n".join([head, *[" | ".join(x.split()) for x in lines(12)], head]) for head in lines(5)],
+        "echo": [" ".join(w for w in WORDS[k : k + 8] for _ in range(6)) for k in range(5)],
+        "lines": ["\n".join(x for y in lines(12, 6) for x in (y, f"click {WORDS[k]}")) for k in range(5)],
+        "repeats": [" ".join([part, sentence(rng, 60), part, sentence(rng, 60)]) for part in lines(5, 20)],
+    }
+    bad = [(2000 + 100 * i + k, t) for i, texts in enumerate(junk.values()) for k, t in enumerate(texts)]
+    d = spark.createDataFrame([(i, t, "en", "s") for i, t in good + bad], "doc_id long, text string, lang string, source string")
+    out = {r["doc_id"]: r for r in quality.judge(written(d, "test")).collect()}
+    assert not any(out[i]["base_failed"] for i, _ in good + bad)
+    for i, kind in enumerate(junk):
+        assert not [k for k in range(5) if out[2000 + 100 * i + k]["kept"]], kind
+    lost = [i for i, _ in good if not out[i]["kept"]]
+    assert len(lost) <= 3 and max(lost, default=0) < 1000
