@@ -1,7 +1,8 @@
 """A training-corpus pipeline: quality rules, near-duplicates, decontamination, personal data, packing.
 
 Every stage takes (spark, docs, sf_dir) and gives a table; all but the last give the
-columns of ``documents``.  ``run`` writes each stage's table and reads it again.
+columns of ``documents``.  ``run`` writes each stage's table and reads it again.  Stages decide
+row by row: ids may repeat or be null.
 """
 
 from __future__ import annotations
@@ -18,24 +19,31 @@ from tensorlane.llm.tokenizing import default_path
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
 
 
+#: Column of a row key, unique in its table, whatever the ids are.
+ROW = "_row"
+
+
+def _keyed(docs: DataFrame, label: str) -> DataFrame:
+    """``docs`` with a row key, written, so that every reader sees the same keys."""
+    return written(docs.withColumn(ROW, F.monotonically_increasing_id()), label)
+
+
 def _chosen(docs: DataFrame, kept: DataFrame) -> DataFrame:
-    """The documents whose id is in ``kept`` (one column, doc_id), as often as they stand."""
-    ids = kept.select(F.col("doc_id").alias("_kept_id")).distinct()
-    return docs.join(ids, F.col("doc_id").eqNullSafe(F.col("_kept_id")), "left_semi")
+    """The rows of a keyed table whose keys are in ``kept``, without the key."""
+    return docs.join(kept.select(ROW), ROW, "left_semi").drop(ROW)
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the base rules or the robust distance reject go; of rows with one id, all stay if one is kept."""
-    return _chosen(docs, quality.judge(docs).filter("kept"))
+    """Documents that the base rules or the robust distance reject go."""
+    rows = _keyed(docs, "quality-rows")
+    return _chosen(rows, quality.judge(rows, id_col=ROW).filter("kept"))
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates stays, that with the smallest id; rows that repeat an id become one."""
-    found = near_duplicates.near_duplicates(docs, similarity=0.75, size=5)
-    kept = written(found.filter("kept").select("doc_id"), "near-kept")
-    stay = _chosen(docs, kept)
-    repeated = not kept.groupBy("doc_id").count().filter("count > 1").isEmpty()
-    return stay.dropDuplicates(["doc_id"]) if repeated else stay
+    """One document of each group of near-duplicates stays, the first by id (null last) and row key."""
+    rows = _keyed(docs, "near-rows")
+    found = near_duplicates.near_duplicates(rows, similarity=0.75, size=5, row_col=ROW)
+    return _chosen(rows, written(found.filter("first").select(ROW), "near-kept"))
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

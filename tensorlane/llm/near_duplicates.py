@@ -37,7 +37,7 @@ LEVELS = 8
 MISS = 1e-6
 TEXT_BYTES = 4 << 20
 WORDS = 5
-SIGNATURE = "key binary, id long, n_shingles long, tokens binary"
+SIGNATURE = "key binary, id long, row long, n_shingles long, tokens binary"
 
 
 def shingle_words() -> Words:
@@ -84,8 +84,8 @@ def _seeds(n: int) -> np.ndarray:
     return mix(np.arange(1, n + 1, dtype=np.uint64) * np.uint64(0xA24BAED4963EE407))
 
 
-def signatures(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", size: int = WORDS) -> DataFrame:
-    """Per document: digest of its shingle set, id, size of the set, minwise tokens (32 bits each)."""
+def signatures(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", size: int = WORDS, row_col: str | None = None) -> DataFrame:
+    """Per document: digest of its shingle set, id, row key (if there is one), size of the set, minwise tokens (32 bits each)."""
     small_batches(docs.sparkSession)
 
     def sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -93,9 +93,10 @@ def signatures(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
         for b in document_blocks(batches, "body", TEXT_BYTES):
             sets = shingle_sets(*words.of(*buffers(b.column("body"))), size)
             tokens = [(minwise(s, seeds) >> np.uint64(32)).astype("<u4").tobytes() for s in sets]
-            yield pa.RecordBatch.from_arrays([pa.array([digest(s) for s in sets], pa.binary()), b.column("id"), pa.array([len(s) for s in sets], pa.int64()), pa.array(tokens, pa.binary())], ["key", "id", "n_shingles", "tokens"])
+            yield pa.RecordBatch.from_arrays([pa.array([digest(s) for s in sets], pa.binary()), b.column("id"), b.column("row"), pa.array([len(s) for s in sets], pa.int64()), pa.array(tokens, pa.binary())], ["key", "id", "row", "n_shingles", "tokens"])
 
-    return docs.select(F.col(id_col).cast("long").alias("id"), utf8(text_col).alias("body")).mapInArrow(sketch, SIGNATURE)
+    row = F.col(row_col) if row_col else F.lit(None)
+    return docs.select(F.col(id_col).cast("long").alias("id"), row.cast("long").alias("row"), utf8(text_col).alias("body")).mapInArrow(sketch, SIGNATURE)
 
 
 def digest(shingles: np.ndarray) -> bytes:
@@ -183,17 +184,21 @@ def _joined(labels: DataFrame | None, links: DataFrame, depth: int) -> DataFrame
     return written(known.unionByName(fresh), f"near-labels-{depth}")
 
 
-def near_duplicates(docs: DataFrame, *, similarity: float = 0.75, size: int = WORDS, id_col: str = "doc_id", text_col: str = "text", trees: int = TREES, small: int = SMALL) -> DataFrame:
+def near_duplicates(docs: DataFrame, *, similarity: float = 0.75, size: int = WORDS, id_col: str = "doc_id", text_col: str = "text", trees: int = TREES, small: int = SMALL, row_col: str | None = None) -> DataFrame:
     """Per document: id, ``n_shingles``, ``component_id`` (smallest id reachable by links) and ``kept`` (whether that is its own).
 
     Null texts and texts without words have an empty set and are linked with nothing, not even
     each other; repeated rows are linked if they have words.  A null id is in no component's
     name unless all its members' ids are null.  An empty table gives no rows; other columns are not read.
+
+    ``row_col`` names a unique key (a long): it is put out too, with ``first``, which holds for one row
+    of each linked group (the least by id, null last, and key) and for every row without words.
     """
-    rows = written(signatures(docs, id_col=id_col, text_col=text_col, size=size), "near-signatures")
+    rows = written(signatures(docs, id_col=id_col, text_col=text_col, size=size, row_col=row_col), "near-signatures")
     filled = rows.filter("n_shingles > 0")
-    sets = written(filled.groupBy("key").agg(F.min("id").alias("id"), F.min("n_shingles").alias("n"), F.min("tokens").alias("tokens")), "near-sets")
-    texts = docs.select(F.col(id_col).cast("long").alias("id"), utf8(text_col).alias("body"))
+    sets = written(filled.groupBy("key").agg(F.min("id").alias("id"), F.min("n_shingles").alias("n"), F.min("tokens").alias("tokens"), F.min(F.struct(F.col("id").isNull(), "id", "row"))["row"].alias("row")), "near-sets")
+    of = "row" if row_col else "id"
+    texts = docs.select(F.col(row_col or id_col).cast("long").alias(of), utf8(text_col).alias("body"))
     least = least_agreement(similarity, TOKENS)
     tree = F.explode(F.sequence(F.lit(0), F.lit(trees - 1)))
     at = sets.select("key", "tokens", tree.alias("tree"))
@@ -237,8 +242,8 @@ def near_duplicates(docs: DataFrame, *, similarity: float = 0.75, size: int = WO
         big = grouped.filter(~within).select("key", "node", "tree")
         if bodies is None:  # later candidates come from nodes that are large now
             wanted = candidates.select("a").union(candidates.select("b")).union(big.select("key")).distinct().toDF("key")
-            chosen = written(sets.join(wanted, "key").select(F.col("key").alias("k"), F.col("id").alias("of")), "near-wanted")
-            bodies = written(texts.join(chosen, F.col("id").eqNullSafe(F.col("of"))).select("k", "body"), "near-texts")
+            chosen = written(sets.join(wanted, "key").select(F.col("key").alias("k"), F.col(of).alias("of")), "near-wanted")
+            bodies = written(texts.join(chosen, F.col(of).eqNullSafe(F.col("of"))).select("k", "body"), "near-texts")
         if not candidates.isEmpty():
             links = written(_linked(candidates, bodies, similarity, size), f"near-links-{depth}")
             labels = _joined(labels, links, depth)
@@ -253,13 +258,14 @@ def near_duplicates(docs: DataFrame, *, similarity: float = 0.75, size: int = WO
             big.withColumn("branch", branch).join(sets.select("key", "tokens"), "key")
             .select("key", F.xxhash64("node", "branch", _token(chosen)).alias("node"), "tree")
         )
-    named = sets.select("key", "id")
+    named = sets.select("key", "id", "row")
     if labels is not None:
-        named = named.join(labels, F.col("key") == F.col("member"), "left").select("key", "id", F.coalesce("root", "key").alias("root"))
-        smallest = named.groupBy("root").agg(F.min("id").alias("component"))
-        named = named.join(smallest, "root").select("key", "component")
+        named = named.join(labels, F.col("key") == F.col("member"), "left").select("key", "id", "row", F.coalesce("root", "key").alias("root"))
+        smallest = named.groupBy("root").agg(F.min("id").alias("component"), F.min(F.struct(F.col("id").isNull(), "id", "row"))["row"].alias("first_row"))
+        named = named.join(smallest, "root").select("key", "component", "first_row")
     else:
-        named = named.select("key", F.col("id").alias("component"))
+        named = named.select("key", F.col("id").alias("component"), F.col("row").alias("first_row"))
     linked = F.when(F.col("n_shingles") > 0, F.col("component")).otherwise(F.col("id"))
     out = rows.drop("tokens").join(named, "key", "left")
-    return out.select(F.col("id").alias(id_col), "n_shingles", linked.alias("component_id"), F.col("id").eqNullSafe(linked).alias("kept"))
+    more = [F.col("row").alias(row_col), ((F.col("n_shingles") == 0) | (F.col("row") == F.col("first_row"))).alias("first")] if row_col else []
+    return out.select(F.col("id").alias(id_col), "n_shingles", linked.alias("component_id"), F.col("id").eqNullSafe(linked).alias("kept"), *more)

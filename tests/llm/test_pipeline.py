@@ -1,3 +1,5 @@
+import numpy as np
+
 import corpus_pipeline
 from tensorlane.llm import crf, personal_data
 from tests.llm import test_operators as plain
@@ -38,3 +40,23 @@ def test_stages_against_plain_versions(spark):
     pieces = step("packing", marked)
     rows = [(r["doc_id"], r["text"]) for r in marked.collect()]
     plain.check_pieces(pieces.collect(), rows, 1024)
+
+
+def test_rows_with_null_or_repeated_ids_are_judged_one_by_one(spark):
+    rng = np.random.default_rng(21)
+    texts = [plain.sentence(rng, 80) for _ in range(60)]
+    rows = [(None if k % 3 == 0 else k // 2, t) for k, t in enumerate(texts)]  # a third without an id, others in pairs
+    junk = [(None, "too short"), (1, "too short"), (None, " ".join(w + "%%%" for w in texts[1].split()))]
+    copies = [(None, texts[0]), (None, texts[3] + " more"), (500, texts[6]), (2, texts[5]), (7, texts[8] + " more")]
+    every = [(i, t, "en", "s", len(t)) for i, t in rows + junk + copies]
+    docs = plain.written(spark.createDataFrame(every, "doc_id long, text string, lang string, source string, n_chars long"), "test")
+    stages = dict(corpus_pipeline.STAGES)
+    good = plain.written(stages["quality"](spark, docs, DIR), "test")
+    assert plain.ordered((r["doc_id"], r["text"]) for r in good.collect()) == plain.ordered(rows + copies)
+    one = plain.ordered((r["doc_id"], r["text"]) for r in stages["near_duplicates"](spark, good, DIR).collect())
+    groups = {}
+    for i, t in rows + copies:
+        groups.setdefault(t.removesuffix(" more"), []).append((i is None, i or 0, t))
+    least = {g: min(members)[:2] for g, members in groups.items()}
+    assert len(one) == len(texts) and {t.removesuffix(" more") for _, t in one} == set(texts)
+    assert all((i is None, i or 0) == least[t.removesuffix(" more")] for i, t in one)
