@@ -5,9 +5,11 @@ Every document's set of shingle hashes is sketched by ``TOKENS`` minwise tokens.
 node of few documents all pairs are candidates.  In a larger one every document is a
 candidate with the node's smallest only, and it branches again, along ``BRANCHES`` further
 selected tokens, unless links found so far already hold all its documents together.  A
-pair of the least similarity follows one branch with probability ``similarity``, so it is
-lost at the root of all trees with probability (1 - similarity) ** TREES, and along a path with
-(1 - similarity) ** BRANCHES a level in each tree: the target recall.
+pair of the least similarity follows one branch with probability ``similarity``, so a tree
+loses it at the root with probability 1 - similarity, and at each further level with
+(1 - similarity) ** BRANCHES.  Every branch of every level of every tree selects a token of its own, so
+trees lose a pair independently of each other: ``path_loss`` gives the loss in all of them.
+The tokens below the roots are made only for documents of nodes that branch.
 
 Candidates that agree in fewer tokens than a pair of the least similarity does but once in
 a million are dropped; the rest are confirmed on their full sets.  Equal sets are one
@@ -28,7 +30,8 @@ from pyspark.sql import functions as F
 from .common import SPACE_BYTES, Words, buffers, document_blocks, drop_written, lower_table, mix, small_batches, utf8, written
 
 TOKENS = 64
-TREES = 16
+#: So many that a pair at 0.75 whose nodes are crowded down to the last level is lost once in 100,000 at most.
+TREES = 18
 BRANCHES = 2
 #: Nodes of at most so many documents are compared exhaustively.
 SMALL = 12
@@ -80,6 +83,16 @@ def least_agreement(similarity: float, tokens: int, miss: float = MISS) -> int:
         c += 1
 
 
+def path_loss(similarity: float, trees: int = TREES, branches: int = BRANCHES, levels: int = LEVELS) -> float:
+    """Probability that a pair of that similarity shares no node of the last level in any tree."""
+    return (1 - similarity * (1 - (1 - similarity) ** branches) ** (levels - 1)) ** trees
+
+
+def picked(tree: int, depth: int, branch: int) -> int:
+    """Number of the token by which a tree's nodes of a depth branch; the roots read tokens 0, 1 ... of the signature."""
+    return TOKENS + (tree * (LEVELS - 1) + depth) * BRANCHES + branch
+
+
 def _seeds(n: int) -> np.ndarray:
     return mix(np.arange(1, n + 1, dtype=np.uint64) * np.uint64(0xA24BAED4963EE407))
 
@@ -113,6 +126,23 @@ def _token(k: Column) -> Column:
     return F.substring(F.col("tokens"), k * 4 + 1, F.lit(4))
 
 
+def branch_tokens(bodies: DataFrame, size: int, trees: int) -> DataFrame:
+    """(key, tree, picks): the tokens of all branches of a tree in the order of levels, for texts (k, body)."""
+
+    def sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        words, seeds = shingle_words(), _seeds(picked(trees, 0, 0))[TOKENS:]
+        for b in document_blocks(batches, "body", TEXT_BYTES):
+            keys, picks = [], []
+            for s, k in zip(shingle_sets(*words.of(*buffers(b.column("body"))), size), b.column("k").to_pylist(), strict=True):
+                if digest(s) == k:  # another document with the same id has another digest
+                    tokens = (minwise(s, seeds) >> np.uint64(32)).astype("<u4").reshape(trees, -1)
+                    keys += [k] * trees
+                    picks += [t.tobytes() for t in tokens]
+            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array([*range(trees)] * (len(keys) // trees), pa.int32()), pa.array(picks, pa.binary())], ["key", "tree", "picks"])
+
+    return bodies.mapInArrow(sketch, "key binary, tree int, picks binary").dropDuplicates(["key", "tree"])
+
+
 def _linked(candidates: DataFrame, bodies: DataFrame, similarity: float, size: int) -> DataFrame:
     """Candidate pairs (a, b) whose full sets are similar enough; ``bodies`` holds the texts (k, body)."""
     percent = round(similarity * 100)
@@ -203,10 +233,12 @@ def near_duplicates(docs: DataFrame, *, similarity: float = 0.75, size: int = WO
     tree = F.explode(F.sequence(F.lit(0), F.lit(trees - 1)))
     at = sets.select("key", "tokens", tree.alias("tree"))
     level = at.select("key", F.xxhash64("tree", _token(F.col("tree"))).alias("node"), "tree")
-    labels = bodies = None
+    labels = bodies = picks = None
+    spent: list[DataFrame] = []
     tried: list[DataFrame] = []
     for depth in range(LEVELS):
         level = written(level, f"near-level-{depth}")
+        drop_written(*spent)
         if depth and level.isEmpty():
             break
         sizes = level.groupBy("node").agg(F.count("*").alias("n"), F.min("key").alias("first")).filter("n > 1")
@@ -251,13 +283,21 @@ def near_duplicates(docs: DataFrame, *, similarity: float = 0.75, size: int = WO
             root = big.join(labels, F.col("key") == F.col("member"), "left").select("node", F.coalesce("root", "key").alias("root"))
             apart = root.groupBy("node").agg((F.min("root") < F.max("root")).alias("apart")).filter("apart").select("node")
             big = big.join(apart, "node")
+        if last:
+            break
+        big = written(big, f"near-big-{depth}")
+        if big.isEmpty():
+            break
+        if picks is None:  # later documents that branch are among these
+            crowded = big.select(F.col("key").alias("k")).distinct()
+            picks = written(branch_tokens(bodies.join(crowded, "k", "left_semi"), size, trees), "near-picks")
         branch = F.explode(F.sequence(F.lit(0), F.lit(BRANCHES - 1)))
-        # paths of different trees take their tokens in different order; those of one level are all different
-        chosen = F.pmod(F.col("tree") * 5 + (depth * BRANCHES + F.col("branch")) * 7 + 1, F.lit(TOKENS)).cast("int")
-        level = (
-            big.withColumn("branch", branch).join(sets.select("key", "tokens"), "key")
-            .select("key", F.xxhash64("node", "branch", _token(chosen)).alias("node"), "tree")
+        token = F.substring(F.col("picks"), (depth * BRANCHES + F.col("branch")) * 4 + 1, F.lit(4))
+        level_was, level = level, (
+            big.join(picks, ["key", "tree"]).withColumn("branch", branch)
+            .select("key", F.xxhash64("node", "branch", token).alias("node"), "tree")
         )
+        spent = [level_was, sizes, big]
     named = sets.select("key", "id", "row")
     if labels is not None:
         named = named.join(labels, F.col("key") == F.col("member"), "left").select("key", "id", "row", F.coalesce("root", "key").alias("root"))

@@ -282,6 +282,46 @@ def test_agreement_bound():
     c = near_duplicates.least_agreement(0.75, 64)
     assert 25 < c < 40
 
+def test_trees_lose_a_pair_independently():
+    trees, levels, branches = near_duplicates.TREES, near_duplicates.LEVELS, near_duplicates.BRANCHES
+    picks = np.array([[[near_duplicates.picked(t, d, b) for b in range(branches)] for d in range(levels - 1)] for t in range(trees)])
+    used = [*range(trees), *picks.ravel().tolist()]
+    assert len(set(used)) == len(used) == trees * (1 + (levels - 1) * branches)
+    assert near_duplicates.path_loss(0.75) < 1e-5
+    # simulated with fewer trees, where the loss can be counted
+    same = np.random.default_rng(2).random((40_000, picks.max() + 1)) < 0.75
+    lost = np.ones(len(same), bool)
+    for t in range(4):
+        lost &= ~(same[:, t] & same[:, picks[t]].any(2).all(1))
+    assert abs(lost.mean() / near_duplicates.path_loss(0.75, trees=4) - 1) < 0.1
+
+
+def test_branch_tokens_are_minwise_tokens_in_order(spark):
+    text = sentence(np.random.default_rng(3), 90)
+    words = near_duplicates.shingle_words()
+    data = np.frombuffer(text.encode(), np.uint8)
+    [s] = near_duplicates.shingle_sets(*words.of(data, np.array([0, len(data)])))
+    key = near_duplicates.digest(s)
+    bodies = spark.createDataFrame([(key, text.encode()), (key, text.encode()), (key, b"another text with that id")], "k binary, body binary")
+    out = {r["tree"]: np.frombuffer(r["picks"], "<u4") for r in near_duplicates.branch_tokens(bodies, 5, 3).collect()}
+    every = near_duplicates.minwise(s, near_duplicates._seeds(near_duplicates.picked(3, 0, 0))) >> np.uint64(32)
+    assert sorted(out) == [0, 1, 2]
+    for t in range(3):
+        want = [every[near_duplicates.picked(t, d, b)] for d in range(near_duplicates.LEVELS - 1) for b in range(near_duplicates.BRANCHES)]
+        assert out[t].tolist() == [int(x) for x in want]
+
+
+def test_crowded_nodes_branch_to_the_last_level(spark):
+    rng = np.random.default_rng(13)
+    shared = sentence(rng, 200).split()
+    rows = []
+    for k in range(60):  # pairs at about 0.8, all of one large part in common that isn't enough to link them
+        own = shared + [f"p{k}w{j}" for j in range(90)]
+        twin = own[:270] + [f"q{k}w{j}" for j in range(20)]
+        rows += [(2 * k, " ".join(own)), (2 * k + 1, " ".join(twin))]
+    out = near_duplicates.near_duplicates(table(spark, rows), small=2).collect()
+    assert ordered(map(tuple, out)) == ordered(brute_components(rows))
+
 
 # -- personal data ------------------------------------------------------------------------
 
