@@ -1,4 +1,4 @@
-"""Measures: time, cost, memory, agreement of outputs, coverage and speed-up summaries."""
+"""Measures: time, cost, agreement of outputs, coverage and speed-up summaries."""
 
 from __future__ import annotations
 
