@@ -8,7 +8,7 @@ import tempfile
 import uuid
 
 import numpy as np
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 #: ASCII white space: space, and tab to carriage return.
@@ -60,6 +60,34 @@ def drop_written(*tables: DataFrame) -> None:
             at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
 
 
+#: A key that holds more than one in so many rows is looked up in a table that all workers get; there are fewer such keys than this.
+HEAVY_KEYS = 10_000
+
+
+def counted(df: DataFrame, label: str, count: str) -> DataFrame:
+    """``written``, with the sum and the maximum of a column of counts taken on the way."""
+    seen = Observation()
+    out = written(df.observe(seen, F.sum(count).alias("rows"), F.max(count).alias("most")), label)
+    out._counts = (seen.get.get("rows") or 0, seen.get.get("most") or 0)
+    return out
+
+
+def join_by_count(left: DataFrame, right: DataFrame, on: str, count: str, how: str = "inner") -> DataFrame:
+    """``left`` joined with ``right`` (see ``counted``), which has one row a key and the number of the left's rows in column ``count``.
+
+    The few keys with many rows would meet in one task each: they are broadcast, a list whose length is bounded
+    whatever the sizes of the tables.  All other rows are joined as Spark sees fit.
+    """
+    rows, most = right._counts
+    limit = max(rows // HEAVY_KEYS, 1000)
+    if most <= limit:
+        return left.join(right, on, how)
+    heavy = F.col(count) > limit
+    hot = F.broadcast(right.filter(heavy))
+    rest = left.join(F.broadcast(right.filter(heavy).select(on)), on, "left_anti").join(right.filter(~heavy), on, how)
+    return left.join(hot, on).unionByName(rest)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

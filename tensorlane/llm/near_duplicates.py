@@ -3,17 +3,20 @@
 Every document's set of shingle hashes is sketched by ``TOKENS`` minwise tokens.  Each of
 ``TREES`` independent trees branches its documents by one selected token at the root.  In a
 node of few documents all pairs are candidates.  In a larger one every document is a
-candidate with the node's smallest only, and it branches again, along ``BRANCHES`` further
-selected tokens, unless links found so far already hold all its documents together.  A
-pair of the least similarity follows one branch with probability ``similarity``, so a tree
-loses it at the root with probability 1 - similarity, and at each further level with
-(1 - similarity) ** BRANCHES.  Every branch of every level of every tree selects a token of its own, so
-trees lose a pair independently of each other: ``path_loss`` gives the loss in all of them.
-The tokens below the roots are made only for documents of nodes that branch.
-
-Candidates that agree in fewer tokens than a pair of the least similarity does but once in
-a million are dropped; the rest are confirmed on their full sets.  Equal sets are one
-document from the start, and links are contracted to components by distributed rounds.
+candidate with the node's first only, and the node branches again, along one or (by a bit of its
+hash) two further selected tokens, unless links found so far already hold all its documents
+together.  That is 1.5 branches on average: pairs of a similarity under 2/3 die out on the way,
+while a pair of 0.75 lives on however deep crowded nodes go.  There is no last level: nodes branch until
+none is crowded, so no large node is ever compared in full; what counts as large doubles with the depth within a
+bound, since what still stands together there are groups of much alike documents.  Every branch of every level of every
+tree selects a token of its own, so trees lose a pair independently: ``path_loss`` gives the
+loss in all of them.
+
+The roots of the first trees are linked first; what they hold together takes no further
+part.  Candidates that agree in fewer tokens than a pair of the least similarity does but once in
+a million are dropped (``miss=0`` keeps them all); the rest are confirmed on their full sets: the texts
+that meet one hub stream past it, so no row holds two texts.  Equal sets are one document
+from the start, and links are contracted to components by distributed rounds.
 """
 
 from __future__ import annotations
@@ -27,20 +30,28 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import SPACE_BYTES, Words, buffers, document_blocks, drop_written, lower_table, mix, small_batches, utf8, written
+from .common import SPACE_BYTES, Words, buffers, counted, document_blocks, drop_written, join_by_count, lower_table, mix, small_batches, utf8, written
 
 TOKENS = 64
-#: So many that a pair at 0.75 whose nodes are crowded down to the last level is lost once in 100,000 at most.
-TREES = 18
-BRANCHES = 2
-#: Nodes of at most so many documents are compared exhaustively.
-SMALL = 12
-#: A tree's path uses so many levels of selected tokens before its nodes are compared whatever their size.
+#: So many that a pair at 0.75 is lost once in 80,000 at most, however deep its nodes are crowded.
+TREES = 28
+#: Trees whose roots are linked before the others'.
+FIRST_TREES = 2
+#: Nodes of at most so many documents are compared exhaustively; from the second level on the number doubles, up to ``SMALL_MOST``.
+SMALL = 20
+SMALL_MOST = 1024
+#: Levels whose tokens are made at once.
 LEVELS = 8
+#: Most branches of a node.
+BRANCHES = 2
+#: Documents that stream past one copy of a hub's text.
+HUB_ROWS = 4096
+#: Text lists of at most so many rows are sent to all workers in place of a shuffle of all texts.
+LOOKUP_ROWS = 1_000_000
 MISS = 1e-6
 TEXT_BYTES = 4 << 20
 WORDS = 5
-SIGNATURE = "key binary, id long, row long, n_shingles long, tokens binary"
+SIGNATURE = "key binary, id long, row long, n_shingles long, tokens array<int>"
 
 
 def shingle_words() -> Words:
@@ -50,51 +61,69 @@ def shingle_words() -> Words:
     return Words(is_word, lower_table())
 
 
+def _distinct(values: np.ndarray) -> np.ndarray:
+    values = np.sort(values)
+    new = values[1:] != values[:-1]
+    return values if new.all() else np.concatenate([values[:1], values[1:][new]])
+
+
 def shingle_sets(words: np.ndarray, first: np.ndarray, size: int = WORDS) -> list[np.ndarray]:
     """Sorted distinct shingle hashes of each document; a shorter one is a single shingle, none without words."""
-    odd = np.uint64(0x9E3779B97F4A7C15)
+    weights = mix(np.arange(1, size + 1, dtype=np.uint64)) | np.uint64(1)
+    full = np.zeros(max(len(words) - size + 1, 0), np.uint64)  # windows that reach into the next document are never read
+    for k in range(size if len(full) else 0):
+        full += words[k : k + len(full)] * weights[k]
+    full = mix(full + np.uint64(size))
     out = []
     for lo, hi in zip(first[:-1].tolist(), first[1:].tolist(), strict=True):
-        w = words[lo:hi]
-        n = len(w)
-        if n == 0:
+        n = hi - lo
+        if n >= size:
+            out.append(_distinct(full[lo : hi - size + 1]))
+        elif n:
+            out.append(mix((words[lo:hi] * weights[:n]).sum(dtype=np.uint64, keepdims=True) + np.uint64(n)))
+        else:
             out.append(np.zeros(0, np.uint64))
-            continue
-        span = min(size, n)
-        h = np.full(n - span + 1, np.uint64(span))
-        for k in range(span):
-            h = mix(h * odd + w[k : n - span + 1 + k])
-        out.append(np.unique(h))
     return out
 
 
-def minwise(shingles: np.ndarray, seeds: np.ndarray) -> np.ndarray:
-    """The smallest value of each hash function over a set."""
-    return np.array([((shingles ^ s) * np.uint64(0xD6E8FEB86659FD93)).min() for s in seeds], np.uint64) if len(shingles) else np.zeros(len(seeds), np.uint64)
+#: Elements of a set that meet all hash functions at once.
+_STRIP = 4096
+
+
+def minwise(shingles: np.ndarray, seeds: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+    """The smallest value of each 32-bit hash function over a set."""
+    xor, factor = seeds
+    out = np.full(len(xor), 0xFFFFFFFF, np.uint32)
+    folded = (shingles ^ (shingles >> np.uint64(32))).astype(np.uint32)
+    for k in range(0, len(folded), _STRIP):
+        np.minimum(out, ((folded[k : k + _STRIP] ^ xor) * factor).min(axis=1), out=out)
+    return out
 
 
 def least_agreement(similarity: float, tokens: int, miss: float = MISS) -> int:
     """The largest c for which a pair of that similarity agrees in fewer than c tokens with probability ``miss`` at most."""
     total, c = 0.0, 0
-    while True:
+    while c < tokens:
         total += comb(tokens, c) * similarity**c * (1 - similarity) ** (tokens - c)
         if total > miss:
             return c
         c += 1
+    return c
 
 
-def path_loss(similarity: float, trees: int = TREES, branches: int = BRANCHES, levels: int = LEVELS) -> float:
-    """Probability that a pair of that similarity shares no node of the last level in any tree."""
-    return (1 - similarity * (1 - (1 - similarity) ** branches) ** (levels - 1)) ** trees
-
-
-def picked(tree: int, depth: int, branch: int) -> int:
-    """Number of the token by which a tree's nodes of a depth branch; the roots read tokens 0, 1 ... of the signature."""
-    return TOKENS + (tree * (LEVELS - 1) + depth) * BRANCHES + branch
+def path_loss(similarity: float, trees: int = TREES, levels: int | None = None) -> float:
+    """Probability that a pair of that similarity meets in no tree, where its nodes are crowded for so many levels (None: for ever)."""
+    alive = 1.0
+    for _ in range(1000 if levels is None else levels):
+        apart = 1 - similarity * alive
+        alive = 1 - (apart + apart**2) / 2  # a node has one branch or two
+    return (1 - similarity * alive) ** trees
 
 
-def _seeds(n: int) -> np.ndarray:
-    return mix(np.arange(1, n + 1, dtype=np.uint64) * np.uint64(0xA24BAED4963EE407))
+def _seeds(first: int, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Hash functions number ``first`` and the ``n - 1`` after it."""
+    s = mix(np.arange(first + 1, first + n + 1, dtype=np.uint64) * np.uint64(0xA24BAED4963EE407))
+    return (s >> np.uint64(32)).astype(np.uint32)[:, None], (s.astype(np.uint32) | np.uint32(1))[:, None]
 
 
 def signatures(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", size: int = WORDS, row_col: str | None = None) -> DataFrame:
@@ -102,11 +131,12 @@ def signatures(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
     small_batches(docs.sparkSession)
 
     def sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words, seeds = shingle_words(), _seeds(TOKENS)
+        words, seeds = shingle_words(), _seeds(0, TOKENS)
         for b in document_blocks(batches, "body", TEXT_BYTES):
             sets = shingle_sets(*words.of(*buffers(b.column("body"))), size)
-            tokens = [(minwise(s, seeds) >> np.uint64(32)).astype("<u4").tobytes() for s in sets]
-            yield pa.RecordBatch.from_arrays([pa.array([digest(s) for s in sets], pa.binary()), b.column("id"), b.column("row"), pa.array([len(s) for s in sets], pa.int64()), pa.array(tokens, pa.binary())], ["key", "id", "row", "n_shingles", "tokens"])
+            tokens = np.concatenate([minwise(s, seeds) for s in sets]).view(np.int32)
+            lists = pa.ListArray.from_arrays(np.arange(0, len(tokens) + 1, TOKENS, dtype=np.int32), tokens)
+            yield pa.RecordBatch.from_arrays([pa.array([digest(s) for s in sets], pa.binary()), b.column("id"), b.column("row"), pa.array([len(s) for s in sets], pa.int64()), lists], ["key", "id", "row", "n_shingles", "tokens"])
 
     row = F.col(row_col) if row_col else F.lit(None)
     return docs.select(F.col(id_col).cast("long").alias("id"), row.cast("long").alias("row"), utf8(text_col).alias("body")).mapInArrow(sketch, SIGNATURE)
@@ -121,85 +151,88 @@ def digest(shingles: np.ndarray) -> bytes:
     return np.array([a, b], "<u8").tobytes()
 
 
-def _token(k: Column) -> Column:
-    """Token k of a packed signature, as bytes."""
-    return F.substring(F.col("tokens"), k * 4 + 1, F.lit(4))
-
-
-def branch_tokens(bodies: DataFrame, size: int, trees: int) -> DataFrame:
-    """(key, tree, picks): the tokens of all branches of a tree in the order of levels, for texts (k, body)."""
+def branch_tokens(bodies: DataFrame, size: int, trees: int, depth: int) -> DataFrame:
+    """(num, picks): the tokens of all branches of ``LEVELS`` levels from ``depth`` on, tree by tree, for texts (num, body)."""
+    each = LEVELS * BRANCHES
 
     def sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words, seeds = shingle_words(), _seeds(picked(trees, 0, 0))[TOKENS:]
+        words, seeds = shingle_words(), _seeds(TOKENS + depth * BRANCHES * trees, trees * each)
         for b in document_blocks(batches, "body", TEXT_BYTES):
-            keys, picks = [], []
-            for s, k in zip(shingle_sets(*words.of(*buffers(b.column("body"))), size), b.column("k").to_pylist(), strict=True):
-                if digest(s) == k:  # another document with the same id has another digest
-                    tokens = (minwise(s, seeds) >> np.uint64(32)).astype("<u4").reshape(trees, -1)
-                    keys += [k] * trees
-                    picks += [t.tobytes() for t in tokens]
-            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array([*range(trees)] * (len(keys) // trees), pa.int32()), pa.array(picks, pa.binary())], ["key", "tree", "picks"])
+            sets = shingle_sets(*words.of(*buffers(b.column("body"))), size)
+            picks = [minwise(s, seeds).astype("<u4", copy=False).tobytes() for s in sets]
+            yield pa.RecordBatch.from_arrays([b.column("num"), pa.array(picks, pa.binary())], ["num", "picks"])
 
-    return bodies.mapInArrow(sketch, "key binary, tree int, picks binary").dropDuplicates(["key", "tree"])
+    return bodies.mapInArrow(sketch, "num long, picks binary")
 
 
 def _linked(candidates: DataFrame, bodies: DataFrame, similarity: float, size: int) -> DataFrame:
-    """Candidate pairs (a, b) whose full sets are similar enough; ``bodies`` holds the texts (k, body)."""
+    """Candidates (hub, share, num) whose full sets are similar enough, as links (a, b); ``bodies`` holds the texts (num, body).
+
+    A hub's text is fetched once for each of its shares, and the texts of its candidates follow it one by one.
+    """
     percent = round(similarity * 100)
 
     def confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = shingle_words()
-        for b in document_blocks(batches, "body_a", TEXT_BYTES):
-            x = shingle_sets(*words.of(*buffers(b.column("body_a"))), size)
-            y = shingle_sets(*words.of(*buffers(b.column("body_b"))), size)
-            ok = []
-            for s, t, a, c in zip(x, y, b.column("a").to_pylist(), b.column("b").to_pylist(), strict=True):
-                common = len(np.intersect1d(s, t, assume_unique=True))
-                # another document with the same id has another digest
-                ok.append(100 * common >= percent * (len(s) + len(t) - common) > 0 and digest(s) == a and digest(t) == c)
-            keep = pa.array(np.flatnonzero(ok))
-            yield pa.RecordBatch.from_arrays([b.column("a").take(keep), b.column("b").take(keep)], ["a", "b"])
-
-    left, right = bodies.select(F.col("k").alias("a"), F.col("body").alias("body_a")), bodies.select(F.col("k").alias("b"), F.col("body").alias("body_b"))
-    pairs = candidates.select("a", "b").join(left, "a").join(right, "b").select("a", "b", "body_a", "body_b")
-    return pairs.mapInArrow(confirm, "a binary, b binary").distinct()
+        words, hub_set, hub_of = shingle_words(), None, None
+        for b in document_blocks(batches, "body", TEXT_BYTES):
+            sets = shingle_sets(*words.of(*buffers(b.column("body"))), size)
+            rows = zip(sets, b.column("hub").to_pylist(), b.column("share").to_pylist(), b.column("num").to_pylist(), b.column("role").to_pylist(), strict=True)
+            a, c = [], []
+            for s, hub, share, num, role in rows:
+                if role == 0:
+                    hub_set, hub_of = s, (hub, share)
+                elif hub_of == (hub, share) and len(s):
+                    at = np.minimum(np.searchsorted(hub_set, s), len(hub_set) - 1)
+                    common = int(np.count_nonzero(hub_set[at] == s))
+                    if 100 * common >= percent * (len(s) + len(hub_set) - common):
+                        a.append(hub)
+                        c.append(num)
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(c, pa.int64())], ["a", "b"])
+
+    texts = bodies.select("num", "body")
+    hubs = candidates.select("hub", "share").distinct().join(texts, F.col("hub") == F.col("num")).select("hub", "share", F.lit(0).alias("role"), "num", "body")
+    others = candidates.select("hub", "share", "num").join(texts, "num").select("hub", "share", F.lit(1).alias("role"), "num", "body")
+    stream = hubs.unionByName(others).repartition("hub", "share").sortWithinPartitions("hub", "share", "role")
+    return stream.mapInArrow(confirm, "a long, b long")
 
 
 def _agreeing(least: int) -> Column:
     """Whether two signatures agree in at least ``least`` tokens."""
-    same = [F.when(F.substring("ta", k * 4 + 1, 4) == F.substring("tb", k * 4 + 1, 4), 1).otherwise(0) for k in range(TOKENS)]
-    return reduce(lambda x, y: x + y, same) >= least
+    return F.size(F.filter(F.zip_with("ta", "tb", lambda x, y: x == y), lambda same: same)) >= least
 
 
 def components(edges: DataFrame) -> DataFrame:
     """(node, root) of every node of a graph, by rounds in which each node joins its neighbour of the lowest rank.
 
-    Ranks are hashes of the node and the round, so that chains shrink by a constant share a round;
-    edges inside a contracted node vanish.
+    In the first round a node's rank is its number, which folds stars round their hub at once; then ranks are hashes
+    of the node and the round, so that chains shrink by a constant share a round.  Edges inside a
+    contracted node vanish, and the rounds end when none is left.
     """
     edges = written(edges.select("a", "b").filter("a != b").distinct(), "cc-edges")
-    nodes = edges.select(F.col("a").alias("node")).union(edges.select(F.col("b").alias("node"))).distinct()
-    labels = written(nodes.withColumn("root", F.col("node")), "cc-labels")
-    for step in range(100):
-        if edges.isEmpty():
-            break
+    labels = edges.select(F.explode(F.array("a", "b")).alias("node")).distinct().withColumn("root", F.col("node"))
+    first, rounds = edges, []
+    while not edges.isEmpty():
+        step = len(rounds)
         both = edges.union(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        rank = F.xxhash64(F.lit(step), "b")
+        rank = F.xxhash64(F.lit(step), "b") if step else F.col("b")
         parents = both.groupBy("a").agg(F.min(F.struct(rank.alias("rank"), F.col("b").alias("parent"))).alias("p"))
-        own = F.struct(F.xxhash64(F.lit(step), "a").alias("rank"), F.col("a").alias("parent"))
+        own = F.struct((F.xxhash64(F.lit(step), "a") if step else F.col("a")).alias("rank"), F.col("a").alias("parent"))
         parents = written(parents.select(F.col("a").alias("child"), F.least(own, F.col("p"))["parent"].alias("parent")), "cc-parents")
-        moved = labels.join(parents, labels["root"] == parents["child"], "left")
-        new_labels = written(moved.select("node", F.coalesce("parent", "root").alias("root")), "cc-labels")
-        up = parents.select("child", "parent")
-        onward = edges.join(up, F.col("a") == F.col("child")).select(F.col("parent").alias("x"), "b")
-        onward = onward.join(up, F.col("b") == F.col("child")).select(F.least("x", "parent").alias("a"), F.greatest("x", "parent").alias("b"))
+        onward = edges.join(parents, F.col("a") == F.col("child")).select(F.col("parent").alias("x"), "b")
+        onward = onward.join(parents, F.col("b") == F.col("child")).select(F.least("x", "parent").alias("a"), F.greatest("x", "parent").alias("b"))
         new_edges = written(onward.filter("a != b").distinct(), "cc-edges")
-        drop_written(edges, labels, parents)
-        edges, labels = new_edges, new_labels
+        rounds.append(parents)
+        if edges is not first:
+            drop_written(edges)
+        edges = new_edges
+    for parents in rounds:
+        labels = labels.join(parents, F.col("root") == F.col("child"), "left").select("node", F.coalesce("parent", "root").alias("root"))
+    labels = written(labels, "cc-labels")
+    drop_written(first, edges, *rounds)
     return labels
 
 
-def _joined(labels: DataFrame | None, links: DataFrame, depth: int) -> DataFrame:
+def _joined(labels: DataFrame | None, links: DataFrame, label: str) -> DataFrame:
     """(member, root) of all linked so far: only the roots that new links join are contracted again."""
     if labels is None:
         return components(links).withColumnRenamed("node", "member")
@@ -211,101 +244,146 @@ def _joined(labels: DataFrame | None, links: DataFrame, depth: int) -> DataFrame
     known = labels.withColumnRenamed("root", "was")
     known = known.join(moved, F.col("was") == F.col("node"), "left").select("member", F.coalesce("root", "was").alias("root"))
     fresh = moved.withColumnRenamed("node", "member").join(labels.select("member"), "member", "left_anti")
-    return written(known.unionByName(fresh), f"near-labels-{depth}")
+    out = written(known.unionByName(fresh), f"near-labels-{label}")
+    drop_written(labels, moved)
+    return out
+
+
+def _rooted(rows: DataFrame, labels: DataFrame | None) -> DataFrame:
+    """``rows`` with the root that links found so far give each document."""
+    if labels is None:
+        return rows.withColumn("root", F.col("num"))
+    return rows.join(labels.withColumnRenamed("member", "num"), "num", "left").withColumn("root", F.coalesce("root", "num"))
+
+
+def _crowds(level: DataFrame, label: str) -> DataFrame:
+    """Rows (node, num, tree, root) of nodes whose documents aren't held together yet, with the node's size ``n`` and its ``first``."""
+    level = written(level.select("node", "num", "tree", "root"), f"{label}-level")
+    apart = level.groupBy("node").agg(F.count("*").alias("n"), F.min("num").alias("first"), F.min("root").alias("low"), F.max("root").alias("high"))
+    apart = counted(apart.filter(F.col("low") < F.col("high")).drop("low", "high"), f"{label}-nodes", "n")
+    out = written(join_by_count(level, apart, "node", "n"), f"{label}-crowds")
+    out._counts = apart._counts
+    drop_written(level, apart)
+    return out
 
 
-def near_duplicates(docs: DataFrame, *, similarity: float = 0.75, size: int = WORDS, id_col: str = "doc_id", text_col: str = "text", trees: int = TREES, small: int = SMALL, row_col: str | None = None) -> DataFrame:
+def _candidates(crowds: DataFrame, sketches: DataFrame, small: int, similarity: float, least: int) -> DataFrame:
+    """Distinct (hub, share, num): pairs of small nodes, and everyone with the first of a large one, of like sizes and agreeing tokens."""
+    rows = crowds.join(sketches, "num")
+    hub = [F.col("num").alias("hub"), F.col("root").alias("hub_root"), F.col("n_set").alias("na"), F.col("tokens").alias("ta")]
+    rows = rows.withColumnsRenamed({"n_set": "nb", "tokens": "tb"})
+    hubs = rows.withColumnsRenamed({"nb": "n_set", "tb": "tokens"}).select("node", "n", "first", *hub)
+    few = rows.filter(F.col("n") <= small).join(hubs.filter(F.col("n") <= small).drop("n", "first"), "node").filter(F.col("hub") < F.col("num"))
+    large = hubs.filter((F.col("n") > small) & (F.col("hub") == F.col("first"))).drop("first")
+    large._counts = crowds._counts
+    many = join_by_count(rows.filter((F.col("n") > small) & (F.col("num") != F.col("first"))).drop("n", "first"), large, "node", "n")
+    share = F.pmod(F.xxhash64("num"), F.ceil(F.col("n") / HUB_ROWS)).cast("int")
+    shape = ["hub", "share", "num", "hub_root", "root", "na", "nb", "ta", "tb"]
+    pairs = few.withColumn("share", F.lit(0)).select(shape).unionByName(many.withColumn("share", share).select(shape))
+    close = (F.col("hub_root") != F.col("root")) & (F.least("na", "nb") >= F.greatest("na", "nb") * similarity)
+    if least > 0:
+        close &= _agreeing(least)
+    # the same pair may come from nodes of several sizes
+    return pairs.filter(close).groupBy("hub", "num").agg(F.min("share").alias("share"))
+
+
+def near_duplicates(docs: DataFrame, *, similarity: float = 0.75, size: int = WORDS, id_col: str = "doc_id", text_col: str = "text", trees: int = TREES, small: int = SMALL, row_col: str | None = None, miss: float = MISS) -> DataFrame:
     """Per document: id, ``n_shingles``, ``component_id`` (smallest id reachable by links) and ``kept`` (whether that is its own).
 
     Null texts and texts without words have an empty set and are linked with nothing, not even
-    each other; repeated rows are linked if they have words.  A null id is in no component's
-    name unless all its members' ids are null.  An empty table gives no rows; other columns are not read.
+    each other; repeated rows are linked if they have words; a pair at exactly the least similarity is linked.
+    A null id is in no component's name unless all its members' ids are null.  Very long texts are read whole, one at
+    a time.  An empty table gives no rows; other columns are not read.
 
     ``row_col`` names a unique key (a long): it is put out too, with ``first``, which holds for one row
     of each linked group (the least by id, null last, and key) and for every row without words.
+    ``miss`` is the share of true pairs that the comparison of tokens may drop; 0 confirms every candidate.
     """
-    rows = written(signatures(docs, id_col=id_col, text_col=text_col, size=size, row_col=row_col), "near-signatures")
-    filled = rows.filter("n_shingles > 0")
-    sets = written(filled.groupBy("key").agg(F.min("id").alias("id"), F.min("n_shingles").alias("n"), F.min("tokens").alias("tokens"), F.min(F.struct(F.col("id").isNull(), "id", "row"))["row"].alias("row")), "near-sets")
-    of = "row" if row_col else "id"
-    texts = docs.select(F.col(row_col or id_col).cast("long").alias(of), utf8(text_col).alias("body"))
-    least = least_agreement(similarity, TOKENS)
-    tree = F.explode(F.sequence(F.lit(0), F.lit(trees - 1)))
-    at = sets.select("key", "tokens", tree.alias("tree"))
-    level = at.select("key", F.xxhash64("tree", _token(F.col("tree"))).alias("node"), "tree")
-    labels = bodies = picks = None
-    spent: list[DataFrame] = []
+    keyed, own = docs, row_col
+    if row_col is None:  # ids may repeat or be null, so texts are fetched by a key of their own
+        own = "_near_row"
+        keyed = written(docs.select(F.col(id_col).cast("long").alias(id_col), F.col(text_col), F.monotonically_increasing_id().alias(own)), "near-docs")
+    rows = written(signatures(keyed, id_col=id_col, text_col=text_col, size=size, row_col=own), "near-signatures")
+    filled = rows.filter("n_shingles > 0").groupBy("key").agg(
+        F.min("id").alias("id"), F.count("*").alias("copies"), F.min("n_shingles").alias("n_set"), F.min("tokens").alias("tokens"), F.min(F.struct(F.col("id").isNull(), "id", "row"))["row"].alias("row"),
+    )
+    sets = written(filled.withColumn("num", F.monotonically_increasing_id()), "near-sets")
+    sketches = sets.select("num", "n_set", "tokens")
+    least = least_agreement(similarity, TOKENS, miss) if miss > 0 else 0
+    stored = keyed.select(F.col(own).cast("long").alias("row"), utf8(text_col).alias("body"))
+
+    def texts_of(wanted: DataFrame, label: str) -> DataFrame:
+        """(num, body) of the documents wanted."""
+        chosen = written(sets.select("num", "row").join(wanted.distinct(), "num"), f"{label}-wanted")
+        chosen = F.broadcast(chosen) if chosen.count() <= LOOKUP_ROWS else chosen
+        return written(stored.join(chosen, "row").select("num", "body"), f"{label}-texts")
+
+    limit = small
     tried: list[DataFrame] = []
-    for depth in range(LEVELS):
-        level = written(level, f"near-level-{depth}")
-        drop_written(*spent)
-        if depth and level.isEmpty():
-            break
-        sizes = level.groupBy("node").agg(F.count("*").alias("n"), F.min("key").alias("first")).filter("n > 1")
-        if labels is not None:
-            root = level.join(labels, F.col("key") == F.col("member"), "left").select("node", F.coalesce("root", "key").alias("root"))
-            apart = root.groupBy("node").agg((F.min("root") < F.max("root")).alias("apart")).filter("apart").select("node")
-            sizes = sizes.join(apart, "node")
-        sizes = written(sizes, f"near-sizes-{depth}")
-        grouped = level.join(sizes, "node")
-        last = depth == LEVELS - 1
-        within = F.lit(True) if last else F.col("n") <= small
-        few = grouped.filter(within).select("node", "key")
-        pairs = few.select("node", F.col("key").alias("a")).join(few.select("node", F.col("key").alias("b")), "node").filter("a < b").select("a", "b")
-        stars = grouped.filter(~within & (F.col("key") != F.col("first"))).select(F.col("first").alias("a"), F.col("key").alias("b"))
-        candidates = pairs.union(stars).distinct()
-        if labels is not None:
-            candidates = (
-                candidates.join(labels.select(F.col("member").alias("a"), F.col("root").alias("ra")), "a", "left")
-                .join(labels.select(F.col("member").alias("b"), F.col("root").alias("rb")), "b", "left")
-                .filter(F.coalesce("ra", "a") != F.coalesce("rb", "b")).select("a", "b")
-            )
-        # pairs of like size that agree in enough tokens
-        light = sets.select("key", "n", "tokens")
-        candidates = (
-            candidates.join(light.select(F.col("key").alias("a"), F.col("n").alias("na"), F.col("tokens").alias("ta")), "a")
-            .join(light.select(F.col("key").alias("b"), F.col("n").alias("nb"), F.col("tokens").alias("tb")), "b")
-            .filter((F.least("na", "nb") >= F.greatest("na", "nb") * similarity) & _agreeing(least)).select("a", "b")
-        )
-        for earlier in tried:
-            candidates = candidates.join(earlier, ["a", "b"], "left_anti")
-        candidates = written(candidates, f"near-candidates-{depth}")
-        tried.append(candidates)
-        big = grouped.filter(~within).select("key", "node", "tree")
-        if bodies is None:  # later candidates come from nodes that are large now
-            wanted = candidates.select("a").union(candidates.select("b")).union(big.select("key")).distinct().toDF("key")
-            chosen = written(sets.join(wanted, "key").select(F.col("key").alias("k"), F.col(of).alias("of")), "near-wanted")
-            bodies = written(texts.join(chosen, F.col(of).eqNullSafe(F.col("of"))).select("k", "body"), "near-texts")
-        if not candidates.isEmpty():
-            links = written(_linked(candidates, bodies, similarity, size), f"near-links-{depth}")
-            labels = _joined(labels, links, depth)
-        if labels is not None:
-            root = big.join(labels, F.col("key") == F.col("member"), "left").select("node", F.coalesce("root", "key").alias("root"))
-            apart = root.groupBy("node").agg((F.min("root") < F.max("root")).alias("apart")).filter("apart").select("node")
-            big = big.join(apart, "node")
-        if last:
-            break
-        big = written(big, f"near-big-{depth}")
-        if big.isEmpty():
-            break
-        if picks is None:  # later documents that branch are among these
-            crowded = big.select(F.col("key").alias("k")).distinct()
-            picks = written(branch_tokens(bodies.join(crowded, "k", "left_semi"), size, trees), "near-picks")
-        branch = F.explode(F.sequence(F.lit(0), F.lit(BRANCHES - 1)))
-        token = F.substring(F.col("picks"), (depth * BRANCHES + F.col("branch")) * 4 + 1, F.lit(4))
-        level_was, level = level, (
-            big.join(picks, ["key", "tree"]).withColumn("branch", branch)
-            .select("key", F.xxhash64("node", "branch", token).alias("node"), "tree")
-        )
-        spent = [level_was, sizes, big]
-    named = sets.select("key", "id", "row")
+    links: list[DataFrame] = []
+
+    def link(crowds: DataFrame, light: DataFrame, label: str, bodies: DataFrame | None, more: DataFrame | None = None) -> DataFrame:
+        """The texts; candidates and links of these nodes go to ``tried`` and ``links``."""
+        fresh = _candidates(crowds, light, limit, similarity, least)
+        if tried:
+            fresh = fresh.join(reduce(DataFrame.union, tried), ["hub", "num"], "left_anti")
+        fresh = written(fresh, f"{label}-candidates")
+        if bodies is None:
+            wanted = fresh.select(F.col("hub").alias("num")).union(fresh.select("num"))
+            bodies = texts_of(wanted if more is None else wanted.union(more), label)
+        tried.append(fresh.select("hub", "num"))
+        links.append(written(_linked(fresh, bodies, similarity, size), f"{label}-links"))
+        return bodies
+
+    def joined(labels: DataFrame | None, label: str) -> DataFrame | None:
+        """Labels after the links not yet contracted."""
+        waiting = [links.pop() for _ in range(len(links))]
+        every = reduce(DataFrame.union, waiting) if waiting else None
+        if every is not None and not every.isEmpty():
+            labels = _joined(labels, every, label)
+        drop_written(*waiting)
+        return labels
+
+    tree = F.explode(F.sequence(F.lit(0), F.lit(trees - 1)))
+    roots = sets.select("num", "tokens", tree.alias("tree")).select("num", "tree", F.xxhash64("tree", F.get("tokens", F.col("tree"))).alias("node"))
+    met = _crowds(_rooted(roots, None), "near-roots")
+    bodies = link(_crowds(_rooted(met.filter(F.col("tree") < FIRST_TREES).select("node", "num", "tree"), None), "near-first"), sketches, "near-first", None)
+    drop_written(bodies)
+    labels = joined(None, "near-first")
+    crowds = _crowds(_rooted(met.select("node", "num", "tree"), labels), "near-0")
+    drop_written(met)
+    bodies = link(crowds, sketches, "near-0", None, crowds.filter(F.col("n") > limit).select("num"))
+    labels = joined(labels, "near-0")
+    light = picks = None
+    depth = 0
+    while not crowds.filter(F.col("n") > limit).isEmpty():
+        big = crowds.filter(F.col("n") > limit).select("node", "num", "tree")
+        if depth % LEVELS == 0:
+            members = written(big.select("num").distinct(), f"near-members-{depth}")
+            if light is None:  # documents of deeper levels are among these
+                light = written(sketches.join(members, "num", "left_semi"), "near-light")
+            drop_written(*([picks] if picks is not None else []))
+            picks = written(branch_tokens(bodies.join(members, "num", "left_semi"), size, trees, depth), f"near-picks-{depth}")
+        branches = F.explode(F.when(F.col("node") % 2 == 0, F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(0))))
+        at = (F.col("tree") * LEVELS + depth % LEVELS) * BRANCHES + F.col("branch")
+        level = big.join(picks, "num").withColumn("branch", branches).select("num", "tree", F.xxhash64("node", "branch", F.substring(F.col("picks"), at * 4 + 1, F.lit(4))).alias("node"))
+        depth += 1
+        limit = max(small, min(small << (depth - 1), SMALL_MOST))
+        was, crowds = crowds, _crowds(_rooted(level, labels), f"near-{depth}")
+        drop_written(was)
+        link(crowds, light, f"near-{depth}", bodies)
+        if depth % 4 == 2:  # links wait for the next contraction; until then they only cost some work
+            labels = joined(labels, f"near-{depth}")
+    labels = joined(labels, "near-last")
+    drop_written(bodies, *([keyed] if row_col is None else []))
+    named = sets.select("key", "num", "id", "row", "copies")
     if labels is not None:
-        named = named.join(labels, F.col("key") == F.col("member"), "left").select("key", "id", "row", F.coalesce("root", "key").alias("root"))
-        smallest = named.groupBy("root").agg(F.min("id").alias("component"), F.min(F.struct(F.col("id").isNull(), "id", "row"))["row"].alias("first_row"))
-        named = named.join(smallest, "root").select("key", "component", "first_row")
+        named = written(_rooted(named, labels), "near-named")
+        smallest = named.groupBy("root").agg(F.count("*").alias("members"), F.min("id").alias("component"), F.min(F.struct(F.col("id").isNull(), "id", "row"))["row"].alias("first_row"))
+        named = join_by_count(named, counted(smallest, "near-smallest", "members"), "root", "members").select("key", "copies", "component", "first_row")
     else:
-        named = named.select("key", F.col("id").alias("component"), F.col("row").alias("first_row"))
+        named = named.select("key", "copies", F.col("id").alias("component"), F.col("row").alias("first_row"))
     linked = F.when(F.col("n_shingles") > 0, F.col("component")).otherwise(F.col("id"))
-    out = rows.drop("tokens").join(named, "key", "left")
+    out = join_by_count(rows.drop("tokens"), counted(named, "near-components", "copies"), "key", "copies", "left")
     more = [F.col("row").alias(row_col), ((F.col("n_shingles") == 0) | (F.col("row") == F.col("first_row"))).alias("first")] if row_col else []
     return out.select(F.col("id").alias(id_col), "n_shingles", linked.alias("component_id"), F.col("id").eqNullSafe(linked).alias("kept"), *more)

@@ -282,36 +282,49 @@ def test_agreement_bound():
     c = near_duplicates.least_agreement(0.75, 64)
     assert 25 < c < 40
 
-def test_trees_lose_a_pair_independently():
-    trees, levels, branches = near_duplicates.TREES, near_duplicates.LEVELS, near_duplicates.BRANCHES
-    picks = np.array([[[near_duplicates.picked(t, d, b) for b in range(branches)] for d in range(levels - 1)] for t in range(trees)])
-    used = [*range(trees), *picks.ravel().tolist()]
-    assert len(set(used)) == len(used) == trees * (1 + (levels - 1) * branches)
-    assert near_duplicates.path_loss(0.75) < 1e-5
-    # simulated with fewer trees, where the loss can be counted
-    same = np.random.default_rng(2).random((40_000, picks.max() + 1)) < 0.75
-    lost = np.ones(len(same), bool)
-    for t in range(4):
-        lost &= ~(same[:, t] & same[:, picks[t]].any(2).all(1))
-    assert abs(lost.mean() / near_duplicates.path_loss(0.75, trees=4) - 1) < 0.1
-
-
-def test_branch_tokens_are_minwise_tokens_in_order(spark):
+
+def test_trees_lose_a_pair_as_rarely_as_stated():
+    assert near_duplicates.path_loss(0.75) < 1.3e-5 and near_duplicates.path_loss(0.75, levels=7) < 1e-6
+    # simulated: a node has one branch or two, and a pair follows each with the similarity
+    rng, alive = np.random.default_rng(2), np.ones(40_000, int)
+    alive = rng.binomial(alive, 0.75)
+    for _ in range(5):
+        alive = rng.binomial(alive + rng.binomial(alive, 0.5), 0.75)
+    assert abs((alive == 0).mean() / near_duplicates.path_loss(0.75, trees=1, levels=5) - 1) < 0.03
+
+
+def test_hash_functions_agree_as_often_as_sets_are_similar():
+    rng = np.random.default_rng(4)
+    x = rng.integers(0, 1 << 63, 900).astype(np.uint64)
+    seeds = near_duplicates._seeds(0, 2000)
+    for shared in (300, 600, 800):
+        a, b = x[:shared], x[shared:]
+        half = len(b) // 2
+        same = near_duplicates.minwise(np.concatenate([a, b[:half]]), seeds) == near_duplicates.minwise(np.concatenate([a, b[half:]]), seeds)
+        assert abs(same.mean() - shared / 900) < 0.05
+    long = rng.integers(0, 1 << 63, 20_000).astype(np.uint64)
+    parts = [near_duplicates.minwise(long[k : k + 5000], seeds) for k in range(0, 20_000, 5000)]
+    assert np.array_equal(near_duplicates.minwise(long, seeds), np.min(parts, axis=0))
+
+
+def test_branch_tokens_differ_from_each_other_and_from_the_roots(spark):
     text = sentence(np.random.default_rng(3), 90)
     words = near_duplicates.shingle_words()
     data = np.frombuffer(text.encode(), np.uint8)
     [s] = near_duplicates.shingle_sets(*words.of(data, np.array([0, len(data)])))
-    key = near_duplicates.digest(s)
-    bodies = spark.createDataFrame([(key, text.encode()), (key, text.encode()), (key, b"another text with that id")], "k binary, body binary")
-    out = {r["tree"]: np.frombuffer(r["picks"], "<u4") for r in near_duplicates.branch_tokens(bodies, 5, 3).collect()}
-    every = near_duplicates.minwise(s, near_duplicates._seeds(near_duplicates.picked(3, 0, 0))) >> np.uint64(32)
-    assert sorted(out) == [0, 1, 2]
-    for t in range(3):
-        want = [every[near_duplicates.picked(t, d, b)] for d in range(near_duplicates.LEVELS - 1) for b in range(near_duplicates.BRANCHES)]
-        assert out[t].tolist() == [int(x) for x in want]
+    bodies = spark.createDataFrame([(7, text.encode())], "num long, body binary")
+    each = near_duplicates.LEVELS * near_duplicates.BRANCHES * 3
+    picks = [np.frombuffer(near_duplicates.branch_tokens(bodies, 5, 3, d).first()["picks"], "<u4") for d in (0, near_duplicates.LEVELS)]
+    every = near_duplicates.minwise(s, near_duplicates._seeds(0, near_duplicates.TOKENS + 2 * each))
+    assert np.array_equal(np.concatenate(picks), every[near_duplicates.TOKENS :])
+
+
+def test_every_candidate_is_confirmed_where_nothing_may_be_missed(spark, docs):
+    out = near_duplicates.near_duplicates(docs, miss=0).collect()
+    assert ordered(map(tuple, out)) == ordered(brute_components(corpus()))
 
 
-def test_crowded_nodes_branch_to_the_last_level(spark):
+def test_crowded_nodes_branch_until_none_is_left(spark):
     rng = np.random.default_rng(13)
     shared = sentence(rng, 200).split()
     rows = []
