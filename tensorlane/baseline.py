@@ -60,14 +60,16 @@ def node_table(spark, forest: ForestSpec) -> DataFrame:
 def relational_walk(df: DataFrame, forest: ForestSpec, names: list[str], keep: list[str]) -> DataFrame:
     """Every row's cursor of every tree moves by one join with the node table a level."""
     nodes = F.broadcast(node_table(df.sparkSession, forest))  # a model has a fixed size
-    at = df.select(*keep, F.array(*names).alias("x"), F.explode(F.sequence(F.lit(0), F.lit(len(forest.trees) - 1))).alias("tree")).withColumn("node", F.lit(0))
+    trees = F.explode(F.sequence(F.lit(0), F.lit(len(forest.trees) - 1)))
+    # a number of its own keeps rows with equal keys apart
+    at = df.select(*keep, F.monotonically_increasing_id().alias("_row"), F.array(*names).alias("x")).select("*", trees.alias("tree")).withColumn("node", F.lit(0))
     for _ in range(forest.depth()):
         test = F.element_at("x", F.col("feature") + 1) < F.col("threshold")
         if forest.cmp != "<":
             test = F.element_at("x", F.col("feature") + 1) <= F.col("threshold")
-        at = at.join(nodes, ["tree", "node"]).select(*keep, "x", "tree", F.when(test, F.col("l")).otherwise(F.col("r")).alias("node"))
+        at = at.join(nodes, ["tree", "node"]).select(*keep, "_row", "x", "tree", F.when(test, F.col("l")).otherwise(F.col("r")).alias("node"))
     reached = at.join(nodes, ["tree", "node"])
-    return reached.groupBy(*keep).agg(*[(F.sum(F.col("value")[j]) / len(forest.trees)).alias(f"p{j}") for j in range(forest.outputs)])
+    return reached.groupBy("_row", *keep).agg(*[(F.sum(F.col("value")[j]) / len(forest.trees)).alias(f"p{j}") for j in range(forest.outputs)]).drop("_row")
 
 
 def relational_gemm(df: DataFrame, tree, names: list[str], key: str) -> DataFrame:
@@ -84,11 +86,12 @@ def relational_gemm(df: DataFrame, tree, names: list[str], key: str) -> DataFram
     s = to_coo(verdicts, key, [f"d{k}" for k in range(n_d)]).withColumnRenamed(key, "i")
     c = spark.createDataFrame([(int(i), int(j), float(g.ancestry[0, i, j])) for i, j in zip(*np.nonzero(g.ancestry[0]), strict=True)], "i int, j int, v double")
     score = coo_matmul(s, F.broadcast(c))
-    # leaves that no true verdict touches have score 0 and no row
     leaves = spark.createDataFrame([(k, float(g.lefts[0, k]), g.value[0, k].tolist()) for k in range(n_l)], "j int, lefts double, value array<double>")
-    full = df.select(F.col(key).alias("i")).join(F.broadcast(leaves)).join(score, ["i", "j"], "left")
-    reached = full.filter(F.coalesce("v", F.lit(0.0)) == F.col("lefts"))
-    return reached.select(F.col("i").alias(key), *[F.col("value")[k].alias(f"p{k}") for k in range(g.value.shape[2])])
+    reached = score.join(F.broadcast(leaves), "j").filter(F.col("v") == F.col("lefts")).select("i", "value")
+    # only the leaf to the right of every decision has score 0: it is that of the rows that reach no other
+    last = [g.value[0, k].tolist() for k in range(n_l) if g.lefts[0, k] == 0.0]
+    every = df.select(F.col(key).alias("i")).join(reached, "i", "left").withColumn("value", F.coalesce("value", F.lit(last[0] if last else None).cast("array<double>")))
+    return every.select(F.col("i").alias(key), *[F.col("value")[k].alias(f"p{k}") for k in range(g.value.shape[2])])
 
 
 def stagewise(df: DataFrame, dag: PipelineDag, keep: list[str]) -> DataFrame:

@@ -9,6 +9,8 @@ selection must stay above (a blocking operator).
 from __future__ import annotations
 
 from collections.abc import Callable
+from contextlib import contextmanager
+from contextvars import ContextVar
 from dataclasses import dataclass
 
 import numpy as np
@@ -60,8 +62,22 @@ class Operator:
     calls = 1
 
 
+#: The type that operators compute in; see ``precision``.
+_KIND: ContextVar[type] = ContextVar("kind", default=np.float64)
+
+
+@contextmanager
+def precision(kind: type):
+    """Operators compute in this floating type inside the block."""
+    token = _KIND.set(kind)
+    try:
+        yield
+    finally:
+        _KIND.reset(token)
+
+
 def array(values) -> np.ndarray:
-    return np.asarray(values, float)
+    return np.asarray(values, _KIND.get())
 
 
 def nonzero(scale) -> np.ndarray:

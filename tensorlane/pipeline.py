@@ -7,14 +7,15 @@ needs any more are then left out of the projection, and so out of the Parquet sc
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field, replace
+from dataclasses import dataclass, field, fields, replace
 
 import numpy as np
 
 from .operators import featurizers, models
-from .operators.base import Operator, lower
+from .operators.base import Operator, lower, precision
 from .operators.featurizers import Project, Scale, Select
 from .operators.models import Forest, Linear
+from .trees import ForestSpec, TreeSpec
 
 INPUT = "col.pick"
 
@@ -51,19 +52,31 @@ class PipelineDag:
     def op_count(self) -> int:
         return sum(n.op.calls for n in self.nodes if not (n.leaf and n.signature == INPUT))
 
-    def run(self, columns: dict[str, object]) -> np.ndarray:
-        """The output for a batch: raw columns as arrays (or lists of strings)."""
+    def run(self, columns: dict[str, object], kind: type = np.float64) -> np.ndarray:
+        """The output for a batch: raw columns as arrays (or lists of strings), computed in a floating type."""
+        with precision(kind):
+            return self._run(columns, kind)
+
+    def _run(self, columns: dict[str, object], kind: type) -> np.ndarray:
         made: dict[str, np.ndarray] = {}
         for n in self.nodes:
             if n.leaf and getattr(n.op, "strings", False):
                 x = columns[n.inputs[0]]
             else:
                 source = columns if n.leaf else made
-                parts = [np.asarray(source[i], float) for i in n.inputs]
+                parts = [np.asarray(source[i], kind) for i in n.inputs]
                 x = np.stack(parts, 1) if n.leaf else parts[0] if len(parts) == 1 else np.concatenate(parts, 1)
-            made[n.op_id] = n.op.vector(x)
+            made[n.op_id] = np.asarray(n.op.vector(x), kind)
         return made[self.nodes[-1].op_id]
 
+    def single(self) -> PipelineDag:
+        """The pipeline with every parameter, thresholds and leaf values too, rounded to single precision."""
+        return replace(self, nodes=tuple(replace(n, op=_single(n.op)) for n in self.nodes))
+
+    def batched(self, rows: int | None) -> PipelineDag:
+        """The pipeline with its forests told how many rows they get at once, which their strategy depends on."""
+        return replace(self, nodes=tuple(replace(n, op=replace(n.op, batch_rows=rows)) if rows and isinstance(n.op, Forest) else n for n in self.nodes))
+
     def expressions(self, column) -> list:
         """The output as Spark columns; ``column(name)`` gives a raw one."""
         made: dict[str, list] = {}
@@ -78,6 +91,16 @@ class PipelineDag:
         return "\n".join([*rows, *self.notes])
 
 
+def _single(value):
+    if isinstance(value, np.ndarray):
+        return value.astype(np.float32) if value.dtype == np.float64 else value
+    if isinstance(value, (list, tuple)) and not isinstance(value, str):
+        return type(value)(_single(v) for v in value)
+    if isinstance(value, (Operator, ForestSpec, TreeSpec)):
+        return replace(value, **{f.name: _single(getattr(value, f.name)) for f in fields(value) if f.init})
+    return value
+
+
 @dataclass
 class Builder:
     """Collects nodes: ``pick`` and ``strings`` start branches, ``then`` continues them."""

@@ -24,8 +24,29 @@ def _matrix_columns(batch: pa.RecordBatch, dag: PipelineDag) -> dict[str, object
     return out
 
 
+def _gathered(batches: Iterator[pa.RecordBatch], least: int | None) -> Iterator[pa.RecordBatch]:
+    held, rows = [], 0
+    for b in batches:
+        held.append(b)
+        rows += b.num_rows
+        if not least or rows >= least:
+            yield from _one(held)
+            held, rows = [], 0
+    if held:
+        yield from _one(held)
+
+
+def _one(held: list[pa.RecordBatch]) -> list[pa.RecordBatch]:
+    return held if len(held) == 1 else pa.Table.from_batches(held).combine_chunks().to_batches()
+
+
 def vector_lane(df: DataFrame, dag: PipelineDag, keep: list[str], names: list[str], batch_rows: int | None = None, dtype: str = "float64") -> DataFrame:
-    """Select live columns, then score whole Arrow batches; nulls reach the kernels as NaN."""
+    """Select live columns, then score whole Arrow batches; nulls reach the kernels as NaN.
+
+    Batches of over ``batch_rows`` rows are cut, smaller ones (the session bounds Arrow batches) are gathered.
+    """
+    kind = np.float32 if dtype == "float32" else np.float64
+    dag = dag.single() if dtype == "float32" else dag
     live = dag.live_columns()
     cols = [*keep, *[c for c in live if c not in keep]]
     shared = df.sparkSession.sparkContext.broadcast(dag)
@@ -33,15 +54,13 @@ def vector_lane(df: DataFrame, dag: PipelineDag, keep: list[str], names: list[st
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model = shared.value
-        for whole in batches:
+        for whole in _gathered(batches, batch_rows):
             step = batch_rows or max(1, whole.num_rows)
             for at in range(0, whole.num_rows, step):
                 b = whole.slice(at, step)
                 columns = _matrix_columns(b, model)
-                if dtype == "float32":
-                    columns = {k: v.astype(np.float32).astype(float) if isinstance(v, np.ndarray) else v for k, v in columns.items()}
                 with np.errstate(all="ignore"):
-                    out = model.run(columns)
+                    out = model.run(columns, kind).astype(np.float64, copy=False)
                 yield pa.RecordBatch.from_arrays([*b.columns[:n_keep], *[pa.array(out[:, j]) for j in range(len(names))]], [*keep, *names])
 
     schema = T.StructType([*[df.schema[c] for c in keep], *[T.StructField(n, T.DoubleType()) for n in names]])
@@ -101,7 +120,7 @@ class CompiledModel:
 
 def compile_pipeline(dag: PipelineDag, *, lane: str = "auto", rules: tuple[str, ...] = ALL, batch_rows: int | None = None, dtype: str = "float64") -> CompiledModel:
     """Rewrite a pipeline and choose its lane: built-in columns where all operators have them and few are needed."""
-    smaller = rewrite(dag, rules)
+    smaller = rewrite(dag, rules).batched(batch_rows)
     if lane == "auto":
         lane = "vector"
         try:

@@ -97,8 +97,13 @@ def register_trees() -> None:
     add_forest("boost_multi", COVTYPE, model(COVTYPE, "balanced", 8, 3, 7, seed=12, combine="sum", link="softmax", rate=0.5, classifier=True), strategy="gemm")
     add_forest("extra_trees", HIGGS, model(HIGGS, "bagged", 16, 5, 2, seed=13, classifier=True), strategy="ptt")
     add_forest("hist_boost", FRAUD, model(FRAUD, "tall", 8, 7, 1, seed=14, combine="sum", link="sigmoid", rate=0.25, classifier=True), strategy="tt")
-    depths = model(HIGGS, "bagged", 8, 6, 1, seed=15, combine="isolation", psi=64)
-    add_forest("iforest", HIGGS, depths, strategy="tt")
+    # grown on rows drawn by rule between each feature's bounds, so that its SQL can be printed without a table
+    rng = np.random.default_rng(15)
+    rows = np.stack([rng.uniform(lo, hi if hi > lo else lo + 1, 512) for _, _, lo, hi in HIGGS.features], 1)
+    alone = trees.isolation(np.round(rows * 1024) / 1024, trees=16, psi=64, seed=15)
+    add_forest("iforest", HIGGS, alone, strategy="tt")
+    add("iforest_label", lambda s, d: scored(HIGGS, alone, strategy="ptt")(s, d).groupBy(F.expr("CASE WHEN p0 > 0.5 THEN 1 ELSE 0 END AS outlier")).agg(F.count("*").alias("rows")),
+        f"SELECT CASE WHEN p0 > 0.5 THEN 1 ELSE 0 END AS outlier, count(*) AS rows FROM ({forest_sql(alone, HIGGS.names, HIGGS.sql(), list(HIGGS.keys))}) GROUP BY 1")
     add_forest("forest_expr_lane", HIGGS, binary, lane="expression")
     add_forest("forest_batch_1000", HIGGS, binary, strategy="gemm", batch_rows=1000)
     keys = list(HIGGS.keys)

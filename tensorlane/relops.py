@@ -91,9 +91,20 @@ def metrics_binary(df: DataFrame, label: Column, predicted: Column) -> DataFrame
 
 
 def auc_rank(df: DataFrame, label: str, score: str) -> DataFrame:
-    """Area under the curve from average ranks; ties are grouped first, so the window runs over distinct scores."""
+    """Area under the curve from average ranks; ties are grouped first.
+
+    Scores are cut into ranges at approximate quantiles; a window runs inside each range, and the few ranges'
+    counts give each one's first rank.
+    """
+    spark = df.sparkSession
     groups = df.groupBy(score).agg(F.count("*").alias("n"), F.sum(label).alias("pos"))
-    before = F.coalesce(F.sum("n").over(Window.orderBy(score).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    ranked = groups.withColumn("rank", before + (F.col("n") + 1) / 2)
+    parts = max(2, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    cuts = sorted(set(groups.agg(F.percentile_approx(score, [k / parts for k in range(1, parts)], 10_000)).first()[0] or []))
+    part = F.size(F.filter(F.array(*[F.lit(float(c)) for c in cuts]).cast("array<double>"), lambda c: c < F.col(score))) if cuts else F.lit(0)
+    groups = groups.withColumn("_part", part)
+    starts = groups.groupBy("_part").agg(F.sum("n").alias("_n"))  # one row a range
+    first = starts.withColumn("_first", F.coalesce(F.sum("_n").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).drop("_n")
+    inside = F.coalesce(F.sum("n").over(Window.partitionBy("_part").orderBy(score).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    ranked = groups.withColumn("_inside", inside).join(F.broadcast(first), "_part").withColumn("rank", F.col("_first") + F.col("_inside") + (F.col("n") + 1) / 2)
     sums = ranked.agg(F.sum(F.col("rank") * F.col("pos")).alias("r"), F.sum("pos").alias("p"), F.sum("n").alias("n"))
     return sums.select(((F.col("r") - F.col("p") * (F.col("p") + 1) / 2) / (F.col("p") * (F.col("n") - F.col("p")))).alias("auc"))

@@ -8,6 +8,7 @@ and moves by arithmetic.  All give the same leaf.
 from __future__ import annotations
 
 from dataclasses import dataclass, field, replace
+from functools import reduce
 
 import numpy as np
 
@@ -222,12 +223,20 @@ def tt_leaves(x: np.ndarray, t: TraversalTensors, cmp: str, extra: int = 0) -> n
 
 
 def tt_unrolled(t: TraversalTensors, cmp: str):
-    """A straight-line function for one tree set: the steps are written out when it is made."""
-    step = "    k = base + at\n    at = where(test(x[rows, feature[k]], threshold[k], cmp), left[k], right[k])\n"
-    source = "def walk(x, rows, at):\n" + step * t.depth + "    return at\n"
-    scope = {"where": np.where, "test": _test, "cmp": cmp, "base": (np.arange(len(t.left)) * t.left.shape[1])[:, None], "left": t.left.ravel(), "right": t.right.ravel(), "feature": t.feature.ravel(), "threshold": t.threshold.ravel()}
-    exec(source, scope)  # noqa: S102  the source is made of constants only
-    return lambda x: scope["walk"](x, np.arange(len(x)), np.zeros((len(t.left), len(x)), int))
+    """A straight line of steps for one tree set, composed when it is made: no loop counter and no test for the end."""
+    base = (np.arange(len(t.left)) * t.left.shape[1])[:, None]
+    left, right, feature, threshold = t.left.ravel(), t.right.ravel(), t.feature.ravel(), t.threshold.ravel()
+
+    def step(before):
+        def move(x, rows, at):
+            at = before(x, rows, at)
+            k = base + at
+            return np.where(_test(x[rows, feature[k]], threshold[k], cmp), left[k], right[k])
+
+        return move
+
+    walk = reduce(lambda f, _: step(f), range(t.depth), lambda x, rows, at: at)
+    return lambda x: walk(x, np.arange(len(x)), np.zeros((len(t.left), len(x)), int))
 
 
 def ptt_leaves(x: np.ndarray, p: PerfectTensors, cmp: str) -> np.ndarray:
@@ -346,6 +355,39 @@ def cost_model(strategy: str, features: int, nodes: int, classes: int, depth: in
     return (nodes, depth) if strategy == "tt" else (2**depth, depth)
 
 
+def isolation(x: np.ndarray, trees: int = 100, psi: int = 256, seed: int = 1) -> ForestSpec:
+    """An isolation forest grown on the rows of ``x``: random splits of random samples down to the mean depth of a search.
+
+    A leaf's value is its depth and the mean path that its rows would still have; the score is 2^(-mean value / c(psi)).
+    """
+    rng = np.random.default_rng(seed)
+    psi = min(psi, len(x))
+    limit = int(np.ceil(np.log2(max(psi, 2))))
+    grown = []
+    for _ in range(trees):
+        nodes: list[tuple] = [()]
+        waiting = [(0, rng.choice(len(x), psi, replace=False), 0)]
+        while waiting:
+            k, rows, level = waiting.pop()
+            part = x[rows]
+            varied = np.flatnonzero(part.min(0) < part.max(0)) if len(rows) > 1 and level < limit else np.zeros(0, int)
+            if not len(varied):
+                nodes[k] = ([level + average_path(len(rows))],)
+                continue
+            f = int(varied[rng.integers(len(varied))])
+            t = float(rng.uniform(part[:, f].min(), part[:, f].max()))
+            go = part[:, f] < t
+            if go.all() or not go.any():
+                t = float(part[:, f].max())
+                go = part[:, f] < t
+            a = len(nodes)
+            nodes += [(), ()]
+            nodes[k] = (f, t, a, a + 1)
+            waiting += [(a, rows[go], level + 1), (a + 1, rows[~go], level + 1)]
+        grown.append(tree(nodes, 1))
+    return ForestSpec(tuple(grown), combine="isolation", psi=psi)
+
+
 # -- generated forests --------------------------------------------------------------------
 
 
