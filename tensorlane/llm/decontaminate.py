@@ -28,7 +28,8 @@ from .common import Words, buffers, document_blocks, lower_table, small_batches,
 TEXT_BYTES = 8 << 20
 #: Bound of the test text that one pass holds (and sends to every worker).
 TEST_BYTES = 32 << 20
-PACK_BITS = 21
+#: Bits of a word's number in a key: three words to a 64-bit column, or two where a block has more distinct words.
+PACK_BITS, WIDE_BITS = 21, 31
 
 
 def contamination_words() -> Words:
@@ -42,14 +43,14 @@ def _concatenated(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return np.frombuffer(b"".join(texts), np.uint8), np.concatenate([[0], np.cumsum([len(t) for t in texts])]).astype(np.int64)
 
 
-def _key_columns(ids: np.ndarray, at: np.ndarray, depth: int) -> np.ndarray:
-    """The first ``depth`` words of the suffixes at ``at``, three to a 64-bit column; 0 ends a suffix for good."""
-    alive = np.ones(len(at), bool)
-    columns = np.zeros((-(-depth // 3), len(at)), np.int64)
+def _key_columns(ids: np.ndarray, at: np.ndarray, depth: int, bits: int) -> np.ndarray:
+    """The first ``depth`` words of the suffixes at ``at``, a few to a 64-bit column; 0 ends a suffix for good."""
+    alive, per = np.ones(len(at), bool), 63 // bits
+    columns = np.zeros((-(-depth // per), len(at)), np.int64)
     for d in range(depth):
         word = np.where(alive, ids[np.minimum(at + d, len(ids) - 1)], 0)
         alive &= word != 0
-        columns[d // 3] |= word.astype(np.int64) << (PACK_BITS * (2 - d % 3))
+        columns[d // per] |= word.astype(np.int64) << (bits * (per - 1 - d % per))
     return columns
 
 
@@ -57,7 +58,7 @@ def _key_columns(ids: np.ndarray, at: np.ndarray, depth: int) -> np.ndarray:
 class TestIndex:
     """Suffixes of a block of test items."""
 
-    item_ids: list[str]
+    item_ids: list[str | None]
     vocabulary: np.ndarray  #: sorted word hashes
     ids: np.ndarray  #: word numbers of all items, each item followed by 0
     item: np.ndarray  #: item of each position
@@ -66,14 +67,17 @@ class TestIndex:
     length: np.ndarray  #: and how long they are
     pairs: np.ndarray  #: sorted pairs of words that stand together
     single: np.ndarray  #: words of one-word items
+    bits: int  #: of a word's number
+    once: np.ndarray  #: one window of each group of equal ones
+    items_from: np.ndarray  #: where each group's items start (one more at the end)
+    items: np.ndarray  #: distinct items of the groups
 
     @classmethod
     def build(cls, items: list[tuple[str, bytes]], window: int) -> TestIndex:
         data, off = _concatenated([t for _, t in items])
         hashes, first = contamination_words().of(data, off)
         vocabulary = np.unique(hashes)
-        if len(vocabulary) >= 1 << PACK_BITS:
-            raise ValueError("too many distinct test words in one block; use smaller blocks")
+        bits = PACK_BITS if len(vocabulary) < (1 << PACK_BITS) - 1 else WIDE_BITS
         ids = np.zeros(len(hashes) + len(items), np.int64)
         item = np.repeat(np.arange(len(items)), np.diff(first) + 1)
         ids[np.arange(len(hashes)) + np.repeat(np.arange(len(items)), np.diff(first))] = np.searchsorted(vocabulary, hashes) + 1
@@ -82,8 +86,16 @@ class TestIndex:
         counts = np.where(n == 0, 0, np.maximum(1, n - window + 1))
         start = np.repeat(begin - np.concatenate([[0], np.cumsum(counts)[:-1]]), counts) + np.arange(counts.sum())
         length = np.repeat(np.minimum(n, window), counts)
-        joined = (ids[:-1] << PACK_BITS | ids[1:])[(ids[:-1] > 0) & (ids[1:] > 0)]
-        return cls([i for i, _ in items], vocabulary, ids, item, window, start, length, np.unique(joined), np.unique(ids[start[length == 1]]))
+        joined = (ids[:-1] << bits | ids[1:])[(ids[:-1] > 0) & (ids[1:] > 0)]
+        keys = np.concatenate([_key_columns(ids, start, window, bits), length[None], item[start][None]])
+        order = np.lexsort(keys[::-1])
+        keys = keys[:, order]
+        new = np.ones(keys.shape, bool)
+        new[:, 1:] = keys[:, 1:] != keys[:, :-1]
+        group, owner = new[:-1].any(0), new.any(0)
+        once = order[group]
+        items_from = np.concatenate([np.flatnonzero(group[owner]), [int(owner.sum())]])
+        return cls([i for i, _ in items], vocabulary, ids, item, window, start, length, np.unique(joined), np.unique(ids[start[length == 1]]), bits, once, items_from, keys[-1][owner])
 
     def numbers(self, hashes: np.ndarray, first: np.ndarray) -> np.ndarray:
         """Word numbers of documents, each document followed by 0."""
@@ -100,13 +112,13 @@ class ShardSuffixArray:
     def __init__(self, ids: np.ndarray, tests: TestIndex):
         self.ids, self.tests = ids, tests
         known = np.flatnonzero(ids[:-1]) if len(ids) else np.zeros(0, np.int64)
-        pair = ids[known] << PACK_BITS | ids[known + 1] if len(known) else known
+        pair = ids[known] << tests.bits | ids[known + 1] if len(known) else known
         at = np.minimum(np.searchsorted(tests.pairs, pair), max(len(tests.pairs) - 1, 0))
         keep = tests.pairs[at] == pair if len(tests.pairs) else np.zeros(len(known), bool)
         if len(tests.single):
             keep |= np.isin(ids[known], tests.single)
         suffixes = known[keep]
-        keys = _key_columns(ids, suffixes, tests.window)
+        keys = _key_columns(ids, suffixes, tests.window, tests.bits)
         order = np.lexsort(keys[::-1])
         self.suffixes, self.keys = suffixes[order], keys[:, order]
 
@@ -126,19 +138,19 @@ class ShardSuffixArray:
             hi = np.where(open_ & ~go, mid, hi)
         return lo
 
-    def search(self) -> tuple[np.ndarray, np.ndarray]:
-        """The range of suffixes that start with each test window."""
+    def search(self, which: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The range of suffixes that start with each of these test windows."""
         t = self.tests
-        low = _key_columns(t.ids, t.start, t.window)
+        low, per = _key_columns(t.ids, t.start[which], t.window, t.bits), 63 // t.bits
         high = low.copy()  # shorter windows match any continuation
         for d in range(t.window):
-            high[d // 3] |= np.where(d >= t.length, (1 << PACK_BITS) - 1, 0) << (PACK_BITS * (2 - d % 3))
+            high[d // per] |= np.where(d >= t.length[which], (1 << t.bits) - 1, 0) << (t.bits * (per - 1 - d % per))
         none = np.zeros(low.shape[1], bool)
         return self._bound(low, none), self._bound(high, ~none)
 
     def longest(self) -> tuple[np.ndarray, np.ndarray]:
         """For every window's start, the longest verbatim match of its suffix in this shard and where it is."""
-        lo, hi = self.search()
+        lo, hi = self.search(np.arange(len(self.tests.start)))
         best, where = np.zeros(len(lo), np.int64), np.full(len(lo), -1)
         t = self.tests
         if not len(self.suffixes):
@@ -171,7 +183,7 @@ class ShardSuffixArray:
 def _hits(array: ShardSuffixArray, first: np.ndarray) -> tuple[list[np.ndarray], list[list[str]]]:
     """For each document of the shard: merged spans of hit words (start, end, ...) and the items found."""
     t = array.tests
-    lo, hi = array.search()
+    lo, hi = array.search(t.once)
     found = np.flatnonzero(hi > lo)
     n = (hi - lo)[found]
     owner = np.repeat(found, n)
@@ -181,7 +193,7 @@ def _hits(array: ShardSuffixArray, first: np.ndarray) -> tuple[list[np.ndarray],
     doc = np.searchsorted(begins, place, "right") - 1
     cover = np.zeros(len(array.ids) + 1, np.int32)
     np.add.at(cover, place, 1)
-    np.add.at(cover, place + t.length[owner], -1)
+    np.add.at(cover, place + t.length[t.once[owner]], -1)
     hit = np.concatenate([[False], np.cumsum(cover[:-1]) > 0, [False]])
     edges = np.flatnonzero(hit[1:] != hit[:-1])
     edge_doc = np.searchsorted(begins, edges[::2], "right") - 1
@@ -190,7 +202,11 @@ def _hits(array: ShardSuffixArray, first: np.ndarray) -> tuple[list[np.ndarray],
     for d in np.unique(edge_doc):
         spans[d] = local[edge_doc == d].ravel() if len(edge_doc) < 64 else local[np.searchsorted(edge_doc, d) : np.searchsorted(edge_doc, d, "right")].ravel()
     items: list[list[str]] = [[] for _ in range(n_docs)]
-    for key in np.unique(doc * len(t.item_ids) + t.item[t.start[owner]]) if len(owner) else ():
+    met = np.unique(doc * len(t.once) + owner) if len(owner) else np.zeros(0, np.int64)  # a window counts once a document
+    from_, to = t.items_from[met % max(len(t.once), 1)], t.items_from[met % max(len(t.once), 1) + 1]
+    copies = to - from_
+    at = np.arange(copies.sum()) - np.repeat(np.cumsum(copies) - copies, copies) + np.repeat(from_, copies)
+    for key in np.unique(np.repeat(met // max(len(t.once), 1), copies) * max(len(t.item_ids), 1) + t.items[at]).tolist():
         items[key // len(t.item_ids)].append(t.item_ids[key % len(t.item_ids)])
     return spans, items
 
@@ -209,7 +225,7 @@ def merged(a: list[int], b: list[int]) -> list[int]:
 def _test_blocks(tests: DataFrame, item_col: str, text_col: str, most: int) -> Iterator[list[tuple[str, bytes]]]:
     """Test items, in blocks of at most ``most`` bytes (an item larger than that stands alone)."""
     block, size = [], 0
-    rows = tests.filter(F.col(item_col).isNotNull()).select(F.col(item_col).cast("string").alias("item"), utf8(text_col).alias("body"))
+    rows = tests.select(F.col(item_col).cast("string").alias("item"), utf8(text_col).alias("body"))
     for r in rows.toLocalIterator():
         if block and size + len(r["body"]) > most:
             yield block
@@ -223,8 +239,8 @@ def _test_blocks(tests: DataFrame, item_col: str, text_col: str, most: int) -> I
 def find_contamination(docs: DataFrame, tests: DataFrame, *, window: int = 10, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text: str = "text", keep: tuple[str, ...] = (), test_bytes: int = TEST_BYTES) -> DataFrame:
     """Per document: id, ``keep`` columns, ``n_words``, ``spans`` of hit words (start, end, ...), ``items`` found.
 
-    Null texts have no words.  Items with a null id or no words are never found; items that
-    repeat an id count once.  Repeated documents are judged one by one, an empty table of
+    Null texts have no words.  Items without words are never found; items with a null id count as one item
+    that has no name in the digest; items that repeat an id count once.  Very long texts are read whole, one at a time.  Repeated documents are judged one by one, an empty table of
     documents gives no rows and an empty table of tests finds nothing.  Columns not named are
     not read.
     """
@@ -248,14 +264,18 @@ def find_contamination(docs: DataFrame, tests: DataFrame, *, window: int = 10, i
                 spans, items = _hits(ShardSuffixArray(index.numbers(hashes, first), index), first)
                 for k, (s, i) in enumerate(zip(b.column("spans").to_pylist(), b.column("items").to_pylist(), strict=True)):
                     spans[k] = merged(s, spans[k].tolist())
-                    items[k] = sorted({*i, *items[k]})
+                    items[k] = sorted({*i, *items[k]}, key=lambda x: (x is None, x))
                 put = {"n_words": pa.array(np.diff(first)), "spans": pa.array(spans, pa.list_(pa.int64())), "items": pa.array(items, pa.list_(pa.string()))}
                 yield pa.RecordBatch.from_arrays([put.get(c, b.column(c)) for c in b.schema.names], b.schema.names)
 
         return scan
 
-    for block in [*_test_blocks(tests, item_col, item_text, test_bytes)] or [[]]:
+    passes = 0
+    for block in _test_blocks(tests, item_col, item_text, test_bytes):  # the driver holds one block at a time
         rows = rows.mapInArrow(one_pass(block), shape)
+        passes += 1
+    if not passes:
+        rows = rows.mapInArrow(one_pass([]), shape)
     return rows.select(F.col("id").alias(id_col), *[F.col(f"keep_{c}").alias(c) for c in extra], "n_words", "spans", "items")
 
 
@@ -309,7 +329,7 @@ def remove_contaminated(docs: DataFrame, tests: DataFrame, **options) -> DataFra
     """The documents, all their columns, without those that hold a test window."""
     id_col = options.get("id_col", "doc_id")
     found = find_contamination(docs, tests, keep=tuple(docs.columns), **options)
-    return found.filter(F.size("items") == 0).select(*docs.columns) if id_col in docs.columns else found
+    return found.filter(F.size("spans") == 0).select(*docs.columns) if id_col in docs.columns else found
 
 
 def items_digest(items: list[str]) -> str:

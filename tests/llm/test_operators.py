@@ -197,14 +197,14 @@ def brute_contamination(rows, items, window):
         for i, text in items:
             v = words(text)
             n = min(window, len(v))
-            if i is None or not v:
+            if not v:
                 continue
             for p in range(len(v) - n + 1):
                 for q in range(len(w) - n + 1):
                     if w[q : q + n] == v[p : p + n]:
                         hit.update(range(q, q + n))
-                        found.add(str(i))
-        digest = hashlib.sha256(",".join(sorted(found)).encode()).hexdigest()
+                        found.add(None if i is None else str(i))
+        digest = hashlib.sha256(",".join(sorted(f for f in found if f is not None)).encode()).hexdigest()
         out.append((d, len(w), len(hit), len(found), digest, bool(hit)))
     return out
 
@@ -223,6 +223,25 @@ def test_contamination(spark, docs, test_bytes):
     assert decontaminate.find_contamination(docs, tests.limit(0)).filter("size(items) > 0").count() == 0
 
 
+def test_many_test_words_and_equal_windows():
+    items = [(str(k), text.encode()) for k, text in enumerate(["a b c d", "a b c e", "x a b c", "b"])]
+    rows = [b"z a b c d b", b"", b"a b c"]
+    narrow = decontaminate.TestIndex.build(items, 3)
+    assert len(narrow.once) == 5 and len(narrow.start) == 7
+    found = []
+    for bits in (decontaminate.PACK_BITS, 1):  # as if the block had more distinct words than fit the narrow form
+        decontaminate.PACK_BITS, kept = bits, decontaminate.PACK_BITS
+        try:
+            index = decontaminate.TestIndex.build(items, 3)
+        finally:
+            decontaminate.PACK_BITS = kept
+        data, off = decontaminate._concatenated(rows)
+        hashes, first = decontaminate.contamination_words().of(data, off)
+        spans, names = decontaminate._hits(decontaminate.ShardSuffixArray(index.numbers(hashes, first), index), first)
+        found.append(([s.tolist() for s in spans], names))
+    assert found[0] == found[1] == ([[1, 6], [], [0, 3]], [["0", "1", "2", "3"], [], ["0", "1", "2", "3"]])
+
+
 def test_longest_matches(spark):
     d = table(spark, [(1, "a b c d x"), (2, "q a b c d e f"), (3, "e f")])
     t = spark.createDataFrame([(7, "z a b c d e f y")], "item_id long, text string")
