@@ -30,6 +30,8 @@ NEAR = 12.833
 BINS = 16
 #: Sources of a language with fewer rows are pooled to one group.
 LEAST_ROWS = 40
+#: Estimates of at most so many groups (some 250 bytes each) are sent to all workers.
+LOOKUP_GROUPS = 50_000
 #: One over the shrinkage of a normal covariance in five dimensions when the nearest half, or those within ``NEAR``, are kept.
 CONSISTENCY, NEAR_CONSISTENCY = 1.912, 1.056
 #: Least standard deviation of each statistic, in its own units.  Most documents have no symbol and repeat nothing, so
@@ -163,20 +165,26 @@ def _half(binned: DataFrame, keys: list[str]) -> DataFrame:
     return one.select(*keys, cut.alias("cut"))
 
 
+def _looked_up(groups: DataFrame):
+    """How to join a table of one row a group: sent to all workers, so that a hot group isn't one task, where groups are few."""
+    return F.broadcast if groups.count() <= LOOKUP_GROUPS else (lambda df: df)
+
+
 def estimates(rows: DataFrame, keys: list[str], steps: int = STEPS) -> DataFrame:
     """Reweighted minimum-covariance-determinant estimate of each group, by concentration steps over all its rows."""
     # the statistics are whole numbers in a narrow range, so the exact median's table of counts stays small
     groups = rows.groupBy(*keys).agg(F.count("*").alias("n"), *[F.percentile(F.col(a), 0.5).alias(f"c{i}") for i, a in enumerate(STATS)])
-    groups = groups.filter(F.col("n") >= LEAST_ROWS).drop("n")
+    groups = written(groups.filter(F.col("n") >= LEAST_ROWS).drop("n"), "mcd-start")
+    near_all = _looked_up(groups)
     p = len(STATS)
     now = groups.withColumns({f"l{i}{j}": F.lit(4 * FLOORS[a] if i == j else 0.0) for i, a in enumerate(STATS) for j in range(i + 1)})
     for step in range(steps):
-        near = _distance(rows.join(now, keys))
+        near = _distance(rows.join(near_all(now), keys))
         near = near.withColumn("bin", F.least(F.greatest(F.floor(F.log2(F.col("d2") + 1e-6) * BINS), F.lit(-320)), F.lit(640)).cast("int"))
         cut = _half(near, keys)
-        kept = near.join(cut, keys).filter(F.col("bin") <= F.col("cut"))
+        kept = near.join(near_all(cut), keys).filter(F.col("bin") <= F.col("cut"))
         now = written(_estimate(kept.groupBy(*keys).agg(*_moments()), keys, CONSISTENCY), f"mcd-{step}")
-    near = _distance(rows.join(now, keys)).filter(F.col("d2") <= NEAR)
+    near = _distance(rows.join(near_all(now), keys)).filter(F.col("d2") <= NEAR)
     return written(_estimate(near.groupBy(*keys).agg(*_moments()), keys, NEAR_CONSISTENCY), "mcd-near")
 
 
@@ -197,9 +205,11 @@ def judge(docs: DataFrame, *, text_col: str = "text", id_col: str = "doc_id", la
     rows = written(rows.withColumns({**statistics(), "base_failed": base_failed()}), "quality-counts")
     keys = ["g_lang", "g_pool"]
     sizes = rows.filter(~F.col("base_failed")).groupBy("g_lang", "g_source").agg((F.count("*") < LEAST_ROWS).alias("few"))
-    rows = rows.join(sizes, ["g_lang", "g_source"], "left").withColumn("g_pool", F.when(F.col("few"), F.lit("\x01")).otherwise(F.col("g_source"))).drop("few")
+    sizes = written(sizes, "quality-sizes")
+    rows = rows.join(_looked_up(sizes)(sizes), ["g_lang", "g_source"], "left").withColumn("g_pool", F.when(F.col("few"), F.lit("\x01")).otherwise(F.col("g_source"))).drop("few")
     fit = rows.filter(~F.col("base_failed"))
-    judged = _distance(rows.join(estimates(fit, keys), keys, "left"))
+    found = estimates(fit, keys)
+    judged = _distance(rows.join(_looked_up(found)(found), keys, "left"))
     return judged.select(
         F.col("id").alias(id_col), "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed",
         (~F.col("base_failed") & ~F.coalesce(F.col("d2") > limit, F.lit(False))).alias("kept"), F.col("d2").alias("distance"),
