@@ -416,6 +416,23 @@ for _view, _n, _table in ((FRAUD, 2, "events"), (YEAR, 1, "lineitem"), (HIGGS, 2
             ORACLES[f"w7_{_view.name}_{_shape}_{_strategy}"] = f"SELECT count(*) AS rows, true AS agrees FROM {_table}"
 
 
+# -- forests of the full size: 500 trees of depth 8 ----------------------------------------
+
+
+def _full_size(view: View, shape: str, outputs: int, **spec):
+    def run(s, d):
+        forest = scoring.model(view, shape, 500, 8, outputs, seed=20, **spec)  # grown when it is asked for
+        return compile_pipeline(_forest_dag(view, forest), lane="vector").score(view.frame(s, d), list(view.keys))
+
+    return run
+
+
+for _view, _n in ((FRAUD, 2), (YEAR, 1), (COVTYPE, 7), (HIGGS, 2), (AIRLINE, 2)):
+    for _shape in ("bagged", "tall", "balanced"):
+        _spec = {"classifier": _n > 1, **({} if _shape == "bagged" else {"combine": "sum", "rate": 0.5})}
+        QUERIES[f"w1_{_view.name}_{_shape}_t500"] = _full_size(_view, _shape, _n, **_spec)
+
+
 # -- measured workloads: rows of seconds and sizes, no oracle ------------------------------
 
 
