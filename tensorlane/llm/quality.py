@@ -2,10 +2,11 @@
 
 Every document gets counts from its whole text, and a vector of transformed statistics as
 whole numbers.  For each language and source a minimum-covariance-determinant estimate is
-found by concentration steps: from the median, keep the half of the rows nearest by
-Mahalanobis distance, take their mean and covariance, and repeat.  The half is cut on a
-histogram of distances (so no group is ever gathered), sums are of whole numbers (so the
-estimate does not depend on how rows are partitioned).  A last step takes all rows within a
+found by concentration steps: from a start, keep the half of the rows nearest by
+Mahalanobis distance, take their mean and covariance, and repeat.  Every group takes its first steps from
+several starts (``STARTS``); the one whose covariance has the least determinant goes on until no group's
+determinant falls any more.  The half is cut on a histogram of distances (so no group is ever gathered), sums are of
+whole numbers (so the estimate does not depend on how rows are partitioned).  A last step takes all rows within a
 quantile of the half's estimate.  A document is rejected where its squared distance from its
 group's estimate is beyond the 0.999 point of chi-square, or a base rule fails.
 """
@@ -21,7 +22,14 @@ from pyspark.sql import functions as F
 from .common import written
 
 WINDOW = 8
-STEPS = 4
+#: Concentration steps from each start; then those of the best one, which end when determinants settle.
+FIRST_STEPS = 2
+#: More steps than this without settling are an error.
+MOST_STEPS = 100
+#: A group's estimate is settled when the logarithm of its determinant falls by less.
+SETTLED = 1e-3
+#: Quantile of each statistic that is a start's centre, and its spread in floors.
+STARTS = ((0.5, 4.0), (0.5, 1.0), (0.25, 2.0), (0.75, 2.0))
 #: Squared distance beyond which a vector is an outlier: the 0.999 point of chi-square with five degrees.
 LIMIT = 20.515
 #: Rows within this squared distance (the 0.975 point) of the half's estimate make the last one.
@@ -170,21 +178,52 @@ def _looked_up(groups: DataFrame):
     return F.broadcast if groups.count() <= LOOKUP_GROUPS else (lambda df: df)
 
 
-def estimates(rows: DataFrame, keys: list[str], steps: int = STEPS) -> DataFrame:
-    """Reweighted minimum-covariance-determinant estimate of each group, by concentration steps over all its rows."""
-    # the statistics are whole numbers in a narrow range, so the exact median's table of counts stays small
-    groups = rows.groupBy(*keys).agg(F.count("*").alias("n"), *[F.percentile(F.col(a), 0.5).alias(f"c{i}") for i, a in enumerate(STATS)])
-    groups = written(groups.filter(F.col("n") >= LEAST_ROWS).drop("n"), "mcd-start")
-    near_all = _looked_up(groups)
+def _determinant() -> Column:
+    """Logarithm of the determinant of a covariance from its Cholesky factor."""
+    return 2 * reduce(add, [F.log(F.col(f"l{i}{i}")) for i in range(len(STATS))])
+
+
+def _concentrated(rows: DataFrame, now: DataFrame, keys: list[str], near_all, label: str) -> DataFrame:
+    """One concentration step of every group's estimates (a row for each of its starts)."""
+    each = [*keys, "start"]
+    near = _distance(rows.join(near_all(now), keys))
+    near = near.withColumn("bin", F.least(F.greatest(F.floor(F.log2(F.col("d2") + 1e-6) * BINS), F.lit(-320)), F.lit(640)).cast("int"))
+    kept = near.join(near_all(_half(near, each)), each).filter(F.col("bin") <= F.col("cut"))
+    return written(_estimate(kept.groupBy(*each).agg(*_moments()), each, CONSISTENCY).withColumn("logdet", _determinant()), label)
+
+
+def estimates(rows: DataFrame, keys: list[str]) -> DataFrame:
+    """Reweighted minimum-covariance-determinant estimate of each group, by concentration steps over all its rows.
+
+    Equal determinants go to the start that ``STARTS`` names first.
+    """
     p = len(STATS)
-    now = groups.withColumns({f"l{i}{j}": F.lit(4 * FLOORS[a] if i == j else 0.0) for i, a in enumerate(STATS) for j in range(i + 1)})
-    for step in range(steps):
-        near = _distance(rows.join(near_all(now), keys))
-        near = near.withColumn("bin", F.least(F.greatest(F.floor(F.log2(F.col("d2") + 1e-6) * BINS), F.lit(-320)), F.lit(640)).cast("int"))
-        cut = _half(near, keys)
-        kept = near.join(near_all(cut), keys).filter(F.col("bin") <= F.col("cut"))
-        now = written(_estimate(kept.groupBy(*keys).agg(*_moments()), keys, CONSISTENCY), f"mcd-{step}")
-    near = _distance(rows.join(near_all(now), keys)).filter(F.col("d2") <= NEAR)
+    # the statistics are whole numbers in a narrow range, so the exact quantiles' table of counts stays small
+    levels = sorted({q for q, _ in STARTS})
+    groups = rows.groupBy(*keys).agg(F.count("*").alias("n"), *[F.percentile(F.col(a), F.array(*map(F.lit, levels))).alias(f"q{i}") for i, a in enumerate(STATS)])
+    groups = written(groups.filter(F.col("n") >= LEAST_ROWS).drop("n"), "mcd-groups")
+    near_all = _looked_up(groups)
+    starts = F.array(*[F.struct(F.lit(k).alias("start"), F.lit(levels.index(q)).alias("level"), F.lit(spread).alias("spread")) for k, (q, spread) in enumerate(STARTS)])
+    now = groups.withColumn("s", F.explode(starts)).select(
+        *keys, "s.start", *[F.get(f"q{i}", F.col("s.level")).alias(f"c{i}") for i in range(p)],
+        *[(F.col("s.spread") * FLOORS[a] if i == j else F.lit(0.0)).alias(f"l{i}{j}") for i, a in enumerate(STATS) for j in range(i + 1)],
+    )
+    for step in range(FIRST_STEPS):
+        now = _concentrated(rows, now.drop("logdet"), keys, near_all, f"mcd-first-{step}")
+    best = now.groupBy(*keys).agg(F.min(F.struct("logdet", "start"))["start"].alias("start"))
+    now = written(now.join(best, [*keys, "start"]), "mcd-best")
+    for step in range(MOST_STEPS + 1):
+        if step == MOST_STEPS:
+            raise RuntimeError(f"estimates not settled after {MOST_STEPS} steps")
+        was, then = now.select(*keys, F.col("logdet").alias("was")), _concentrated(rows, now.drop("logdet"), keys, near_all, f"mcd-{step}")
+        # a step on binned distances may raise a determinant by a hair: the lower one stays
+        lower = now.join(then.select(*keys, F.col("logdet").alias("then")), keys).filter(F.col("then") >= F.col("logdet")).drop("then")
+        falls = then.join(was, keys).filter(F.col("logdet") < F.col("was"))
+        moving = not falls.filter(F.col("was") - F.col("logdet") >= SETTLED).isEmpty()
+        now = written(falls.drop("was").unionByName(lower), f"mcd-lower-{step}")
+        if not moving:
+            break
+    near = _distance(rows.join(near_all(now.drop("start", "logdet")), keys)).filter(F.col("d2") <= NEAR)
     return written(_estimate(near.groupBy(*keys).agg(*_moments()), keys, NEAR_CONSISTENCY), "mcd-near")
 
 

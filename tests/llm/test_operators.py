@@ -534,3 +534,45 @@ def test_quality_rejects_every_kind_of_junk(spark):
         assert not [k for k in range(5) if out[2000 + 100 * i + k]["kept"]], kind
     lost = [i for i, _ in good if not out[i]["kept"]]
     assert len(lost) <= 3 and max(lost, default=0) < 1000
+
+
+def _plain_robust(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Centre and covariance of one group by plain concentration steps, as the operator defines them."""
+    floors = np.array(list(quality.FLOORS.values()))
+
+    def distance(c, cov):
+        return np.einsum("ij,jk,ik->i", x - c, np.linalg.inv(cov), x - c)
+
+    def estimate(rows, factor):
+        return rows.mean(0), np.cov(rows.T, bias=True) * factor + np.diag(floors**2)
+
+    def step(c, cov):
+        bins = np.clip(np.floor(np.log2(distance(c, cov) + 1e-6) * quality.BINS), -320, 640)
+        cut = np.sort(bins)[(len(bins) + 1) // 2 - 1]
+        return estimate(x[bins <= cut], quality.CONSISTENCY)
+
+    found = []
+    for q, spread in quality.STARTS:
+        now = np.quantile(x, q, axis=0), np.diag((spread * floors) ** 2)
+        for _ in range(quality.FIRST_STEPS):
+            now = step(*now)
+        found.append(now)
+    now = min(found, key=lambda e: np.linalg.slogdet(e[1])[1])
+    while True:
+        then = step(*now)
+        fall = np.linalg.slogdet(now[1])[1] - np.linalg.slogdet(then[1])[1]
+        now = then if fall > 0 else now
+        if fall < quality.SETTLED:
+            return estimate(x[distance(*now) <= quality.NEAR], quality.NEAR_CONSISTENCY)
+
+
+def test_robust_estimate_is_that_of_plain_steps_from_the_best_start(spark):
+    rng = np.random.default_rng(5)
+    good, bad = rng.normal([1700, 90, 40, 200, 60], [60, 40, 30, 90, 50], (900, 5)), rng.normal([900, 700, 500, 100, 900], 40, (500, 5))
+    x = np.abs(np.concatenate([good, bad])).astype(np.int64)
+    rows = spark.createDataFrame([("g", *map(int, r)) for r in x], "g string, " + ", ".join(f"{c} long" for c in quality.STATS))
+    (got,) = quality.estimates(rows, ["g"]).collect()
+    centre, cov = _plain_robust(x.astype(float))
+    factor = np.array([[got[f"l{i}{j}"] if j <= i else 0.0 for j in range(5)] for i in range(5)])
+    assert np.allclose([got[f"c{i}"] for i in range(5)], centre) and np.allclose(factor @ factor.T, cov)
+    assert np.all(np.abs(centre - [1700, 90, 40, 200, 60]) < 30)  # the bad third doesn't move it
