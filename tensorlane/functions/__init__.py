@@ -20,6 +20,20 @@ def safe_cast(c: Column, kind: str) -> Column:
     return c.try_cast(kind)
 
 
+def choose(cases: list[tuple[Column, Column]], otherwise: Column) -> Column:
+    """The value of the first case that holds."""
+    return F.coalesce(*[F.when(test, value) for test, value in cases], otherwise)
+
+
+def math_features(c: Column) -> dict[str, Column]:
+    return {"log1p": F.log1p(F.abs(c)), "sqrt": F.sqrt(F.abs(c)), "square": F.pow(c, F.lit(2)), "sign": F.signum(c), "rounded": F.bround(c, 2)}
+
+
+def pack(names: list[str]) -> Column:
+    """Columns as one struct, which sorts and aggregates as a whole."""
+    return F.struct(*names)
+
+
 def bucket(c: Column, m: int) -> Column:
     return F.pmod(F.xxhash64(c), F.lit(m))
 

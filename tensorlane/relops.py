@@ -21,6 +21,69 @@ def join_fact(a: DataFrame, b: DataFrame, on: Column, algorithm: str = "merge")
     return a.join(b.hint(algorithm), on)
 
 
+def join_theta(a: DataFrame, b: DataFrame, on: Column, most: int = BROADCAST_ROWS) -> DataFrame:
+    """Join by any condition to a short list of rules; every row meets every rule, so a longer list is refused."""
+    if b.limit(most + 1).count() > most:
+        raise ValueError(f"the second table has over {most} rows: give the join a key, a range or time slots")
+    return a.join(F.broadcast(b), on)
+
+
+def where_score(scores: DataFrame, condition: Column) -> DataFrame:
+    """Rows by their score or class; the condition stays above the scorer."""
+    return scores.filter(condition)
+
+
+def n_distinct(column: str, approx: float | None = None) -> Column:
+    """Distinct values; with ``approx`` by a sketch of that relative standard deviation."""
+    return F.count_distinct(column) if approx is None else F.approx_count_distinct(column, approx)
+
+
+def agg_sets(df: DataFrame, sets: list[list[str]], aggs: list[Column]) -> DataFrame:
+    """Aggregates over several groupings in one pass; columns that a grouping lacks are null."""
+    names = list(dict.fromkeys(c for group in sets for c in group))
+    return df.groupingSets([[F.col(c) for c in group] for group in sets], *names).agg(*aggs)
+
+
+def arg_best(df: DataFrame, by: list[str], wanted: str, order: list[str], name: str) -> DataFrame:
+    """The value of ``wanted`` in each group's greatest row by ``order``: no sort, one partial row a group."""
+    return df.groupBy(*by).agg(F.max_by(wanted, F.struct(*order)).alias(name))
+
+
+def most_common(df: DataFrame, by: list[str], column: str, name: str) -> DataFrame:
+    """Each group's most frequent value, the smallest of ties."""
+    counts = df.groupBy(*by, column).agg(F.count("*").alias("_n"))
+    return counts.groupBy(*by).agg(F.max_by(column, F.struct("_n", (-F.col(column)).alias("_less"))).alias(name))
+
+
+def sample_hash(df: DataFrame, key: str, share: float) -> DataFrame:
+    """About that share of the keys, the same ones in every run and partitioning."""
+    low = F.col(key).bitwiseXOR(F.shiftrightunsigned(key, 31)).bitwiseAND(F.lit((1 << 31) - 1))
+    return df.filter(F.pmod(low * F.lit(2654435761), F.lit(1 << 32)) < F.lit(int(share * (1 << 32))))
+
+
+def rolling(df: DataFrame, by: list[str], order: str, frame: tuple[int, int], aggs: dict[str, Column], kind: str = "range") -> DataFrame:
+    """Aggregates over a frame of rows, or of values of ``order``, round each row."""
+    w = Window.partitionBy(*by).orderBy(order)
+    w = w.rangeBetween(*frame) if kind == "range" else w.rowsBetween(*frame)
+    return df.withColumns({name: agg.over(w) for name, agg in aggs.items()})
+
+
+def metrics_multi(df: DataFrame, label: str, predicted: str) -> DataFrame:
+    """Precision, recall and support of each class (null where nothing is predicted or labelled so)."""
+    pairs = df.groupBy(label, predicted).agg(F.count("*").alias("_n"))  # as many rows as pairs of classes
+    same = F.sum(F.when(F.col(label) == F.col(predicted), F.col("_n")).otherwise(0))
+    real = pairs.groupBy(F.col(label).alias("class")).agg(F.sum("_n").alias("support"), same.alias("tp"))
+    given = pairs.groupBy(F.col(predicted).alias("class")).agg(F.sum("_n").alias("given"))
+    out = real.join(given, "class", "full").withColumns({c: F.coalesce(c, F.lit(0).cast("long")) for c in ("support", "tp", "given")})
+    return out.select("class", F.try_divide("tp", "given").alias("precision"), F.try_divide("tp", "support").alias("recall"), "support")
+
+
+def metrics_regress(df: DataFrame, label: str, predicted: str) -> DataFrame:
+    error = F.col(label) - F.col(predicted)
+    sums = df.agg(F.avg(error * error).alias("mse"), F.avg(F.abs(error)).alias("mae"), F.var_pop(label).alias("spread"))
+    return sums.select(F.sqrt("mse").alias("rmse"), "mae", (1 - F.try_divide("mse", "spread")).alias("r2"))
+
+
 def join_range(df: DataFrame, value: str, edges: list[float]) -> DataFrame:
     """``bin``: how many edges (a short sorted list) lie at or below the value."""
     return df.withColumn("bin", reduce(lambda x, y: x + y, [(F.col(value) >= F.lit(float(e))).cast("int") for e in edges]))
@@ -63,7 +126,7 @@ def from_coo(coo: DataFrame, key: str, names: list[str]) -> DataFrame:
 
 
 def rank_by(df: DataFrame, by: list[str], order: list, kind: str, name: str = "rank") -> DataFrame:
-    ways = {"row_number": F.row_number, "rank": F.rank, "dense_rank": F.dense_rank, "percent_rank": F.percent_rank, "cume_dist": F.cume_dist}
+    ways = {"row_number": F.row_number, "rank": F.rank, "dense_rank": F.dense_rank, "percent_rank": F.percent_rank, "cume_dist": F.cume_dist, "ntile": lambda: F.ntile(4)}
     return df.withColumn(name, ways[kind]().over(Window.partitionBy(*by).orderBy(*order)))
 
 

@@ -66,9 +66,20 @@ def replay(df: DataFrame, mode: str = "append", checkpoint: str | None = None) -
     return spark.read.schema(df.schema).parquet(*[f"{path}/batch={k}" for k in chosen])
 
 
-def sink_scores(df: DataFrame, path: str, checkpoint: str):
-    """Each micro-batch overwrites its own folder, so a batch that runs twice is stored once."""
-    return df.writeStream.option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(lambda batch, k: batch.write.mode("overwrite").parquet(f"{path}/batch={k}")).start()
+def sink_scores(df: DataFrame, path: str, checkpoint: str, current=None):
+    """Each micro-batch overwrites its own folder, so a batch that runs twice is stored once.
+
+    ``current()``, called for every micro-batch, gives the scorer to use, so a new model takes effect without a restart.
+    """
+    def store(batch: DataFrame, k: int) -> None:
+        (current()(batch) if current else batch).write.mode("overwrite").parquet(f"{path}/batch={k}")
+
+    return df.writeStream.option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(store).start()
+
+
+def enrich(stream: DataFrame, dim: DataFrame, on) -> DataFrame:
+    """Stream rows with those of a static table, which is read anew for each micro-batch; no state is kept."""
+    return stream.join(dim, on)
 
 
 def stateful_counts(df: DataFrame, key: str = "user_id", idle_ms: int | None = None) -> DataFrame:
