@@ -59,10 +59,10 @@ def _(s, d):
     return orders.filter(F.col("o_orderstatus").isin("F", "O") & F.col("o_totalprice").between(1000, 200000) & urgent).select("o_orderkey", "o_orderpriority")
 
 
-@query("where_score", f"SELECT event_id, prediction, {fixed('p1')} AS p1 FROM ({_TREE_SQL}) WHERE prediction = 0 AND p1 >= 0.0")
+@query("where_score", f"SELECT event_id, {fixed('p1')} AS p1 FROM ({_TREE_SQL}) WHERE p1 >= 0.5")
 def _(s, d):
-    scores = compile_pipeline(_tree_dag(), lane="vector").score(_FRAUD.frame(s, d), ["event_id"], ["prediction", "p1"])
-    return scoring.whole(relops.where_score(scores, (F.col("prediction") == 0) & (F.col("p1") >= 0.0)), ["event_id", "prediction"], ["p1"])
+    scores = compile_pipeline(_tree_dag(), lane="vector").score(_FRAUD.frame(s, d), ["event_id"], ["p1"])
+    return scoring.whole(relops.where_score(scores, F.col("p1") >= 0.5), ["event_id"], ["p1"])
 
 
 @query(
