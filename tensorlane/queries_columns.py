@@ -61,7 +61,7 @@ def _(s, d):
 
 @query("where_score", f"SELECT event_id, {fixed('p1')} AS p1 FROM ({_TREE_SQL}) WHERE p1 >= 0.5")
 def _(s, d):
-    scores = compile_pipeline(_tree_dag(), lane="vector").score(_FRAUD.frame(s, d), ["event_id"], ["p1"])
+    scores = compile_pipeline(_tree_dag(), lane="vector").score(_FRAUD.frame(s, d), ["event_id"], ["prediction", "p0", "p1"])
     return scoring.whole(relops.where_score(scores, F.col("p1") >= 0.5), ["event_id"], ["p1"])
 
 
