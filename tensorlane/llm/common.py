@@ -72,7 +72,7 @@ def counted(df: DataFrame, label: str, count: str) -> DataFrame:
     return out
 
 
-def join_by_count(left: DataFrame, right: DataFrame, on: str, count: str, how: str = "inner") -> DataFrame:
+def join_by_count(left: DataFrame, right: DataFrame, on: str | list[str], count: str, how: str = "inner") -> DataFrame:
     """``left`` joined with ``right`` (see ``counted``), which has one row a key and the number of the left's rows in column ``count``.
 
     The few keys with many rows would meet in one task each: they are broadcast, a list whose length is bounded

@@ -13,8 +13,10 @@ sort as soon as its group decides it.
 3. The last digit is the window itself: equal groups are exactly the repeated windows.
 
 Groups are only counted, never gathered, and equal runs are told apart by one witness, so
-large groups of copies cost a count.  Texts travel twice: those that hold any repeated
-gram are set aside once and used for all later passes.
+large groups of copies cost a count; the counts of the few crowded groups are broadcast to their rows.
+Texts travel twice: those that hold any repeated gram are set aside once and used for all later
+passes.  What removes bytes is always an equality of 128 bits: a digit and a whole, or two hashes
+of the window.
 """
 
 from __future__ import annotations
@@ -27,13 +29,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import RangeHash, document_blocks, mix, small_batches, utf8, written
+from .common import RangeHash, counted, document_blocks, drop_written, join_by_count, mix, small_batches, utf8, written
 
 GRAM = 100
 SEGMENT = 16
 TEXT_BYTES = 4 << 20
 #: Windows of a text that are handled at once; a gram's place must fit the low bits of its rank.
 PLACE_BITS = 20
+#: The last pass hashes each window a second time, with byte values of this seed.
+CHECK_SEED = 11
 CHUNK = 1 << (PLACE_BITS - 1)
 RUN = "key binary, digit long, whole long, place int, lo long, hi long"
 NAMES = ["key", "digit", "whole", "place", "lo", "hi"]
@@ -112,12 +116,14 @@ def _decided(rows: DataFrame, label: str) -> DataFrame:
     """
     groups = rows.groupBy("digit", "whole").agg(F.count("*").alias("n"), F.max("row").alias("witness"))
     digits = groups.groupBy("digit").agg(F.sum("n").alias("rows"), F.count("*").alias("kinds")).filter(F.col("rows") > 1)
-    known = written(groups.join(digits, "digit").select("digit", "whole", "n", "kinds", "witness"), f"{label}-groups")
+    known = counted(groups.join(digits, "digit").select("digit", "whole", "n", "kinds", "witness"), f"{label}-groups", "n")
     full, several = F.col("n") > 1, F.col("kinds") > 1
-    out = rows.join(known, ["digit", "whole"]).select(
+    out = join_by_count(rows, known, ["digit", "whole"], "n").select(
         "key", "digit", "place", "lo", "hi", full.alias("full"), (several & (~full | (F.col("row") == F.col("witness")))).alias("open")
     )
-    return written(out, f"{label}-decided")
+    out = written(out, f"{label}-decided")
+    drop_written(known, rows)
+    return out
 
 
 def _open_lists(decided: DataFrame) -> DataFrame:
@@ -141,8 +147,8 @@ def merge(lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return lo[new], top[np.concatenate([np.flatnonzero(new)[1:] - 1, [len(lo) - 1]])]
 
 
-def repeated_spans(docs: DataFrame, *, least: int = 400, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
-    """(light, work): all documents (id, n_bytes, key of the text), and by key the texts that hold repeats, with their ``spans``."""
+def repeated_spans(docs: DataFrame, *, least: int = 400, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame, list[DataFrame]]:
+    """(light, work, tables): all documents (id, n_bytes, key of the text); by key the texts that hold repeats, with their ``spans``; what to drop afterwards."""
     small_batches(docs.sparkSession)
     body = docs.select(F.col(id_col).cast("long").alias("id"), utf8(text_col).alias("body"))
     keyed = body.withColumn("key", F.unhex(F.sha2("body", 256))).withColumn("n_bytes", F.octet_length("body").cast("long"))
@@ -173,28 +179,31 @@ def repeated_spans(docs: DataFrame, *, least: int = 400, id_col: str = "doc_id",
     fine = _decided(segments, "repeats-2")
 
     def last_pass(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashes = RangeHash()
+        hashes, others = RangeHash(), RangeHash(seed=CHECK_SEED)
         for b in document_blocks(batches, "body", TEXT_BYTES):
-            keys, starts, found = [], [], []
+            keys, starts, found, checks = [], [], [], []
             for k, (text, rows) in enumerate(zip(b.column("body"), b.column("runs"), strict=True)):
                 data = np.frombuffer(text.as_buffer(), np.uint8)
                 for digit, _, lo, hi in _list_columns(rows):
                     at = np.arange(hi - lo + 1)
-                    prefix = hashes.prefix(data[lo : hi + least])
-                    found.append(mix(hashes.ranges(prefix, at, at + least) ^ np.uint64(int(digit) & (1 << 64) - 1)))
+                    part = data[lo : hi + least]
+                    found.append(mix(hashes.ranges(hashes.prefix(part), at, at + least) ^ np.uint64(int(digit) & (1 << 64) - 1)))
+                    checks.append(others.ranges(others.prefix(part), at, at + least))
                     starts.append(at + lo)
                     keys.append(np.full(len(at), k))
             if found:
                 key = b.column("key").take(pa.array(np.concatenate(keys)))
-                yield pa.RecordBatch.from_arrays([key, pa.array(np.concatenate(found).view(np.int64)), pa.array(np.concatenate(starts))], ["key", "digit", "lo"])
+                hashed = [pa.array(np.concatenate(x).view(np.int64)) for x in (found, checks)]
+                yield pa.RecordBatch.from_arrays([key, *hashed, pa.array(np.concatenate(starts))], ["key", "digit", "again", "lo"])
 
-    windows = written(work.join(_open_lists(fine), "key").select("key", "body", "runs").mapInArrow(last_pass, "key binary, digit long, lo long"), "repeats-windows")
-    equal = windows.groupBy("digit").agg(F.count("*").alias("n")).filter("n > 1").select("digit")
+    windows = written(work.join(_open_lists(fine), "key").select("key", "body", "runs").mapInArrow(last_pass, "key binary, digit long, again long, lo long"), "repeats-windows")
+    equal = counted(windows.groupBy("digit", "again").agg(F.count("*").alias("n")).filter("n > 1"), "repeats-equal", "n")
     spans = [x.filter("full").select("key", "lo", (F.col("hi") + least).alias("end")) for x in (coarse, fine)]
-    spans.append(windows.join(equal, "digit").select("key", "lo", (F.col("lo") + least).alias("end")))
+    spans.append(join_by_count(windows, equal, ["digit", "again"], "n").select("key", "lo", (F.col("lo") + least).alias("end")))
     spans = spans[0].unionByName(spans[1]).unionByName(spans[2])
-    lists = spans.groupBy("key").agg(F.collect_list(F.struct("lo", "end")).alias("spans"))
-    return light, work.join(lists, "key")
+    # a set: copies of a text name the same spans
+    lists = spans.groupBy("key").agg(F.collect_set(F.struct("lo", "end")).alias("spans"))
+    return light, work.join(lists, "key"), [coarse, fine, windows, equal, touched, work]
 
 
 RESULT = "key binary, n_removed long, n_spans long, kept_sha256 string, kept binary"
@@ -224,12 +233,13 @@ def remove_repeats(docs: DataFrame, *, least: int = 400, id_col: str = "doc_id",
     texts are empty, repeated rows are copies of each other, null ids are kept, and an empty table gives no
     rows.  Other columns are not read.
     """
-    light, work = repeated_spans(docs, least=least, id_col=id_col, text_col=text_col)
+    light, work, tables = repeated_spans(docs, least=least, id_col=id_col, text_col=text_col)
     # rows that repeat id and text fetch a text twice
     results = written(_cut(work, with_text).dropDuplicates(["key"]), "repeats-results")
-    copies = light.groupBy("key").agg((F.count("*") > 1).alias("copied"))
-    whole = F.col("copied") & (F.col("n_bytes") >= least)
-    out = light.join(copies, "key").join(results, "key", "left")
+    drop_written(*tables)
+    texts = light.groupBy("key").agg(F.count("*").alias("copies")).join(results, "key", "left")
+    whole = (F.col("copies") > 1) & (F.col("n_bytes") >= least)
+    out = join_by_count(light, counted(texts, "repeats-texts", "copies"), "key", "copies")
     return out.select(
         F.col("id").alias(id_col), "n_bytes", F.when(whole, F.col("n_bytes")).otherwise(F.coalesce("n_removed", F.lit(0).cast("long"))).alias("n_removed"),
         F.when(whole, F.lit(1).cast("long")).otherwise(F.coalesce("n_spans", F.lit(0).cast("long"))).alias("n_spans"),
