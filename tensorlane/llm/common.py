@@ -174,10 +174,13 @@ class RangeHash:
             have = n
         return cls._tables[have]
 
+    def _terms(self, data: np.ndarray) -> np.ndarray:
+        return self.values[data]
+
     def prefix(self, data: np.ndarray) -> np.ndarray:
         up, _ = self.tables(max(_SEGMENT, len(data) + 1))
         out = np.zeros(len(data) + 1, np.uint64)
-        np.cumsum(self.values[data] * up[: len(data)], out=out[1:])
+        np.cumsum(self._terms(data) * up[: len(data)], out=out[1:])
         return out
 
     def ranges(self, prefix: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:

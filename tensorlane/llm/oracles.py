@@ -50,8 +50,8 @@ SELECT doc_id, len(w)::BIGINT AS n_words, list_sum(list_transform(w, lambda s: l
 FROM d LEFT JOIN h USING (r) LEFT JOIN l USING (r)
 """
 
-OP7 = """
-WITH d AS (SELECT row_number() OVER () AS r, doc_id, hex(encode(coalesce(text, ''))) AS x FROM documents),
+OP7 = r"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, text, hex(encode(coalesce(text, ''))) AS x FROM documents),
 w AS (SELECT r, s, md5(substr(x, 2 * s + 1, 800)) AS k FROM (SELECT r, x, unnest(range(0, length(x) // 2 - 399)) AS s FROM d)),
 u AS (SELECT r, s FROM w WHERE k IN (SELECT k FROM w GROUP BY k HAVING count(*) > 1)),
 i AS (SELECT r, s, sum(g) OVER (PARTITION BY r ORDER BY s) AS g
@@ -59,10 +59,16 @@ i AS (SELECT r, s, sum(g) OVER (PARTITION BY r ORDER BY s) AS g
 p AS (SELECT r, min(s) AS a, max(s) + 400 AS b FROM i GROUP BY r, g),
 q AS (SELECT r, a, b, coalesce(lag(b) OVER (PARTITION BY r ORDER BY a), 0) AS z FROM p),
 k AS (SELECT r, sum(b - a) AS n_removed, count(*) AS n_spans, string_agg(substr(x, (2 * z + 1)::BIGINT, (2 * (a - z))::BIGINT), '' ORDER BY a) AS head, max(b) AS e
-      FROM q JOIN d USING (r) GROUP BY r)
+      FROM q JOIN d USING (r) GROUP BY r),
+t AS (SELECT r, regexp_extract_all(text, '[^\x20\x09-\x0D]+') AS v FROM d),
+ws AS (SELECT r, p, md5(array_to_string(v[p:p + 49], ' ')) AS k FROM (SELECT r, v, unnest(range(1, len(v) - 48)) AS p FROM t)),
+wu AS (SELECT r, p FROM ws WHERE k IN (SELECT k FROM ws GROUP BY k HAVING count(*) > 1)),
+wn AS (SELECT r, sum(least(50, coalesce(nxt - p, 50)))::BIGINT AS n_shared_words
+       FROM (SELECT r, p, lead(p) OVER (PARTITION BY r ORDER BY p) AS nxt FROM wu) GROUP BY r)
 SELECT doc_id, (length(x) // 2)::BIGINT AS n_bytes, coalesce(n_removed, 0)::BIGINT AS n_removed, coalesce(n_spans, 0)::BIGINT AS n_spans,
-       sha256(unhex(coalesce(head || substr(x, (2 * e + 1)::BIGINT), x))) AS kept_sha256
-FROM d LEFT JOIN k USING (r)
+       sha256(unhex(coalesce(head || substr(x, (2 * e + 1)::BIGINT), x))) AS kept_sha256,
+       coalesce(n_shared_words, 0)::BIGINT AS n_shared_words
+FROM d LEFT JOIN k USING (r) LEFT JOIN wn USING (r)
 """
 
 OP3 = rf"""

@@ -51,7 +51,7 @@ def op6_pretoken_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_radix_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return repeats.remove_repeats(table(spark, sf_dir, "documents"), least=400)
+    return repeats.remove_repeats(table(spark, sf_dir, "documents"), least=400, words=50)
 
 
 def op8_nnls_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -17,6 +17,9 @@ large groups of copies cost a count; the counts of the few crowded groups are br
 Texts travel twice: those that hold any repeated gram are set aside once and used for all later
 passes.  What removes bytes is always an equality of 128 bits: a digit and a whole, or two hashes
 of the window.
+
+The sort doesn't care what a text is made of: the same passes run over bytes, or over words (each a
+64-bit hash), where a passage counts by its number of words however short they are.
 """
 
 from __future__ import annotations
@@ -29,9 +32,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import RangeHash, counted, document_blocks, drop_written, join_by_count, mix, small_batches, utf8, written
+from .common import SPACE_BYTES, RangeHash, Words, buffers, counted, document_blocks, drop_written, join_by_count, mix, small_batches, utf8, written
 
-GRAM = 100
+#: A window is so many times as long as the gram that is its first digit.
+GRAMS = 4
+#: Windows of a segment, at most.
 SEGMENT = 16
 TEXT_BYTES = 4 << 20
 #: Windows of a text that are handled at once; a gram's place must fit the low bits of its rank.
@@ -56,10 +61,41 @@ def sliding_minimum(values: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(rear[:out], fore[width - 1 : width - 1 + out])
 
 
+class Bytes:
+    """Texts as arrays of bytes."""
+
+    def __init__(self):
+        self.hashes, self.others = RangeHash(), RangeHash(seed=CHECK_SEED)
+
+    def of(self, column) -> list[np.ndarray]:
+        return [np.frombuffer(x.as_buffer(), np.uint8) for x in column]
+
+
+class _WordRanges(RangeHash):
+    """Hashes of ranges of word hashes; a seed makes them another function."""
+
+    def _terms(self, data: np.ndarray) -> np.ndarray:
+        return mix(data ^ self.values[0])
+
+
+class WordHashes:
+    """Texts as arrays of word hashes; words are runs of bytes other than ASCII white space."""
+
+    def __init__(self):
+        is_word = np.ones(256, bool)
+        is_word[list(SPACE_BYTES)] = False
+        self.words = Words(is_word)
+        self.hashes, self.others = _WordRanges(), _WordRanges(seed=CHECK_SEED)
+
+    def of(self, column) -> list[np.ndarray]:
+        words, first = self.words.of(*buffers(column))
+        return np.split(words, first[1:-1])
+
+
 def runs_of(text: np.ndarray, least: int, hashes: RangeHash) -> list[np.ndarray]:
     """Runs of windows with the same first digit: digit, whole, place of the gram from lo, lo, hi."""
-    gram = min(GRAM, least)
-    found = []
+    gram = max(1, least // GRAMS)
+    found = [[np.zeros(0, t) for t in (np.uint64, np.uint64, np.int64, np.int64, np.int64)]]
     for c in range(0, len(text) - least + 1, CHUNK):
         data = text[c : c + CHUNK + least - 1]
         prefix = hashes.prefix(data)
@@ -82,14 +118,15 @@ def _whole(hashes: RangeHash, prefix: np.ndarray, place: np.ndarray, lo: np.ndar
 
 def segments_of(text: np.ndarray, runs: np.ndarray, least: int, hashes: RangeHash) -> list[np.ndarray]:
     """Segments of runs (rows: digit, place from lo, lo, hi), like runs, with a longer digit."""
+    width = max(1, min(SEGMENT, least // GRAMS))
     found = []
     for digit, ahead, lo, hi in runs:
         place = lo + ahead
-        first, last = (place - hi) // SEGMENT, (place - lo) // SEGMENT
+        first, last = (place - hi) // width, (place - lo) // width
         k = np.arange(first, last + 1)
-        for at in range(0, len(k), CHUNK // SEGMENT):
-            part = k[at : at + CHUNK // SEGMENT]
-            right, left = place - part * SEGMENT, place - part * SEGMENT - SEGMENT + 1
+        for at in range(0, len(k), CHUNK // width):
+            part = k[at : at + CHUNK // width]
+            right, left = place - part * width, place - part * width - width + 1
             a, b = np.maximum(left, lo), np.minimum(right, hi)
             base = int(a.min())
             prefix = hashes.prefix(text[base : int(b.max()) + least])
@@ -147,48 +184,51 @@ def merge(lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return lo[new], top[np.concatenate([np.flatnonzero(new)[1:] - 1, [len(lo) - 1]])]
 
 
-def repeated_spans(docs: DataFrame, *, least: int = 400, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame, list[DataFrame]]:
-    """(light, work, tables): all documents (id, n_bytes, key of the text); by key the texts that hold repeats, with their ``spans``; what to drop afterwards."""
+def keyed_texts(docs: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:
+    """(keyed, light): documents as id, body, key of the text and n_bytes; the same without bodies, written."""
     small_batches(docs.sparkSession)
     body = docs.select(F.col(id_col).cast("long").alias("id"), utf8(text_col).alias("body"))
     keyed = body.withColumn("key", F.unhex(F.sha2("body", 256))).withColumn("n_bytes", F.octet_length("body").cast("long"))
-    light = written(keyed.select("id", "key", "n_bytes"), "repeats-light")
+    return keyed, written(keyed.select("id", "key", "n_bytes"), "repeats-light")
+
+
+def repeated_spans(keyed: DataFrame, light: DataFrame, units: type, least: int, label: str) -> tuple[DataFrame, DataFrame, list[DataFrame]]:
+    """(texts, spans, tables): the texts looked at again (key, body); by key the ``spans`` of units in windows that
+    repeat, of copies perhaps too; and what to drop afterwards."""
 
     def first_pass(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashes = RangeHash()
+        unit = units()
         for b in document_blocks(batches, "body", TEXT_BYTES):
-            texts = [np.frombuffer(x.as_buffer(), np.uint8) for x in b.column("body")]
-            yield _rows(b.column("key").to_pylist(), [runs_of(t, least, hashes) for t in texts])
+            yield _rows(b.column("key").to_pylist(), [runs_of(t, least, unit.hashes) for t in unit.of(b.column("body"))])
 
-    runs = written(keyed.filter(F.col("n_bytes") >= least).select("key", "body").mapInArrow(first_pass, RUN).withColumn("row", F.monotonically_increasing_id()), "repeats-runs")
-    coarse = _decided(runs, "repeats-1")
+    runs = written(keyed.filter(F.col("n_bytes") >= least).select("key", "body").mapInArrow(first_pass, RUN).withColumn("row", F.monotonically_increasing_id()), f"{label}-runs")
+    coarse = _decided(runs, f"{label}-1")
     # a text that stands more than once is gone as a whole; it is fetched only to be a witness
     copies = light.groupBy("key").agg(F.count("*").alias("copies"), F.min("id").alias("of"))
     touched = coarse.groupBy("key").agg(F.max("open").alias("has_open")).join(copies, "key").filter((F.col("copies") == 1) | F.col("has_open"))
-    touched = written(touched.select(F.col("key").alias("k"), "of"), "repeats-touched")
+    touched = written(touched.select(F.col("key").alias("k"), "of"), f"{label}-touched")
     texts = keyed.join(touched, (F.col("key") == F.col("k")) & F.col("id").eqNullSafe(F.col("of"))).select("key", "body")
-    work = written(texts, "repeats-texts")
+    work = written(texts, f"{label}-texts")
 
     def second_pass(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashes = RangeHash()
+        unit = units()
         for b in document_blocks(batches, "body", TEXT_BYTES):
-            texts = [np.frombuffer(x.as_buffer(), np.uint8) for x in b.column("body")]
-            yield _rows(b.column("key").to_pylist(), [segments_of(t, _list_columns(r), least, hashes) for t, r in zip(texts, b.column("runs"), strict=True)])
+            found = [segments_of(t, _list_columns(r), least, unit.hashes) for t, r in zip(unit.of(b.column("body")), b.column("runs"), strict=True)]
+            yield _rows(b.column("key").to_pylist(), found)
 
-    segments = written(work.join(_open_lists(coarse), "key").select("key", "body", "runs").mapInArrow(second_pass, RUN).withColumn("row", F.monotonically_increasing_id()), "repeats-segments")
-    fine = _decided(segments, "repeats-2")
+    segments = written(work.join(_open_lists(coarse), "key").select("key", "body", "runs").mapInArrow(second_pass, RUN).withColumn("row", F.monotonically_increasing_id()), f"{label}-segments")
+    fine = _decided(segments, f"{label}-2")
 
     def last_pass(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hashes, others = RangeHash(), RangeHash(seed=CHECK_SEED)
+        unit = units()
         for b in document_blocks(batches, "body", TEXT_BYTES):
             keys, starts, found, checks = [], [], [], []
-            for k, (text, rows) in enumerate(zip(b.column("body"), b.column("runs"), strict=True)):
-                data = np.frombuffer(text.as_buffer(), np.uint8)
+            for k, (data, rows) in enumerate(zip(unit.of(b.column("body")), b.column("runs"), strict=True)):
                 for digit, _, lo, hi in _list_columns(rows):
                     at = np.arange(hi - lo + 1)
                     part = data[lo : hi + least]
-                    found.append(mix(hashes.ranges(hashes.prefix(part), at, at + least) ^ np.uint64(int(digit) & (1 << 64) - 1)))
-                    checks.append(others.ranges(others.prefix(part), at, at + least))
+                    found.append(mix(unit.hashes.ranges(unit.hashes.prefix(part), at, at + least) ^ np.uint64(int(digit) & (1 << 64) - 1)))
+                    checks.append(unit.others.ranges(unit.others.prefix(part), at, at + least))
                     starts.append(at + lo)
                     keys.append(np.full(len(at), k))
             if found:
@@ -196,14 +236,32 @@ def repeated_spans(docs: DataFrame, *, least: int = 400, id_col: str = "doc_id",
                 hashed = [pa.array(np.concatenate(x).view(np.int64)) for x in (found, checks)]
                 yield pa.RecordBatch.from_arrays([key, *hashed, pa.array(np.concatenate(starts))], ["key", "digit", "again", "lo"])
 
-    windows = written(work.join(_open_lists(fine), "key").select("key", "body", "runs").mapInArrow(last_pass, "key binary, digit long, again long, lo long"), "repeats-windows")
-    equal = counted(windows.groupBy("digit", "again").agg(F.count("*").alias("n")).filter("n > 1"), "repeats-equal", "n")
+    windows = written(work.join(_open_lists(fine), "key").select("key", "body", "runs").mapInArrow(last_pass, "key binary, digit long, again long, lo long"), f"{label}-windows")
+    equal = counted(windows.groupBy("digit", "again").agg(F.count("*").alias("n")).filter("n > 1"), f"{label}-equal", "n")
     spans = [x.filter("full").select("key", "lo", (F.col("hi") + least).alias("end")) for x in (coarse, fine)]
     spans.append(join_by_count(windows, equal, ["digit", "again"], "n").select("key", "lo", (F.col("lo") + least).alias("end")))
     spans = spans[0].unionByName(spans[1]).unionByName(spans[2])
     # a set: copies of a text name the same spans
     lists = spans.groupBy("key").agg(F.collect_set(F.struct("lo", "end")).alias("spans"))
-    return light, work.join(lists, "key"), [coarse, fine, windows, equal, touched, work]
+    return work, lists, [coarse, fine, windows, equal, touched, work]
+
+
+def shared_words(keyed: DataFrame, light: DataFrame, words: int) -> DataFrame:
+    """Per text (by key) that has any: ``n_shared_words``, its words in passages of ``words`` words that start anywhere else too."""
+    _, lists, tables = repeated_spans(keyed, light, WordHashes, words, "shared")
+
+    def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            n = []
+            for spans in b.column("spans"):
+                rows = _list_columns(spans)
+                lo, hi = merge(rows[:, 0], rows[:, 1])
+                n.append(int((hi - lo).sum()))
+            yield pa.RecordBatch.from_arrays([b.column("key"), pa.array(n, pa.int64())], ["key", "n_shared_words"])
+
+    out = written(lists.mapInArrow(measure, "key binary, n_shared_words long"), "shared-words")
+    drop_written(*tables)
+    return out
 
 
 RESULT = "key binary, n_removed long, n_spans long, kept_sha256 string, kept binary"
@@ -225,24 +283,30 @@ def _cut(work: DataFrame, with_text: bool) -> DataFrame:
     return work.mapInArrow(cut, RESULT)
 
 
-def remove_repeats(docs: DataFrame, *, least: int = 400, id_col: str = "doc_id", text_col: str = "text", with_text: bool = False) -> DataFrame:
+def remove_repeats(docs: DataFrame, *, least: int = 400, id_col: str = "doc_id", text_col: str = "text", with_text: bool = False, words: int | None = None) -> DataFrame:
     """Per document: id, ``n_bytes``, ``n_removed``, ``n_spans``, ``kept_sha256`` and, if asked for, the ``kept`` bytes.
 
     Every byte that lies in a string of ``least`` bytes which also starts anywhere else is removed, in the same
     document or another; matches never cross documents and are judged on the input.  Null
     texts are empty, repeated rows are copies of each other, null ids are kept, and an empty table gives no
-    rows.  Other columns are not read.
+    rows.  Very long texts are read whole, one at a time.  Other columns are not read.
+
+    With ``words``, a column ``n_shared_words`` more: words in passages of so many words that also
+    start anywhere else.  Nothing is removed for those: passages of short words reach that length in fewer bytes.
     """
-    light, work, tables = repeated_spans(docs, least=least, id_col=id_col, text_col=text_col)
+    keyed, light = keyed_texts(docs, id_col, text_col)
+    work, lists, tables = repeated_spans(keyed, light, Bytes, least, "repeats")
     # rows that repeat id and text fetch a text twice
-    results = written(_cut(work, with_text).dropDuplicates(["key"]), "repeats-results")
+    results = written(_cut(work.join(lists, "key"), with_text).dropDuplicates(["key"]), "repeats-results")
     drop_written(*tables)
     texts = light.groupBy("key").agg(F.count("*").alias("copies")).join(results, "key", "left")
+    if words:
+        texts = texts.join(shared_words(keyed, light, words), "key", "left")
     whole = (F.col("copies") > 1) & (F.col("n_bytes") >= least)
     out = join_by_count(light, counted(texts, "repeats-texts", "copies"), "key", "copies")
     return out.select(
         F.col("id").alias(id_col), "n_bytes", F.when(whole, F.col("n_bytes")).otherwise(F.coalesce("n_removed", F.lit(0).cast("long"))).alias("n_removed"),
         F.when(whole, F.lit(1).cast("long")).otherwise(F.coalesce("n_spans", F.lit(0).cast("long"))).alias("n_spans"),
         F.when(whole, F.lit(hashlib.sha256(b"").hexdigest())).otherwise(F.coalesce("kept_sha256", F.lower(F.hex("key")))).alias("kept_sha256"),
-        *(["kept"] if with_text else []),
+        *(["kept"] if with_text else []), *([F.coalesce("n_shared_words", F.lit(0).cast("long")).alias("n_shared_words")] if words else []),
     )

@@ -443,7 +443,23 @@ def brute_repeats(rows, least):
 def test_repeats(spark, docs, least):
     out = repeats.remove_repeats(docs, least=least).collect()
     assert ordered(map(tuple, out)) == ordered(brute_repeats(corpus(), least))
-    assert repeats.remove_repeats(table(spark, [])).count() == 0
+    assert repeats.remove_repeats(table(spark, []), words=50).count() == 0
+
+
+def brute_shared(rows, words):
+    data = [(t or "").encode().split() for _, t in rows]
+    seen = Counter(tuple(x[k : k + words]) for x in data for k in range(len(x) - words + 1))
+    out = []
+    for (d, _), x in zip(rows, data, strict=True):
+        hit = {j for k in range(len(x) - words + 1) if seen[tuple(x[k : k + words])] > 1 for j in range(k, k + words)}
+        out.append((d, len(hit)))
+    return out
+
+
+@pytest.mark.parametrize("words", [3, 20])
+def test_shared_words(spark, docs, words):
+    out = repeats.remove_repeats(docs, least=400, words=words).select("doc_id", "n_shared_words").collect()
+    assert ordered(map(tuple, out)) == ordered(brute_shared(corpus(), words))
 
 
 def test_sliding_minimum():
