@@ -185,11 +185,12 @@ def merge(lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def keyed_texts(docs: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:
-    """(keyed, light): documents as id, body, key of the text and n_bytes; the same without bodies, written."""
+    """(keyed, light): documents as id, body, key of the text (128 bits of its digest ``sha``) and n_bytes; the same without bodies, written."""
     small_batches(docs.sparkSession)
     body = docs.select(F.col(id_col).cast("long").alias("id"), utf8(text_col).alias("body"))
-    keyed = body.withColumn("key", F.unhex(F.sha2("body", 256))).withColumn("n_bytes", F.octet_length("body").cast("long"))
-    return keyed, written(keyed.select("id", "key", "n_bytes"), "repeats-light")
+    body = body.withColumn("sha", F.unhex(F.sha2("body", 256))).withColumn("n_bytes", F.octet_length("body").cast("long"))
+    key = F.substring("sha", 1, 16)
+    return body.withColumn("key", key), written(body.select("id", "sha", "n_bytes"), "repeats-light").withColumn("key", key)
 
 
 def repeated_spans(keyed: DataFrame, light: DataFrame, units: type, least: int, label: str) -> tuple[DataFrame, DataFrame, list[DataFrame]]:
@@ -303,10 +304,10 @@ def remove_repeats(docs: DataFrame, *, least: int = 400, id_col: str = "doc_id",
     if words:
         texts = texts.join(shared_words(keyed, light, words), "key", "left")
     whole = (F.col("copies") > 1) & (F.col("n_bytes") >= least)
-    out = join_by_count(light, counted(texts, "repeats-texts", "copies"), "key", "copies")
+    out = join_by_count(light, counted(texts, "repeats-by-text", "copies"), "key", "copies")
     return out.select(
         F.col("id").alias(id_col), "n_bytes", F.when(whole, F.col("n_bytes")).otherwise(F.coalesce("n_removed", F.lit(0).cast("long"))).alias("n_removed"),
         F.when(whole, F.lit(1).cast("long")).otherwise(F.coalesce("n_spans", F.lit(0).cast("long"))).alias("n_spans"),
-        F.when(whole, F.lit(hashlib.sha256(b"").hexdigest())).otherwise(F.coalesce("kept_sha256", F.lower(F.hex("key")))).alias("kept_sha256"),
+        F.when(whole, F.lit(hashlib.sha256(b"").hexdigest())).otherwise(F.coalesce("kept_sha256", F.lower(F.hex("sha")))).alias("kept_sha256"),
         *(["kept"] if with_text else []), *([F.coalesce("n_shared_words", F.lit(0).cast("long")).alias("n_shared_words")] if words else []),
     )
