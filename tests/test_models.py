@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from tensorlane import baseline, fits, frontends, measure, relops, trees
 from tensorlane.pipeline import chain
 from tensorlane.plans.scoring import compile_pipeline
-from tensorlane.queries_models import exchange_forest, nested_dump, sectioned_dump
+from tensorlane.queries_models import QUERIES, exchange_forest, nested_dump, sectioned_dump
 
 NAMES = ["a", "b", "c"]
 GRID = [[0.25, 0.5, 0.75]] * 3
@@ -118,3 +118,16 @@ def test_area_under_the_curve_by_ranges(spark):
     pos, neg = score[label == 1], score[label == 0]
     want = ((pos[:, None] > neg).sum() + 0.5 * (pos[:, None] == neg).sum()) / (len(pos) * len(neg))
     assert abs(relops.auc_rank(df, "y", "s").first()["auc"] - want) < 1e-12
+
+
+def tagged(spark):
+    """A session that has made a member that can't be serialized."""
+    session = spark.newSession()
+    session._jsparkSession.addTag("tagged")
+    return session
+
+
+@pytest.mark.parametrize("name", ["mllib_random_forest", "mllib_logistic", "mllib_svc"])
+def test_binary_models_leave_the_session_behind(spark, name):
+    (row,) = QUERIES[name](tagged(spark), "/root/testdata/sf0.001").collect()
+    assert row["rows"] == 6000 and row["mismatches"] == 0
