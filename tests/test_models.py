@@ -131,3 +131,7 @@ def tagged(spark):
 def test_binary_models_leave_the_session_behind(spark, name):
     (row,) = QUERIES[name](tagged(spark), "/root/testdata/sf0.001").collect()
     assert row["rows"] == 6000 and row["mismatches"] == 0
+
+
+def test_library_baseline_leaves_the_session_behind(spark):
+    assert QUERIES["library_forest_baseline"](tagged(spark), "/root/testdata/sf0.001").filter("prediction IN (0, 1)").count() == 6000
