@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from tensorlane import baseline, fits, frontends, measure, relops, trees
+from tensorlane import baseline, fits, frontends, measure, queries_models, relops, trees
 from tensorlane.pipeline import chain
 from tensorlane.plans.scoring import compile_pipeline
 from tensorlane.queries_models import QUERIES, exchange_forest, nested_dump, sectioned_dump
@@ -135,3 +135,29 @@ def test_binary_models_leave_the_session_behind(spark, name):
 
 def test_library_baseline_leaves_the_session_behind(spark):
     assert QUERIES["library_forest_baseline"](tagged(spark), "/root/testdata/sf0.001").filter("prediction IN (0, 1)").count() == 6000
+
+
+def test_batch_sweep_spreads_a_table_of_one_file(spark, monkeypatch):
+    """All rows go through each of the twelve runs, in more than one task."""
+    seen = []
+
+    def recorded(df):
+        seen.append((df.rdd.getNumPartitions(), df.count()))
+        return 1.0
+
+    monkeypatch.setattr(queries_models, "_noop", recorded)
+    assert QUERIES["w3_batch_sweep"](spark, "/root/testdata/sf0.001").count() == 12
+    assert len(seen) == 12 and all(tasks > 1 and rows == 6000 for tasks, rows in seen)
+
+
+def test_products_are_as_large_as_the_trees_of_a_tile():
+    """Trees of unlike sizes give the cursors' sums to the bit, and padding takes no part."""
+    small = trees.generate(1, 3, 1, [[0.5], [0.25]], 2, "balanced")
+    large = trees.generate(2, 3, 5, [[0.5], [0.25, 0.75]], 2, "balanced")
+    both = trees.ForestSpec((*small.trees, *large.trees))
+    g = trees.gemm_tensors(both)
+    assert g.sizes.tolist() == [[1, 2]] * 3 + [[31, 32]] * 3
+    x = np.random.default_rng(3).uniform(size=(500, 2))
+    x[0] = np.nan
+    for budget in (1, 4096, trees.TILE):
+        assert np.array_equal(trees.gemm_sum(x, g, both.cmp, budget=budget), trees.CompiledForest(both, "tt").leaf_values(x).sum(0))
