@@ -9,7 +9,7 @@ SF = "/root/testdata/sf0.001"
 QUERIES = {**queries.QUERIES, **queries_tables.QUERIES, **queries_models.QUERIES}
 ORACLES = {**queries.ORACLES, **queries_tables.ORACLES}
 CHECKED: list[str] = ["cost_per_prediction", "coverage_summary", "op_count_table", "speedup_summary", "strategy_choice_grid", "strategy_cost_table", "w18_diagnostics"]
-TIMED: list[str] = ["w6_memory"]
+TIMED: list[str] = ["w6_memory", "w8_conversion_time"]
 
 
 @pytest.mark.parametrize("name", CHECKED + TIMED)
