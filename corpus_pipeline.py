@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tensorlane.llm import decontaminate, near_duplicates, packing, personal_data, quality
-from tensorlane.llm.common import scratch_path, table, written
+from tensorlane.llm.common import scratch_path, table, write_table, written
 from tensorlane.llm.tokenizing import default_path
 
 Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
@@ -81,6 +81,6 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES:
         path = scratch_path(spark, f"pipeline-{name}")
-        stage(spark, docs, sf_dir).write.parquet(path)
+        write_table(stage(spark, docs, sf_dir), path)
         docs = spark.read.parquet(path)
     return docs

@@ -592,3 +592,26 @@ def test_robust_estimate_is_that_of_plain_steps_from_the_best_start(spark):
     factor = np.array([[got[f"l{i}{j}"] if j <= i else 0.0 for j in range(5)] for i in range(5)])
     assert np.allclose([got[f"c{i}"] for i in range(5)], centre) and np.allclose(factor @ factor.T, cov)
     assert np.all(np.abs(centre - [1700, 90, 40, 200, 60]) < 30)  # the bad third doesn't move it
+
+
+def test_written_tables_leave_no_shuffle_files(spark):
+    """The shuffles of a write go when it ends, not at some garbage collection; the session's setting stays."""
+    import time
+
+    from pyspark.sql import functions as F
+
+    from tensorlane.llm.common import CLEANUP
+
+    def shuffles():
+        dirs = list(spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().localDirsString())
+        return {f for d in dirs for _, _, files in os.walk(d) for f in files if f.startswith("shuffle_")}
+
+    before, was = shuffles(), spark.conf.get(CLEANUP, None)
+    rows = spark.range(20_000).groupBy((F.xxhash64("id") % 5000).alias("k")).agg(F.count("*").alias("n"))
+    assert written(rows, "shuffled").agg(F.sum("n")).first()[0] == 20_000
+    made = shuffles() - before
+    written(rows, "again")
+    until = time.time() + 10
+    while (left := shuffles() - before - made) and time.time() < until:
+        time.sleep(0.2)
+    assert not left and spark.conf.get(CLEANUP, None) == was
