@@ -1,57 +1,60 @@
 """Near-duplicate documents by a chosen-path set similarity join over word shingles.
 
 Every document's set of shingle hashes is sketched by ``TOKENS`` minwise tokens.  Each of
-``TREES`` independent trees branches its documents by one selected token at the root.  In a
-node of few documents all pairs are candidates.  In a larger one every document is a
-candidate with the node's first only, and the node branches again, along one or (by a bit of its
-hash) two further selected tokens, unless links found so far already hold all its documents
+``TREES`` independent trees sends a document along one path of ``ROOT`` selected tokens; documents whose paths
+meet stand in one node.  In a node of few documents all sketches are compared.  In a larger one every document is
+compared with the node's first ``HUBS`` only, and the node branches again, along one or (by a bit of its
+hash) two further selected tokens, unless the candidates found so far already hold all its documents
 together.  That is 1.5 branches on average: pairs of a similarity under 2/3 die out on the way,
 while a pair of 0.75 lives on however deep crowded nodes go.  There is no last level: nodes branch until
-none is crowded, so no large node is ever compared in full; what counts as large doubles with the depth within a
-bound, since what still stands together there are groups of much alike documents.  Every branch of every level of every
-tree selects a token of its own, so trees lose a pair independently: ``path_loss`` gives the
-loss in all of them.
-
-The roots of the first trees are linked first; what they hold together takes no further
-part.  Candidates that agree in fewer tokens than a pair of the least similarity does but once in
-a million are dropped (``miss=0`` keeps them all); the rest are confirmed on their full sets: the texts
-that meet one hub stream past it, so no row holds two texts.  Equal sets are one document
+none is crowded.  Every branch of every level of every tree selects tokens of its own, so trees lose a pair
+independently: ``path_loss`` gives the loss in all of them.
+
+Candidates that agree in fewer tokens than a pair of the least similarity does but once in
+a million are dropped (``miss=0`` keeps them all).  The rest are never spelled out as pairs: a node names a spanning
+forest of them, the forests of all nodes make groups, and the text of each grouped document travels
+to its group once, where all pairs are counted on their full sets.  A group of more than ``GROUP_DOCS`` documents is
+cut into blocks, and each two blocks meet.  Equal sets are one document
 from the start, and links are contracted to components by distributed rounds.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
-from functools import reduce
 from math import comb
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import SPACE_BYTES, Words, buffers, counted, document_blocks, drop_written, join_by_count, lower_table, mix, small_batches, utf8, written
 
-TOKENS = 64
-#: So many that a pair at 0.75 is lost once in 80,000 at most, however deep its nodes are crowded.
-TREES = 28
-#: Trees whose roots are linked before the others'.
-FIRST_TREES = 2
-#: Nodes of at most so many documents are compared exhaustively; from the second level on the number doubles, up to ``SMALL_MOST``.
-SMALL = 20
-SMALL_MOST = 1024
+#: So many that a pair at 0.75 is lost once in 95,000 at most, however deep its nodes are crowded.
+TREES = 40
+#: Tokens of a tree's first path.
+ROOT = 2
+TOKENS = ROOT * TREES
+#: Nodes of at most so many documents are compared exhaustively; a smaller number given doubles with each level, up to this one.
+SMALL = 2048
+#: Documents of a larger node that all its others are compared with.
+HUBS = 4
 #: Levels whose tokens are made at once.
 LEVELS = 8
 #: Most branches of a node.
 BRANCHES = 2
-#: Documents that stream past one copy of a hub's text.
-HUB_ROWS = 4096
+#: Documents and shingles of a block of a group.
+GROUP_DOCS = 2048
+GROUP_SHINGLES = 2_000_000
+#: Shingles of more documents of a group than this are counted by a matrix product.
+COMMON = 8
 #: Text lists of at most so many rows are sent to all workers in place of a shuffle of all texts.
 LOOKUP_ROWS = 1_000_000
 MISS = 1e-6
 TEXT_BYTES = 4 << 20
 WORDS = 5
-SIGNATURE = "key binary, id long, row long, n_shingles long, tokens array<int>"
+SIGNATURE = "key binary, id long, row long, n_shingles long, tokens binary, roots binary"
+MET = "a long, b long, tree int"
 
 
 def shingle_words() -> Words:
@@ -111,13 +114,16 @@ def least_agreement(similarity: float, tokens: int, miss: float = MISS) -> int:
     return c
 
 
-def path_loss(similarity: float, trees: int = TREES, levels: int | None = None) -> float:
-    """Probability that a pair of that similarity meets in no tree, where its nodes are crowded for so many levels (None: for ever)."""
+def path_loss(similarity: float, trees: int = TREES, levels: int | None = None, root: int = 1) -> float:
+    """Probability that a pair of that similarity meets in no tree, where its nodes are crowded for so many levels (None: for ever).
+
+    ``root`` is the number of tokens of a tree's first path.
+    """
     alive = 1.0
     for _ in range(1000 if levels is None else levels):
         apart = 1 - similarity * alive
         alive = 1 - (apart + apart**2) / 2  # a node has one branch or two
-    return (1 - similarity * alive) ** trees
+    return (1 - similarity**root * alive) ** trees
 
 
 def _seeds(first: int, n: int) -> tuple[np.ndarray, np.ndarray]:
@@ -126,17 +132,30 @@ def _seeds(first: int, n: int) -> tuple[np.ndarray, np.ndarray]:
     return (s >> np.uint64(32)).astype(np.uint32)[:, None], (s.astype(np.uint32) | np.uint32(1))[:, None]
 
 
+def first_nodes(tokens: np.ndarray) -> np.ndarray:
+    """The node (a 64-bit hash) that each tree sends a document to, for rows of tokens."""
+    trees = tokens.shape[1] // ROOT
+    node = mix(np.arange(1, trees + 1, dtype=np.uint64) * np.uint64(0x9FB21C651E98DF25))[None, :]
+    for k in range(ROOT):
+        node = mix(node ^ mix(tokens[:, k : trees * ROOT : ROOT].astype(np.uint64) + np.uint64(1)))
+    return node
+
+
 def signatures(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", size: int = WORDS, row_col: str | None = None) -> DataFrame:
-    """Per document: digest of its shingle set, id, row key (if there is one), size of the set, minwise tokens (32 bits each)."""
+    """Per document: digest of its shingle set, id, row key (if there is one), size of the set, minwise tokens (their low 8 bits), first nodes of all trees."""
     small_batches(docs.sparkSession)
 
     def sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words, seeds = shingle_words(), _seeds(0, TOKENS)
         for b in document_blocks(batches, "body", TEXT_BYTES):
             sets = shingle_sets(*words.of(*buffers(b.column("body"))), size)
-            tokens = np.concatenate([minwise(s, seeds) for s in sets]).view(np.int32)
-            lists = pa.ListArray.from_arrays(np.arange(0, len(tokens) + 1, TOKENS, dtype=np.int32), tokens)
-            yield pa.RecordBatch.from_arrays([pa.array([digest(s) for s in sets], pa.binary()), b.column("id"), b.column("row"), pa.array([len(s) for s in sets], pa.int64()), lists], ["key", "id", "row", "n_shingles", "tokens"])
+            tokens = np.stack([minwise(s, seeds) for s in sets])
+            low = [t.tobytes() for t in tokens.astype(np.uint8)]
+            roots = [r.tobytes() for r in first_nodes(tokens)]
+            yield pa.RecordBatch.from_arrays(
+                [pa.array([digest(s) for s in sets], pa.binary()), b.column("id"), b.column("row"), pa.array([len(s) for s in sets], pa.int64()), pa.array(low, pa.binary()), pa.array(roots, pa.binary())],
+                ["key", "id", "row", "n_shingles", "tokens", "roots"],
+            )
 
     row = F.col(row_col) if row_col else F.lit(None)
     return docs.select(F.col(id_col).cast("long").alias("id"), row.cast("long").alias("row"), utf8(text_col).alias("body")).mapInArrow(sketch, SIGNATURE)
@@ -165,40 +184,210 @@ def branch_tokens(bodies: DataFrame, size: int, trees: int, depth: int) -> DataF
     return bodies.mapInArrow(sketch, "num long, picks binary")
 
 
-def _linked(candidates: DataFrame, bodies: DataFrame, similarity: float, size: int) -> DataFrame:
-    """Candidates (hub, share, num) whose full sets are similar enough, as links (a, b); ``bodies`` holds the texts (num, body).
+def _blocks(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[tuple[pa.RecordBatch, np.ndarray, bool]]:
+    """Sorted batches as (batch, starts of its keys, whether its last key ends there)."""
+    held = None
+    for b in batches:
+        if held is not None and b.num_rows:
+            at = np.concatenate([[0], 1 + np.flatnonzero(_new(held, keys))])
+            yield held, at, _key(held, held.num_rows - 1, keys) != _key(b, 0, keys)
+        held = b if b.num_rows else held
+    if held is not None:
+        yield held, np.concatenate([[0], 1 + np.flatnonzero(_new(held, keys))]), True
 
-    A hub's text is fetched once for each of its shares, and the texts of its candidates follow it one by one.
-    """
+
+def _key(b: pa.RecordBatch, at: int, keys: list[str]) -> tuple:
+    return tuple(b.column(k)[at].as_py() for k in keys)
+
+
+def _new(b: pa.RecordBatch, keys: list[str]) -> np.ndarray:
+    """Whether each row but the first has another key than the one before."""
+    out = np.zeros(b.num_rows - 1, bool)
+    for k in keys:
+        v = b.column(k).to_numpy(zero_copy_only=False)
+        out |= v[1:] != v[:-1]
+    return out
+
+
+def _met(level: DataFrame) -> DataFrame:
+    """Rows (node, num, tree) whose node holds more than one."""
+
+    def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, last = None, None  # a row whose node may yet hold more, and the node of the row before
+        for b in batches:
+            if not b.num_rows:
+                continue
+            if held is not None:
+                [b] = pa.Table.from_batches([held, b]).combine_chunks().to_batches()
+            node = b.column("node").to_numpy()
+            same = node[1:] == node[:-1]
+            keep = np.zeros(len(node), bool)
+            keep[1:] |= same
+            keep[:-1] |= same
+            keep[0] |= last is not None and node[0] == last
+            held, last = (None, node[-1]) if keep[-1] else (b.slice(len(node) - 1), None)
+            yield b.filter(pa.array(keep))
+
+    return level.repartition("node").sortWithinPartitions("node").mapInArrow(meet, "node long, num long, tree int")
+
+
+def alike(tokens: np.ndarray, sizes: np.ndarray, least: int, percent: int) -> np.ndarray:
+    """For each document of a node, the place of the one it is grouped with: those reachable by pairs of like sizes that agree in ``least`` tokens."""
+    label, left = np.arange(len(sizes)), np.arange(len(sizes))
+    while len(left):
+        seed, left = left[0], left[1:]
+        front = [seed]
+        while front and len(left):
+            f = front.pop()
+            hit = _agree(tokens[left], sizes[left], tokens[f], sizes[f], least, percent)
+            label[left[hit]] = seed
+            front.extend(left[hit])
+            left = left[~hit]
+    return label
+
+
+def _agree(ta: np.ndarray, na: np.ndarray, tb: np.ndarray, nb: np.ndarray, least: int, percent: int) -> np.ndarray:
+    return ((ta == tb).sum(-1, dtype=np.int16) >= least) & (100 * np.minimum(na, nb) >= percent * np.maximum(na, nb))
+
+
+def _compared(met: DataFrame, sketches: DataFrame, small: int, similarity: float, least: int) -> DataFrame:
+    """Spanning forests of the candidates of all nodes as rows (a, b) without tree; of nodes of more than ``small`` documents also (node, num, tree)."""
     percent = round(similarity * 100)
 
+    def edges(a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(a.astype(np.int64)), pa.array(b.astype(np.int64)), pa.nulls(len(a), pa.int32())], ["a", "b", "tree"])
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        waiting: list[pa.RecordBatch] = []  # of a node that goes on in the next batch
+        hubs = None  # of a node larger than small that goes on
+
+        def whole(part: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+            data, _ = buffers(part.column("tokens"))
+            return part.column("num").to_numpy(), part.column("n_set").to_numpy(), data.reshape(part.num_rows, -1)
+
+        def crowded(part: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+            num, sizes, tokens = whole(part)
+            for h, n, t in zip(*hubs, strict=True):
+                hit = _agree(tokens, sizes, t, n, least, percent) & (num != h)
+                yield edges(num[hit], np.full(hit.sum(), h))
+            yield pa.RecordBatch.from_arrays([part.column("node"), part.column("num"), part.column("tree")], ["a", "b", "tree"])
+
+        for b, at, ends in _blocks(batches, ["node"]):
+            to = np.append(at[1:], b.num_rows)
+            if hubs is not None or waiting or not ends:
+                first, last = b.slice(0, to[0]), len(at) == 1
+                if hubs is not None:
+                    yield from crowded(first)
+                else:
+                    waiting.append(first)
+                    if sum(x.num_rows for x in waiting) > small:
+                        [first] = pa.Table.from_batches(waiting).combine_chunks().to_batches()
+                        waiting, hubs = [], tuple(x[:HUBS].copy() for x in whole(first))
+                        yield from crowded(first)
+                if last and not ends:
+                    continue
+                done = waiting
+                waiting, hubs = [], None
+                pieces = [*done, b.slice(to[0])]
+                if not ends:
+                    waiting, pieces[-1] = [b.slice(at[-1])], b.slice(to[0], at[-1] - to[0])
+                    if waiting[0].num_rows > small:
+                        hubs = tuple(x[:HUBS].copy() for x in whole(waiting[0]))
+                        yield from crowded(waiting[0])
+                        waiting = []
+                [b] = pa.Table.from_batches(pieces).combine_chunks().to_batches() or [b.slice(0, 0)]
+                if not b.num_rows:
+                    continue
+                at = np.concatenate([[0], 1 + np.flatnonzero(_new(b, ["node"]))])
+                to = np.append(at[1:], b.num_rows)
+            num, sizes, tokens = whole(b)
+            n = to - at
+            two = at[n == 2] if small >= 2 else at[:0]
+            hit = _agree(tokens[two], sizes[two], tokens[two + 1], sizes[two + 1], least, percent)
+            yield edges(num[two[hit] + 1], num[two[hit]])
+            for lo, hi in zip(at[n > 2 if small >= 2 else n > 1].tolist(), to[n > 2 if small >= 2 else n > 1].tolist(), strict=True):
+                if hi - lo > small:
+                    kept, hubs = hubs, tuple(x[lo : lo + HUBS] for x in (num, sizes, tokens))
+                    yield from crowded(b.slice(lo, hi - lo))
+                    hubs = kept
+                else:
+                    label = alike(tokens[lo:hi], sizes[lo:hi], least, percent)
+                    moved = np.flatnonzero(label != np.arange(hi - lo))
+                    yield edges(num[lo + moved], num[lo + label[moved]])
+
+    rows = met.join(sketches, "num").select("node", "num", "tree", "n_set", "tokens")
+    return rows.repartition("node").sortWithinPartitions("node", "num").mapInArrow(compare, MET)
+
+
+def linked_sets(sets: list[np.ndarray], percent: int) -> np.ndarray:
+    """For each set of a group, the place of the one it is linked with: those reachable by pairs of at least so many percent, on the full sets."""
+    m = len(sets)
+    sizes = np.array([len(s) for s in sets])
+    values, docs = np.concatenate(sets), np.repeat(np.arange(m), sizes)
+    order = np.argsort(values, kind="stable")
+    values, docs = values[order], docs[order]
+    start = np.flatnonzero(np.concatenate([[True], values[1:] != values[:-1]]))
+    n = np.diff(np.append(start, len(values)))
+    common = np.zeros(m * m, np.int32)
+    count = np.repeat(n, n)
+    few, kind = docs[(count > 1) & (count <= COMMON)], np.repeat(np.arange(len(n)), n)[(count > 1) & (count <= COMMON)]
+    for d in range(1, min(COMMON, m)):
+        codes = few[:-d][kind[d:] == kind[:-d]] * m + few[d:][kind[d:] == kind[:-d]]
+        if len(codes) * 8 > m * m:
+            common += np.bincount(codes, minlength=m * m).astype(np.int32)
+        else:
+            at, times = np.unique(codes, return_counts=True)
+            common[at] += times.astype(np.int32)
+    common = common.reshape(m, m)
+    common += common.T
+    often = np.flatnonzero(n > COMMON)
+    width = max(1, min(1 << 14, (1 << 24) // m))
+    for k in range(0, len(often), width):
+        part = often[k : k + width]
+        columns = np.repeat(np.arange(len(part)), n[part])
+        rows = docs[np.repeat(start[part], n[part]) + np.arange(n[part].sum()) - np.repeat(np.cumsum(n[part]) - n[part], n[part])]
+        dense = np.zeros((m, len(part)), np.float32)
+        dense[rows, columns] = 1
+        common += (dense @ dense.T).astype(np.int32)
+    label, left = np.arange(m), np.arange(m)
+    while len(left):
+        seed, left = left[0], left[1:]
+        front = [seed]
+        while front and len(left):
+            f = front.pop()
+            c = common[f, left].astype(np.int64)
+            hit = 100 * c >= percent * (sizes[f] + sizes[left] - c)
+            label[left[hit]] = seed
+            front.extend(left[hit])
+            left = left[~hit]
+    return label
+
+
+def _linked(grouped: DataFrame, similarity: float, size: int) -> DataFrame:
+    """Links (a, b), a spanning forest of each group, of texts (team, one, two, num, body): those of a team and two of its blocks are compared."""
+    percent, keys = round(similarity * 100), ["team", "one", "two"]
+
     def confirm(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words, hub_set, hub_of = shingle_words(), None, None
-        for b in document_blocks(batches, "body", TEXT_BYTES):
-            sets = shingle_sets(*words.of(*buffers(b.column("body"))), size)
-            rows = zip(sets, b.column("hub").to_pylist(), b.column("share").to_pylist(), b.column("num").to_pylist(), b.column("role").to_pylist(), strict=True)
+        words = shingle_words()
+        nums: list[int] = []
+        sets: list[np.ndarray] = []
+        parts = (x for b in batches for x in document_blocks([b], "body", TEXT_BYTES))
+        for b, at, ends in _blocks(parts, keys):
+            found, num = shingle_sets(*words.of(*buffers(b.column("body"))), size), b.column("num").to_pylist()
             a, c = [], []
-            for s, hub, share, num, role in rows:
-                if role == 0:
-                    hub_set, hub_of = s, (hub, share)
-                elif hub_of == (hub, share) and len(s):
-                    at = np.minimum(np.searchsorted(hub_set, s), len(hub_set) - 1)
-                    common = int(np.count_nonzero(hub_set[at] == s))
-                    if 100 * common >= percent * (len(s) + len(hub_set) - common):
-                        a.append(hub)
-                        c.append(num)
+            for k, (lo, hi) in enumerate(zip(at.tolist(), [*at[1:].tolist(), b.num_rows], strict=True)):
+                nums += num[lo:hi]
+                sets += found[lo:hi]
+                if k == len(at) - 1 and not ends:
+                    break
+                label = linked_sets(sets, percent)
+                moved = np.flatnonzero(label != np.arange(len(sets)))
+                a += [nums[i] for i in moved]
+                c += [nums[i] for i in label[moved]]
+                nums, sets = [], []
             yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(c, pa.int64())], ["a", "b"])
 
-    texts = bodies.select("num", "body")
-    hubs = candidates.select("hub", "share").distinct().join(texts, F.col("hub") == F.col("num")).select("hub", "share", F.lit(0).alias("role"), "num", "body")
-    others = candidates.select("hub", "share", "num").join(texts, "num").select("hub", "share", F.lit(1).alias("role"), "num", "body")
-    stream = hubs.unionByName(others).repartition("hub", "share").sortWithinPartitions("hub", "share", "role")
-    return stream.mapInArrow(confirm, "a long, b long")
-
-
-def _agreeing(least: int) -> Column:
-    """Whether two signatures agree in at least ``least`` tokens."""
-    return F.size(F.filter(F.zip_with("ta", "tb", lambda x, y: x == y), lambda same: same)) >= least
+    return grouped.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(confirm, "a long, b long")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -267,26 +456,6 @@ def _crowds(level: DataFrame, label: str) -> DataFrame:
     return out
 
 
-def _candidates(crowds: DataFrame, sketches: DataFrame, small: int, similarity: float, least: int) -> DataFrame:
-    """Distinct (hub, share, num): pairs of small nodes, and everyone with the first of a large one, of like sizes and agreeing tokens."""
-    rows = crowds.join(sketches, "num")
-    hub = [F.col("num").alias("hub"), F.col("root").alias("hub_root"), F.col("n_set").alias("na"), F.col("tokens").alias("ta")]
-    rows = rows.withColumnsRenamed({"n_set": "nb", "tokens": "tb"})
-    hubs = rows.withColumnsRenamed({"nb": "n_set", "tb": "tokens"}).select("node", "n", "first", *hub)
-    few = rows.filter(F.col("n") <= small).join(hubs.filter(F.col("n") <= small).drop("n", "first"), "node").filter(F.col("hub") < F.col("num"))
-    large = hubs.filter((F.col("n") > small) & (F.col("hub") == F.col("first"))).drop("first")
-    large._counts = crowds._counts
-    many = join_by_count(rows.filter((F.col("n") > small) & (F.col("num") != F.col("first"))).drop("n", "first"), large, "node", "n")
-    share = F.pmod(F.xxhash64("num"), F.ceil(F.col("n") / HUB_ROWS)).cast("int")
-    shape = ["hub", "share", "num", "hub_root", "root", "na", "nb", "ta", "tb"]
-    pairs = few.withColumn("share", F.lit(0)).select(shape).unionByName(many.withColumn("share", share).select(shape))
-    close = (F.col("hub_root") != F.col("root")) & (F.least("na", "nb") >= F.greatest("na", "nb") * similarity)
-    if least > 0:
-        close &= _agreeing(least)
-    # the same pair may come from nodes of several sizes
-    return pairs.filter(close).groupBy("hub", "num").agg(F.min("share").alias("share"))
-
-
 def near_duplicates(docs: DataFrame, *, similarity: float = 0.75, size: int = WORDS, id_col: str = "doc_id", text_col: str = "text", trees: int = TREES, small: int = SMALL, row_col: str | None = None, miss: float = MISS) -> DataFrame:
     """Per document: id, ``n_shingles``, ``component_id`` (smallest id reachable by links) and ``kept`` (whether that is its own).
 
@@ -303,79 +472,75 @@ def near_duplicates(docs: DataFrame, *, similarity: float = 0.75, size: int = WO
     if row_col is None:  # ids may repeat or be null, so texts are fetched by a key of their own
         own = "_near_row"
         keyed = written(docs.select(F.col(id_col).cast("long").alias(id_col), F.col(text_col), F.monotonically_increasing_id().alias(own)), "near-docs")
+    if trees * ROOT > TOKENS:
+        raise ValueError(f"at most {TREES} trees")
     rows = written(signatures(keyed, id_col=id_col, text_col=text_col, size=size, row_col=own), "near-signatures")
     filled = rows.filter("n_shingles > 0").groupBy("key").agg(
-        F.min("id").alias("id"), F.count("*").alias("copies"), F.min("n_shingles").alias("n_set"), F.min("tokens").alias("tokens"), F.min(F.struct(F.col("id").isNull(), "id", "row"))["row"].alias("row"),
+        F.min("id").alias("id"), F.count("*").alias("copies"), F.min("n_shingles").alias("n_set"), F.min("tokens").alias("tokens"), F.min("roots").alias("roots"),
+        F.min(F.struct(F.col("id").isNull(), "id", "row"))["row"].alias("row"),
     )
     sets = written(filled.withColumn("num", F.monotonically_increasing_id()), "near-sets")
     sketches = sets.select("num", "n_set", "tokens")
     least = least_agreement(similarity, TOKENS, miss) if miss > 0 else 0
     stored = keyed.select(F.col(own).cast("long").alias("row"), utf8(text_col).alias("body"))
 
-    def texts_of(wanted: DataFrame, label: str) -> DataFrame:
-        """(num, body) of the documents wanted."""
-        chosen = written(sets.select("num", "row").join(wanted.distinct(), "num"), f"{label}-wanted")
-        chosen = F.broadcast(chosen) if chosen.count() <= LOOKUP_ROWS else chosen
-        return written(stored.join(chosen, "row").select("num", "body"), f"{label}-texts")
-
-    limit = small
-    tried: list[DataFrame] = []
-    links: list[DataFrame] = []
-
-    def link(crowds: DataFrame, light: DataFrame, label: str, bodies: DataFrame | None, more: DataFrame | None = None) -> DataFrame:
-        """The texts; candidates and links of these nodes go to ``tried`` and ``links``."""
-        fresh = _candidates(crowds, light, limit, similarity, least)
-        if tried:
-            fresh = fresh.join(reduce(DataFrame.union, tried), ["hub", "num"], "left_anti")
-        fresh = written(fresh, f"{label}-candidates")
-        if bodies is None:
-            wanted = fresh.select(F.col("hub").alias("num")).union(fresh.select("num"))
-            bodies = texts_of(wanted if more is None else wanted.union(more), label)
-        tried.append(fresh.select("hub", "num"))
-        links.append(written(_linked(fresh, bodies, similarity, size), f"{label}-links"))
-        return bodies
-
-    def joined(labels: DataFrame | None, label: str) -> DataFrame | None:
-        """Labels after the links not yet contracted."""
-        waiting = [links.pop() for _ in range(len(links))]
-        every = reduce(DataFrame.union, waiting) if waiting else None
-        if every is not None and not every.isEmpty():
-            labels = _joined(labels, every, label)
-        drop_written(*waiting)
-        return labels
-
-    tree = F.explode(F.sequence(F.lit(0), F.lit(trees - 1)))
-    roots = sets.select("num", "tokens", tree.alias("tree")).select("num", "tree", F.xxhash64("tree", F.get("tokens", F.col("tree"))).alias("node"))
-    met = _crowds(_rooted(roots, None), "near-roots")
-    bodies = link(_crowds(_rooted(met.filter(F.col("tree") < FIRST_TREES).select("node", "num", "tree"), None), "near-first"), sketches, "near-first", None)
-    drop_written(bodies)
-    labels = joined(None, "near-first")
-    crowds = _crowds(_rooted(met.select("node", "num", "tree"), labels), "near-0")
-    drop_written(met)
-    bodies = link(crowds, sketches, "near-0", None, crowds.filter(F.col("n") > limit).select("num"))
-    labels = joined(labels, "near-0")
-    light = picks = None
-    depth = 0
-    while not crowds.filter(F.col("n") > limit).isEmpty():
-        big = crowds.filter(F.col("n") > limit).select("node", "num", "tree")
+    def texts_of(wanted: DataFrame) -> DataFrame:
+        """Rows of ``wanted`` with the texts of their documents."""
+        chosen = F.broadcast(wanted) if wanted.count() <= LOOKUP_ROWS else wanted
+        return stored.join(chosen, "row")
+
+    def enter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            nodes = buffers(b.column("roots"))[0].view(np.int64).reshape(b.num_rows, TREES)[:, :trees]
+            num = np.repeat(b.column("num").to_numpy(), trees)
+            tree = np.tile(np.arange(trees, dtype=np.int32), b.num_rows)
+            yield pa.RecordBatch.from_arrays([pa.array(nodes.ravel()), pa.array(num), pa.array(tree)], ["node", "num", "tree"])
+
+    level = sets.select("num", "roots").mapInArrow(enter, "node long, num long, tree int")
+    light, labels, crowds, bodies, picks, limit, depth = sketches, None, None, None, None, small, 0
+    while True:
+        found = written(_compared(_met(level), light, limit, similarity, least), f"near-{depth}")
+        edges = found.filter("tree is null").select("a", "b")
+        if not edges.isEmpty():
+            labels = _joined(labels, edges, f"near-{depth}")
+        drop_written(*([crowds] if depth else []))
+        crowded = found.filter("tree is not null")
+        if crowded.isEmpty():
+            drop_written(found)
+            break
+        crowds = _crowds(_rooted(crowded.select(F.col("a").alias("node"), F.col("b").alias("num"), "tree"), labels), f"near-{depth}")
+        drop_written(found)
+        if crowds.isEmpty():
+            drop_written(crowds)
+            break
         if depth % LEVELS == 0:
-            members = written(big.select("num").distinct(), f"near-members-{depth}")
-            if light is None:  # documents of deeper levels are among these
-                light = written(sketches.join(members, "num", "left_semi"), "near-light")
-            drop_written(*([picks] if picks is not None else []))
-            picks = written(branch_tokens(bodies.join(members, "num", "left_semi"), size, trees, depth), f"near-picks-{depth}")
+            members = written(sets.select("num", "row", "n_set", "tokens").join(crowds.select("num").distinct(), "num", "left_semi"), f"near-members-{depth}")
+            drop_written(*(x for x in (bodies, picks, light) if x is not None and x is not sketches))
+            light = members.select("num", "n_set", "tokens")
+            light._scratch = members._scratch
+            bodies = written(texts_of(members.select("num", "row")).select("num", "body"), f"near-texts-{depth}")
+            picks = written(branch_tokens(bodies, size, trees, depth), f"near-picks-{depth}")
         branches = F.explode(F.when(F.col("node") % 2 == 0, F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(0))))
         at = (F.col("tree") * LEVELS + depth % LEVELS) * BRANCHES + F.col("branch")
-        level = big.join(picks, "num").withColumn("branch", branches).select("num", "tree", F.xxhash64("node", "branch", F.substring(F.col("picks"), at * 4 + 1, F.lit(4))).alias("node"))
+        level = crowds.join(picks, "num").withColumn("branch", branches).select(F.xxhash64("node", "branch", F.substring(F.col("picks"), at * 4 + 1, F.lit(4))).alias("node"), "num", "tree")
         depth += 1
-        limit = max(small, min(small << (depth - 1), SMALL_MOST))
-        was, crowds = crowds, _crowds(_rooted(level, labels), f"near-{depth}")
-        drop_written(was)
-        link(crowds, light, f"near-{depth}", bodies)
-        if depth % 4 == 2:  # links wait for the next contraction; until then they only cost some work
-            labels = joined(labels, f"near-{depth}")
-    labels = joined(labels, "near-last")
-    drop_written(bodies, *([keyed] if row_col is None else []))
+        limit = max(small, min(small << (depth - 1), SMALL))
+    drop_written(*(x for x in (bodies, picks, light) if x is not None and x is not sketches))
+    if labels is not None:
+        grouped = labels.select(F.col("member").alias("num"), F.col("root").alias("team")).join(sets.select("num", "row", "n_set"), "num")
+        teams = grouped.groupBy("team").agg(F.count("*").alias("n"), F.sum("n_set").alias("shingles"))
+        teams = counted(teams.withColumn("cut", F.ceil(F.greatest(F.col("n") / GROUP_DOCS, F.col("shingles") / GROUP_SHINGLES)).cast("int")), "near-teams", "n")
+        block = F.pmod(F.xxhash64("num"), F.col("cut")).cast("int")
+        others = F.when(F.col("cut") == 1, F.array(F.lit(0))).otherwise(F.array_remove(F.sequence(F.lit(0), F.col("cut") - 1), F.col("block")))
+        wanted = join_by_count(grouped, teams, "team", "n").withColumn("block", block).select("row", "num", "team", "block", others.alias("others"))
+        wanted = written(wanted, "near-wanted")
+        met = texts_of(wanted).withColumn("other", F.explode("others"))
+        met = met.select("team", F.least("block", "other").alias("one"), F.greatest("block", "other").alias("two"), "num", "body")
+        links = written(_linked(met, similarity, size), "near-links")
+        drop_written(labels, teams, wanted)
+        labels = None if links.isEmpty() else components(links).withColumnRenamed("node", "member")
+        drop_written(links)
+    drop_written(*([keyed] if row_col is None else []))
     named = sets.select("key", "num", "id", "row", "copies")
     if labels is not None:
         named = written(_rooted(named, labels), "near-named")
@@ -384,6 +549,6 @@ def near_duplicates(docs: DataFrame, *, similarity: float = 0.75, size: int = WO
     else:
         named = named.select("key", "copies", F.col("id").alias("component"), F.col("row").alias("first_row"))
     linked = F.when(F.col("n_shingles") > 0, F.col("component")).otherwise(F.col("id"))
-    out = join_by_count(rows.drop("tokens"), counted(named, "near-components", "copies"), "key", "copies", "left")
+    out = join_by_count(rows.drop("tokens", "roots"), counted(named, "near-components", "copies"), "key", "copies", "left")
     more = [F.col("row").alias(row_col), ((F.col("n_shingles") == 0) | (F.col("row") == F.col("first_row"))).alias("first")] if row_col else []
     return out.select(F.col("id").alias(id_col), "n_shingles", linked.alias("component_id"), F.col("id").eqNullSafe(linked).alias("kept"), *more)

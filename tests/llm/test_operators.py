@@ -355,6 +355,70 @@ def test_crowded_nodes_branch_until_none_is_left(spark):
     assert ordered(map(tuple, out)) == ordered(brute_components(rows))
 
 
+def brute_links(sets):
+    """For each set, all sets that links join with it."""
+    group = [{k} for k in range(len(sets))]
+    for i, a in enumerate(sets):
+        for j, b in enumerate(sets[:i]):
+            both = len(np.intersect1d(a, b))
+            if 100 * both >= 75 * (len(a) + len(b) - both):
+                group[i] |= group[j]
+                for k in group[i]:
+                    group[k] = group[i]
+    return group
+
+
+def test_groups_are_linked_on_full_sets_by_a_forest():
+    rng = np.random.default_rng(21)
+    base = rng.integers(0, 1 << 63, 90).astype(np.uint64)
+    sets = []
+    for k in range(70):  # some shingles of nearly all sets, some of a few, some of one
+        own = rng.integers(0, 1 << 63, int(rng.integers(1, 30))).astype(np.uint64)
+        sets.append(np.unique(np.concatenate([base[rng.random(90) < rng.choice([0.5, 0.85, 0.97])], own])))
+    sets += [sets[3][: len(sets[3]) * 3 // 4], sets[5][:1]]
+    label = near_duplicates.linked_sets(sets, 75)
+    group = brute_links(sets)
+    assert all({int(j) for j in np.flatnonzero(label == label[k])} == group[k] for k in range(len(sets)))
+
+
+def test_a_group_in_blocks_and_a_large_node_lose_no_link(spark, monkeypatch):
+    rng = np.random.default_rng(22)
+    base = sentence(rng, 100).split()
+    rows = []
+    for k in range(90):  # near copies of one text, of which only some are near enough to each other
+        words = list(base)
+        for j in rng.integers(0, 100, int(rng.integers(0, 5))):
+            words[j] = f"v{k}w{j}"
+        rows.append((k, " ".join(words)))
+    want = ordered(brute_components(rows))
+    assert ordered(map(tuple, near_duplicates.near_duplicates(table(spark, rows), small=16).collect())) == want
+    monkeypatch.setattr(near_duplicates, "GROUP_DOCS", 20)
+    assert ordered(map(tuple, near_duplicates.near_duplicates(table(spark, rows)).collect())) == want
+
+
+def test_a_node_names_a_forest_of_its_candidates_across_batches(spark):
+    rows = [(7, n, 0, 100, bytes(80)) for n in range(300)] + [(8, n, 1, 100, bytes([n] * 80)) for n in range(40)] + [(9, 500, 2, 100, bytes(80)), (9, 501, 2, 10, bytes(80))]
+    met = spark.createDataFrame([r[:3] for r in rows], "node long, num long, tree int").coalesce(1)
+    light = spark.createDataFrame([(n, 100, bytes(80)) for n in range(300)] + [(500, 100, bytes(80)), (501, 10, bytes(80))], "num long, n_set long, tokens binary")
+    was = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
+    for batch in ("7", "64", "1000"):
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", batch)
+        forest = near_duplicates._compared(met, light, 400, 0.75, 40).collect()
+        # 300 documents make 299 rows, not 44,850 pairs
+        assert ordered((r["a"], r["b"], r["tree"]) for r in forest) == ordered([(n, 0, None) for n in range(1, 300)] + [(n, 0, None) for n in range(1, 40)])
+        large = near_duplicates._compared(met, light, 30, 0.75, 40).collect()
+        assert {r["b"] for r in large if r["a"] == 7 and r["tree"] == 0} == set(range(300)) and {r["b"] for r in large if r["a"] == 8 and r["tree"] == 1} == set(range(40))
+        assert {r["a"] for r in large if r["b"] == 0 and r["tree"] is None} == set(range(1, 300))
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", was)
+
+
+def test_first_paths_lose_a_pair_as_rarely_as_stated():
+    n = near_duplicates
+    assert n.path_loss(0.75, root=n.ROOT) < 1 / 95_000 and n.path_loss(0.75, levels=0, root=n.ROOT) < 1e-14
+    tokens = np.arange(160, dtype=np.uint32).reshape(2, 80)
+    assert n.first_nodes(tokens).shape == (2, n.TREES) and len(np.unique(n.first_nodes(tokens))) == 2 * n.TREES
+
+
 # -- personal data ------------------------------------------------------------------------
 
 
