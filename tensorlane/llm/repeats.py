@@ -44,6 +44,8 @@ PLACE_BITS = 20
 #: The last pass hashes each window a second time, with byte values of this seed.
 CHECK_SEED = 11
 CHUNK = 1 << (PLACE_BITS - 1)
+#: Runs of a text that lie no further apart are hashed together.
+GAP = 4096
 RUN = "key binary, digit long, whole long, place int, lo long, hi long"
 NAMES = ["key", "digit", "whole", "place", "lo", "hi"]
 
@@ -116,27 +118,54 @@ def _whole(hashes: RangeHash, prefix: np.ndarray, place: np.ndarray, lo: np.ndar
     return mix(hashes.ranges(prefix, lo, hi + least) ^ mix(shape + np.uint64(1)))
 
 
+def _pieces(runs: np.ndarray, least: int) -> Iterator[np.ndarray]:
+    """Runs (rows: digit, place from lo, lo, hi) of one text by pieces of it that are hashed at once."""
+    if len(runs):
+        runs = runs[np.argsort(runs[:, 2], kind="stable")]
+        lo, reach = runs[:, 2], np.maximum.accumulate(runs[:, 3] + least)
+        yield from np.split(runs, 1 + np.flatnonzero((lo[1:] > reach[:-1] + GAP) | (lo[1:] // CHUNK != lo[:-1] // CHUNK)))
+
+
+def _spread(n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For counts: the index of each, repeated as often as it says, and the place among its repetitions."""
+    of = np.repeat(np.arange(len(n)), n)
+    return of, np.arange(len(of)) - np.repeat(np.cumsum(n) - n, n)
+
+
 def segments_of(text: np.ndarray, runs: np.ndarray, least: int, hashes: RangeHash) -> list[np.ndarray]:
     """Segments of runs (rows: digit, place from lo, lo, hi), like runs, with a longer digit."""
     width = max(1, min(SEGMENT, least // GRAMS))
     found = []
-    for digit, ahead, lo, hi in runs:
-        place = lo + ahead
-        first, last = (place - hi) // width, (place - lo) // width
-        k = np.arange(first, last + 1)
-        for at in range(0, len(k), CHUNK // width):
-            part = k[at : at + CHUNK // width]
-            right, left = place - part * width, place - part * width - width + 1
-            a, b = np.maximum(left, lo), np.minimum(right, hi)
-            base = int(a.min())
-            prefix = hashes.prefix(text[base : int(b.max()) + least])
-            # the bytes that all windows of a whole segment share lie inside every window of a clipped one
-            shared = hashes.ranges(prefix, right - base, left + least - base)
-            key = mix(shared ^ mix(np.uint64(int(digit) & (1 << 64) - 1) + part.astype(np.uint64)))
-            found.append([key, _whole(hashes, prefix, np.full(len(part), place - base), a - base, b - base, least), place - a, a, b])
+    for piece in _pieces(runs, least):
+        digit, ahead, lo, hi = piece.T
+        first, last = (ahead + lo - hi) // width, ahead // width
+        of, k = _spread(last - first + 1)
+        place, part = (lo + ahead)[of], first[of] + k
+        right = place - part * width
+        left = right - width + 1
+        a, b = np.maximum(left, lo[of]), np.minimum(right, hi[of])
+        base = int(a.min())
+        prefix = hashes.prefix(text[base : int(b.max()) + least])
+        # the bytes that all windows of a whole segment share lie inside every window of a clipped one
+        shared = hashes.ranges(prefix, right - base, left + least - base)
+        key = mix(shared ^ mix(digit.astype(np.uint64)[of] + part.astype(np.uint64)))
+        found.append([key, _whole(hashes, prefix, place - base, a - base, b - base, least), place - a, a, b])
     return [np.concatenate(x) for x in zip(*found, strict=True)] if found else [np.zeros(0, np.int64)] * 5
 
 
+def windows_of(text: np.ndarray, runs: np.ndarray, least: int, hashes: RangeHash, others: RangeHash) -> list[np.ndarray]:
+    """All windows of runs (rows: digit, place from lo, lo, hi): hash with the digit, hash by another function, start."""
+    found = []
+    for piece in _pieces(runs, least):
+        digit, _, lo, hi = piece.T
+        of, k = _spread(hi - lo + 1)
+        base, start = int(lo.min()), lo[of] + k
+        part, at = text[base : int(hi.max()) + least], start - base
+        own = mix(hashes.ranges(hashes.prefix(part), at, at + least) ^ digit.astype(np.uint64)[of])
+        found.append([own, others.ranges(others.prefix(part), at, at + least), start])
+    return [np.concatenate(x) for x in zip(*found, strict=True)] if found else [np.zeros(0, np.uint64), np.zeros(0, np.uint64), np.zeros(0, np.int64)]
+
+
 def _rows(keys: list[bytes], parts: list[list[np.ndarray]]) -> pa.RecordBatch:
     n = [len(p[0]) for p in parts]
     digit, whole, place, lo, hi = (np.concatenate(c) for c in zip(*parts, strict=True))
@@ -223,19 +252,10 @@ def repeated_spans(keyed: DataFrame, light: DataFrame, units: type, least: int,
     def last_pass(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         unit = units()
         for b in document_blocks(batches, "body", TEXT_BYTES):
-            keys, starts, found, checks = [], [], [], []
-            for k, (data, rows) in enumerate(zip(unit.of(b.column("body")), b.column("runs"), strict=True)):
-                for digit, _, lo, hi in _list_columns(rows):
-                    at = np.arange(hi - lo + 1)
-                    part = data[lo : hi + least]
-                    found.append(mix(unit.hashes.ranges(unit.hashes.prefix(part), at, at + least) ^ np.uint64(int(digit) & (1 << 64) - 1)))
-                    checks.append(unit.others.ranges(unit.others.prefix(part), at, at + least))
-                    starts.append(at + lo)
-                    keys.append(np.full(len(at), k))
-            if found:
-                key = b.column("key").take(pa.array(np.concatenate(keys)))
-                hashed = [pa.array(np.concatenate(x).view(np.int64)) for x in (found, checks)]
-                yield pa.RecordBatch.from_arrays([key, *hashed, pa.array(np.concatenate(starts))], ["key", "digit", "again", "lo"])
+            found = [windows_of(t, _list_columns(r), least, unit.hashes, unit.others) for t, r in zip(unit.of(b.column("body")), b.column("runs"), strict=True)]
+            key = b.column("key").take(pa.array(np.repeat(np.arange(len(found)), [len(x[2]) for x in found])))
+            own, other, start = (np.concatenate(x) for x in zip(*found, strict=True))
+            yield pa.RecordBatch.from_arrays([key, pa.array(own.view(np.int64)), pa.array(other.view(np.int64)), pa.array(start)], ["key", "digit", "again", "lo"])
 
     windows = written(work.join(_open_lists(fine), "key").select("key", "body", "runs").mapInArrow(last_pass, "key binary, digit long, again long, lo long"), f"{label}-windows")
     equal = counted(windows.groupBy("digit", "again").agg(F.count("*").alias("n")).filter("n > 1"), f"{label}-equal", "n")

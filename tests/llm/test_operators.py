@@ -526,6 +526,24 @@ def test_shared_words(spark, docs, words):
     assert ordered(map(tuple, out)) == ordered(brute_shared(corpus(), words))
 
 
+def test_runs_of_a_text_are_hashed_together():
+    """Segments and windows of many runs equal those of each run alone, with a few prefix sums for all."""
+    text = np.random.default_rng(8).integers(97, 100, 30_000).astype(np.uint8)
+    text[9_000:10_000] = text[:1_000]
+    units = repeats.Bytes()
+    d, w, place, lo, hi = repeats.runs_of(text, 40, units.hashes)
+    runs = np.stack([d.view(np.int64), place, lo, hi], 1)
+    runs = runs[(lo < 3_000) | (lo > 20_000)][::-1]
+    sums, prefix = [], units.hashes.prefix
+    units.hashes.prefix = lambda data: sums.append(len(data)) or prefix(data)
+    for of, how in ((repeats.segments_of, (units.hashes,)), (repeats.windows_of, (units.hashes, units.others))):
+        sums.clear()
+        together = of(text, runs, 40, *how)
+        assert len(sums) == 2
+        alone = [np.concatenate(x) for x in zip(*(of(text, runs[k : k + 1], 40, *how) for k in range(len(runs))), strict=True)]
+        assert ordered(zip(*(x.tolist() for x in together), strict=True)) == ordered(zip(*(x.tolist() for x in alone), strict=True))
+
+
 def test_sliding_minimum():
     v = np.random.default_rng(0).integers(0, 50, 97).astype(np.uint64)
     for w in (1, 2, 7, 50, 97, 98):
