@@ -60,3 +60,31 @@ def test_rows_with_null_or_repeated_ids_are_judged_one_by_one(spark):
     least = {g: min(members)[:2] for g, members in groups.items()}
     assert len(one) == len(texts) and {t.removesuffix(" more") for _, t in one} == set(texts)
     assert all((i is None, i or 0) == least[t.removesuffix(" more")] for i, t in one)
+
+
+def test_no_stage_shuffles_its_texts(spark):
+    rng = np.random.default_rng(22)
+    texts = [plain.sentence(rng, 80) for _ in range(90)]
+    every = [(k % 70, t, "en", "s", len(t)) for k, t in enumerate(texts + texts[:40] + ["too short"] * 3)]
+    docs = plain.written(spark.createDataFrame(every, "doc_id long, text string, lang string, source string, n_chars long").repartition(5), "test")
+    was = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")  # as for tables too large for it
+    try:
+        for name, stage in corpus_pipeline.STAGES[:2]:
+            out = stage(spark, docs, DIR)
+            plan = out._jdf.queryExecution().executedPlan().toString()
+            assert "Exchange hashpartitioning" not in plan and "Exchange rangepartitioning" not in plan, name
+            docs = plain.written(out, "test")
+            assert docs.columns == ["doc_id", "text", "lang", "source", "n_chars"] and docs.count() == {"quality": 130, "near_duplicates": 90}[name]
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", was)
+
+
+def test_many_bitmaps_and_few_choose_the_same_rows(spark, monkeypatch):
+    keyed = corpus_pipeline._keyed(spark.range(0, 200_000, 1, 3).withColumnRenamed("id", "n"), "test")
+    kept = keyed.filter("n % 7 < 2 or n > 199990 or n = 0")
+    want = [n for n in range(200_000) if n % 7 < 2 or n > 199_990]
+    for limit in (corpus_pipeline.LOOKUP_BLOCKS, 1):
+        monkeypatch.setattr(corpus_pipeline, "LOOKUP_BLOCKS", limit)
+        assert sorted(r["n"] for r in corpus_pipeline._chosen(keyed, kept).collect()) == want
+    assert corpus_pipeline._chosen(keyed, kept.limit(0)).count() == 0
