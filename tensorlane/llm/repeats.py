@@ -29,10 +29,10 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import SPACE_BYTES, RangeHash, Words, buffers, counted, document_blocks, drop_written, join_by_count, mix, small_batches, utf8, written
+from .common import HEAVY_KEYS, SPACE_BYTES, RangeHash, Words, buffers, counted, document_blocks, drop_written, join_by_count, mix, small_batches, utf8, written
 
 #: A window is so many times as long as the gram that is its first digit.
 GRAMS = 4
@@ -41,6 +41,7 @@ SEGMENT = 16
 TEXT_BYTES = 4 << 20
 #: Windows of a text that are handled at once; a gram's place must fit the low bits of its rank.
 PLACE_BITS = 20
+LOW_BITS = np.uint64((1 << PLACE_BITS) - 1)
 #: The last pass hashes each window a second time, with byte values of this seed.
 CHECK_SEED = 11
 CHUNK = 1 << (PLACE_BITS - 1)
@@ -101,17 +102,60 @@ def runs_of(text: np.ndarray, least: int, hashes: RangeHash) -> list[np.ndarray]
     for c in range(0, len(text) - least + 1, CHUNK):
         data = text[c : c + CHUNK + least - 1]
         prefix = hashes.prefix(data)
-        at = np.arange(len(data) - gram + 1)
-        grams = hashes.ranges(prefix, at, at + gram)
-        low_bits = np.uint64((1 << PLACE_BITS) - 1)
-        low = sliding_minimum((grams & ~low_bits) | at.astype(np.uint64), least - gram + 1)
+        grams = hashes.every(prefix, gram)
+        low = _lowest(grams, least - gram + 1)
         lo = np.flatnonzero(np.concatenate([[True], low[1:] != low[:-1]]))
         hi = np.concatenate([lo[1:], [len(low)]]) - 1
-        place = (low[lo] & low_bits).astype(np.int64)
+        place = (low[lo] & LOW_BITS).astype(np.int64)
         found.append([grams[place], _whole(hashes, prefix, place, lo, hi, least), place - lo, lo + c, hi + c])
     return [np.concatenate(x) for x in zip(*found, strict=True)]
 
 
+def _lowest(grams: np.ndarray, width: int) -> np.ndarray:
+    """For every window of ``width`` grams the rank of its least one, with its place in the low bits."""
+    return sliding_minimum((grams & ~LOW_BITS) | np.arange(len(grams), dtype=np.uint64), width)
+
+
+def runs_of_all(texts: list[np.ndarray], least: int, hashes: RangeHash) -> tuple[np.ndarray, list[np.ndarray]]:
+    """``runs_of`` of each text one after the other, with the number of each text's runs; short texts are hashed and sorted together."""
+    sizes = np.array([len(t) for t in texts], np.int64)
+    total, parts, k = np.cumsum(sizes), [], 0
+    counts = np.zeros(len(texts), np.int64)
+    while k < len(texts):
+        to = max(k + 1, int(np.searchsorted(total, total[k] - sizes[k] + CHUNK, "right")))
+        if to == k + 1:
+            parts.append(runs_of(texts[k], least, hashes))
+            counts[k] = len(parts[-1][0])
+        else:
+            counts[k:to], found = _runs_together(texts[k:to], sizes[k:to], least, hashes)
+            parts.append(found)
+        k = to
+    return counts, [np.concatenate(x) for x in zip(*parts, strict=True)]
+
+
+def _runs_together(texts: list[np.ndarray], sizes: np.ndarray, least: int, hashes: RangeHash) -> tuple[np.ndarray, list[np.ndarray]]:
+    """Runs of texts that have less than ``CHUNK`` units together, as one text whose windows never cross two of them."""
+    data, ends = np.concatenate(texts), np.cumsum(sizes)
+    has = sizes >= least
+    if not has.any():
+        return np.zeros(len(texts), np.int64), runs_of(data[:0], least, hashes)
+    gram, first, final = max(1, least // GRAMS), (ends - sizes)[has], (ends - least)[has]
+    prefix = hashes.prefix(data)
+    grams = hashes.every(prefix, gram)
+    low = _lowest(grams, least - gram + 1)
+    new = np.concatenate([[True], low[1:] != low[:-1]])
+    new[first] = True
+    lo = np.flatnonzero(new)
+    of = np.searchsorted(first, lo, "right") - 1
+    inside = (of >= 0) & (lo <= final[of])
+    lo, of = lo[inside], of[inside]
+    hi = np.minimum(np.append(lo[1:] - 1, len(low)), final[of])
+    place = (low[lo] & LOW_BITS).astype(np.int64)
+    counts = np.zeros(len(texts), np.int64)
+    counts[has] = np.bincount(of, minlength=len(first))
+    return counts, [grams[place], _whole(hashes, prefix, place, lo, hi, least), place - lo, lo - first[of], hi - first[of]]
+
+
 def _whole(hashes: RangeHash, prefix: np.ndarray, place: np.ndarray, lo: np.ndarray, hi: np.ndarray, least: int) -> np.ndarray:
     """Equal for runs that are equal byte for byte and lie alike around their gram."""
     shape = (place - lo).astype(np.uint64) << np.uint64(32) | (hi - lo).astype(np.uint64)
@@ -166,9 +210,8 @@ def windows_of(text: np.ndarray, runs: np.ndarray, least: int, hashes: RangeHash
     return [np.concatenate(x) for x in zip(*found, strict=True)] if found else [np.zeros(0, np.uint64), np.zeros(0, np.uint64), np.zeros(0, np.int64)]
 
 
-def _rows(keys: list[bytes], parts: list[list[np.ndarray]]) -> pa.RecordBatch:
-    n = [len(p[0]) for p in parts]
-    digit, whole, place, lo, hi = (np.concatenate(c) for c in zip(*parts, strict=True))
+def _rows(keys: list[bytes], n: np.ndarray, runs: list[np.ndarray]) -> pa.RecordBatch:
+    digit, whole, place, lo, hi = runs
     key = pa.array(keys, pa.binary()).take(pa.array(np.repeat(np.arange(len(keys)), n)))
     return pa.RecordBatch.from_arrays(
         [key, pa.array(digit.view(np.int64)), pa.array(whole.view(np.int64)), pa.array(place.astype(np.int32)), pa.array(lo.astype(np.int64)), pa.array(hi.astype(np.int64))], NAMES
@@ -180,15 +223,23 @@ def _decided(rows: DataFrame, label: str) -> DataFrame:
 
     Of rows that are equal as a whole, one stays in the further passes as a witness.
     """
-    groups = rows.groupBy("digit", "whole").agg(F.count("*").alias("n"), F.max("row").alias("witness"))
-    digits = groups.groupBy("digit").agg(F.sum("n").alias("rows"), F.count("*").alias("kinds")).filter(F.col("rows") > 1)
-    known = counted(groups.join(digits, "digit").select("digit", "whole", "n", "kinds", "witness"), f"{label}-groups", "n")
-    full, several = F.col("n") > 1, F.col("kinds") > 1
-    out = join_by_count(rows, known, ["digit", "whole"], "n").select(
-        "key", "digit", "place", "lo", "hi", full.alias("full"), (several & (~full | (F.col("row") == F.col("witness")))).alias("open")
-    )
+    digits = rows.groupBy("digit").agg(F.count("*").alias("n"), (F.min("whole") < F.max("whole")).alias("several")).filter("n > 1")
+    digits = counted(digits, f"{label}-digits", "n")
+    total, most = digits._counts
+    limit = max(total // HEAVY_KEYS, 1000)
+    few, crowded, known = digits.filter(F.col("n") <= limit), digits.filter(F.col("n") > limit), None
+    # rows of a digit stand together after the join, so those that are equal as a whole are counted where they are
+    alike = Window.partitionBy("digit", "whole")
+    light = rows if most <= limit else rows.join(F.broadcast(crowded.select("digit")), "digit", "left_anti")
+    out = light.join(few, "digit").withColumns({"same": F.count("*").over(alike), "witness": F.max("row").over(alike)})
+    if most > limit:
+        hot = rows.join(F.broadcast(crowded), "digit")
+        known = counted(hot.groupBy("digit", "whole").agg(F.count("*").alias("same"), F.max("row").alias("witness")), f"{label}-groups", "same")
+        out = out.unionByName(join_by_count(hot, known, ["digit", "whole"], "same"))
+    full = F.col("same") > 1
+    out = out.select("key", "digit", "place", "lo", "hi", full.alias("full"), (F.col("several") & (~full | (F.col("row") == F.col("witness")))).alias("open"))
     out = written(out, f"{label}-decided")
-    drop_written(known, rows)
+    drop_written(*(x for x in (digits, known, rows) if x is not None))
     return out
 
 
@@ -229,7 +280,7 @@ def repeated_spans(keyed: DataFrame, light: DataFrame, units: type, least: int,
     def first_pass(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         unit = units()
         for b in document_blocks(batches, "body", TEXT_BYTES):
-            yield _rows(b.column("key").to_pylist(), [runs_of(t, least, unit.hashes) for t in unit.of(b.column("body"))])
+            yield _rows(b.column("key").to_pylist(), *runs_of_all(unit.of(b.column("body")), least, unit.hashes))
 
     runs = written(keyed.filter(F.col("n_bytes") >= least).select("key", "body").mapInArrow(first_pass, RUN).withColumn("row", F.monotonically_increasing_id()), f"{label}-runs")
     coarse = _decided(runs, f"{label}-1")
@@ -244,7 +295,7 @@ def repeated_spans(keyed: DataFrame, light: DataFrame, units: type, least: int,
         unit = units()
         for b in document_blocks(batches, "body", TEXT_BYTES):
             found = [segments_of(t, _list_columns(r), least, unit.hashes) for t, r in zip(unit.of(b.column("body")), b.column("runs"), strict=True)]
-            yield _rows(b.column("key").to_pylist(), found)
+            yield _rows(b.column("key").to_pylist(), np.array([len(x[0]) for x in found]), [np.concatenate(x) for x in zip(*found, strict=True)])
 
     segments = written(work.join(_open_lists(coarse), "key").select("key", "body", "runs").mapInArrow(second_pass, RUN).withColumn("row", F.monotonically_increasing_id()), f"{label}-segments")
     fine = _decided(segments, f"{label}-2")

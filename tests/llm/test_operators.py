@@ -544,6 +544,42 @@ def test_runs_of_a_text_are_hashed_together():
         assert ordered(zip(*(x.tolist() for x in together), strict=True)) == ordered(zip(*(x.tolist() for x in alone), strict=True))
 
 
+def test_crowded_digits_are_decided_like_others(spark):
+    """A digit of over 1,000 rows, and others of one row, of equal rows and of several kinds, against plain counts."""
+    rows = [(b"k", 1, k % 700 if k < 1_100 else k, k) for k in range(1_300)]
+    rows += [(b"k", 2, 5, 2_000), *((b"k", 3, 5, 2_001 + k) for k in range(3)), *((b"k", 4, k // 2, 2_010 + k) for k in range(5))]
+    kinds, same, witness = {}, Counter(), {}
+    for _, d, w, r in rows:
+        kinds.setdefault(d, set()).add(w)
+        same[d, w] += 1
+        witness[d, w] = max(r, witness.get((d, w), 0))
+    digits = Counter(d for _, d, _, _ in rows)
+    want = [(d, r, same[d, w] > 1, len(kinds[d]) > 1 and (same[d, w] == 1 or r == witness[d, w])) for _, d, w, r in rows if digits[d] > 1]
+    made = spark.createDataFrame([(k, d, w, 0, r, r, r) for k, d, w, r in rows], repeats.RUN + ", row long")
+    out = repeats._decided(made, "test").select("digit", "lo", "full", "open").collect()
+    assert ordered(map(tuple, out)) == ordered(want)
+
+
+def test_short_texts_are_sorted_together(monkeypatch):
+    """Runs of many texts equal those of each alone, with one prefix sum for all; a text too long to stand with others is taken alone."""
+    rng = np.random.default_rng(9)
+    texts = [rng.integers(97, 100, n).astype(np.uint8) for n in (0, 39, 40, 41, 700, 3, 0, 2_000, 40, 9_000, 500, 10, 300)]
+    texts += [np.zeros(200, np.uint8), texts[4], np.zeros(90, np.uint8), np.zeros(0, np.uint8)]
+    units = repeats.Bytes()
+    sums, prefix = [], units.hashes.prefix
+    units.hashes.prefix = lambda data: sums.append(len(data)) or prefix(data)
+    for chunk, most in ((repeats.CHUNK, 1), (3_000, 8), (10, None)):
+        monkeypatch.setattr(repeats, "CHUNK", chunk)
+        alone = [repeats.runs_of(t, 40, units.hashes) for t in texts]
+        sums.clear()
+        n, together = repeats.runs_of_all(texts, 40, units.hashes)
+        assert most is None or len(sums) <= most
+        assert n.tolist() == [len(x[0]) for x in alone]
+        assert [x.tolist() for x in together] == [np.concatenate(x).tolist() for x in zip(*alone, strict=True)]
+    n, none = repeats.runs_of_all(texts[:2], 40, units.hashes)
+    assert n.tolist() == [0, 0] and [len(x) for x in none] == [0] * 5
+
+
 def test_sliding_minimum():
     v = np.random.default_rng(0).integers(0, 50, 97).astype(np.uint64)
     for w in (1, 2, 7, 50, 97, 98):
