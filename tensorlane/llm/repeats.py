@@ -14,8 +14,8 @@ sort as soon as its group decides it.
 
 Groups are only counted, never gathered, and equal runs are told apart by one witness, so
 large groups of copies cost a count; the counts of the few crowded groups are broadcast to their rows.
-Texts travel twice: those that hold any repeated gram are set aside once and used for all later
-passes.  What removes bytes is always an equality of 128 bits: a digit and a whole, or two hashes
+Texts that hold any repeated gram are set aside once, picked where they lie by a bitmap of hashes, and used for
+all later passes.  What removes bytes is always an equality of 128 bits: a digit and a whole, or two hashes
 of the window.
 
 The sort doesn't care what a text is made of: the same passes run over bytes, or over words (each a
@@ -47,6 +47,8 @@ CHECK_SEED = 11
 CHUNK = 1 << (PLACE_BITS - 1)
 #: Runs of a text that lie no further apart are hashed together.
 GAP = 4096
+#: A picked text has so many bits in the bitmap, if that stays under so many blocks (4 kB each); with fewer than the least, texts are joined instead.
+PICK_BITS, LEAST_BITS, PICK_BLOCKS = 32, 8, 16_384
 RUN = "key binary, digit long, whole long, place int, lo long, hi long"
 NAMES = ["key", "digit", "whole", "place", "lo", "hi"]
 
@@ -273,6 +275,28 @@ def keyed_texts(docs: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame,
     return body.withColumn("key", key), written(body.select("id", "sha", "n_bytes"), "repeats-light").withColumn("key", key)
 
 
+def _picked(keyed: DataFrame, touched: DataFrame, label: str) -> DataFrame:
+    """(key, body), written, of the rows whose key and id are in ``touched``, and of a few more (one in ``PICK_BITS`` of the others).
+
+    Hashes of key and id are set in a bitmap that all workers get, so texts stay where they are however many there
+    are.  Rows in excess change no result: no open runs are listed for them, or they are copies of a text that is gone as a whole.
+    """
+    n, block = touched.count(), 1 << 15
+    bits = max(1, min(PICK_BITS * n, PICK_BLOCKS * block))
+    if bits < LEAST_BITS * n:
+        touched = touched.select(F.col("key").alias("k"), F.col("id").alias("of"))
+        return written(keyed.join(touched, (F.col("key") == F.col("k")) & F.col("id").eqNullSafe(F.col("of")), "left_semi").select("key", "body"), f"{label}-texts")
+    at = F.pmod(F.xxhash64("key", "id"), F.lit(bits).cast("long"))
+    hashed = touched.select(F.floor(at / block).alias("block"), (at % block).alias("bit")).repartition("block")
+    blocks = written(hashed.groupBy("block").agg(F.bitmap_construct_agg("bit").alias("bits")), f"{label}-bitmap")
+    rows = keyed.select("key", "body", at.alias("at")).join(F.broadcast(blocks), F.floor(F.col("at") / block) == F.col("block"))
+    bit = F.col("at") % block
+    byte = F.conv(F.hex(F.substring("bits", F.floor(bit / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    out = written(rows.filter(F.getbit(byte, (bit % 8).cast("int")) == 1).select("key", "body"), f"{label}-texts")
+    drop_written(blocks)
+    return out
+
+
 def repeated_spans(keyed: DataFrame, light: DataFrame, units: type, least: int, label: str) -> tuple[DataFrame, DataFrame, list[DataFrame]]:
     """(texts, spans, tables): the texts looked at again (key, body); by key the ``spans`` of units in windows that
     repeat, of copies perhaps too; and what to drop afterwards."""
@@ -287,9 +311,8 @@ def repeated_spans(keyed: DataFrame, light: DataFrame, units: type, least: int,
     # a text that stands more than once is gone as a whole; it is fetched only to be a witness
     copies = light.groupBy("key").agg(F.count("*").alias("copies"), F.min("id").alias("of"))
     touched = coarse.groupBy("key").agg(F.max("open").alias("has_open")).join(copies, "key").filter((F.col("copies") == 1) | F.col("has_open"))
-    touched = written(touched.select(F.col("key").alias("k"), "of"), f"{label}-touched")
-    texts = keyed.join(touched, (F.col("key") == F.col("k")) & F.col("id").eqNullSafe(F.col("of"))).select("key", "body")
-    work = written(texts, f"{label}-texts")
+    touched = written(touched.select("key", F.col("of").alias("id")), f"{label}-touched")
+    work = _picked(keyed, touched, label)
 
     def second_pass(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         unit = units()
@@ -368,7 +391,7 @@ def remove_repeats(docs: DataFrame, *, least: int = 400, id_col: str = "doc_id",
     """
     keyed, light = keyed_texts(docs, id_col, text_col)
     work, lists, tables = repeated_spans(keyed, light, Bytes, least, "repeats")
-    # rows that repeat id and text fetch a text twice
+    # copies of a text may be fetched twice
     results = written(_cut(work.join(lists, "key"), with_text).dropDuplicates(["key"]), "repeats-results")
     drop_written(*tables)
     texts = light.groupBy("key").agg(F.count("*").alias("copies")).join(results, "key", "left")

@@ -526,6 +526,25 @@ def test_shared_words(spark, docs, words):
     assert ordered(map(tuple, out)) == ordered(brute_shared(corpus(), words))
 
 
+def test_no_text_is_shuffled_to_be_looked_at_again(spark, docs, monkeypatch):
+    """Texts are picked where they lie by a bitmap; a crowded one, or the join in its place, gives the same rows."""
+    plans, write = {}, repeats.written
+    monkeypatch.setattr(repeats, "written", lambda df, label: plans.update({label: df._jdf.queryExecution().executedPlan().toString()}) or write(df, label))
+    was = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        for name, value, moved in ((None, None, False), ("PICK_BITS", 2, False), ("PICK_BLOCKS", 0, True)):
+            if name:
+                monkeypatch.setattr(repeats, "LEAST_BITS", 1)
+                monkeypatch.setattr(repeats, name, value)
+            out = repeats.remove_repeats(docs, least=60, words=20).collect()
+            assert ordered(tuple(r)[:5] for r in out) == ordered(brute_repeats(corpus(), 60))
+            assert ordered((r["doc_id"], r["n_shared_words"]) for r in out) == ordered(brute_shared(corpus(), 20))
+            assert [("hashpartitioning" in plans[f"{x}-texts"]) for x in ("repeats", "shared")] == [moved, moved]
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", was)
+
+
 def test_runs_of_a_text_are_hashed_together():
     """Segments and windows of many runs equal those of each run alone, with a few prefix sums for all."""
     text = np.random.default_rng(8).integers(97, 100, 30_000).astype(np.uint8)
